@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+from .op1_language import op1_language_id
 from .op10_bpe import op10_bpe_encode_decode
 
 QUERIES = {
+    "op1_language_id": op1_language_id,
     "op10_bpe_encode_decode": op10_bpe_encode_decode,
 }
 ORACLES: dict[str, str] = {}
