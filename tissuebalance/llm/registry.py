@@ -6,14 +6,18 @@ from .op1_language import op1_language_id
 from .op2_packing import op2_nnls_packing
 from .op6_minhash import ORACLE as OP6
 from .op6_minhash import op6_super_minhash
+from .op7_lines import ORACLE as OP7
+from .op7_lines import op7_line_dedup
 from .op10_bpe import op10_bpe_encode_decode
 
 QUERIES = {
     "op1_language_id": op1_language_id,
     "op2_nnls_packing": op2_nnls_packing,
     "op6_super_minhash": op6_super_minhash,
+    "op7_line_dedup": op7_line_dedup,
     "op10_bpe_encode_decode": op10_bpe_encode_decode,
 }
 ORACLES: dict[str, str] = {
     "op6_super_minhash": OP6,
+    "op7_line_dedup": OP7,
 }
