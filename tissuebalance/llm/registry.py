@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from .op1_language import op1_language_id
 from .op2_packing import op2_nnls_packing
+from .op4_pii import op4_weak_pii
 from .op6_minhash import ORACLE as OP6
 from .op6_minhash import op6_super_minhash
 from .op7_lines import ORACLE as OP7
@@ -13,6 +14,7 @@ from .op10_bpe import op10_bpe_encode_decode
 QUERIES = {
     "op1_language_id": op1_language_id,
     "op2_nnls_packing": op2_nnls_packing,
+    "op4_weak_pii": op4_weak_pii,
     "op6_super_minhash": op6_super_minhash,
     "op7_line_dedup": op7_line_dedup,
     "op10_bpe_encode_decode": op10_bpe_encode_decode,
