@@ -7,10 +7,11 @@
 * Documents with the same set are one class and only its smallest id goes on, so exact copies
   never meet again. With four rows to a band and 32 bands a pair of similarity 0.8 shares no
   band with probability below 1e-7.
-* Links: each document is held against the smallest member of its buckets; where a bucket
-  still holds more than one component, all its members are held against those outside its
-  largest component. Pairs within one component are never enumerated.
-* Groups: stars are contracted until each node points to its smallest reachable id.
+* Links: each document is held against the smallest member of its buckets. Where documents that
+  buckets connect are still in several components, those outside the largest one are held
+  against all of them, in blocks. Pairs within the largest component are never looked at.
+* Groups: tasks join their own edges by union-find; what is left between tasks is a graph of
+  their roots, which goes through again.
 """
 
 from __future__ import annotations
@@ -20,7 +21,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import Workspace, batch, chunks, mix64
@@ -124,22 +125,48 @@ def linked(pairs: DataFrame, sets: DataFrame, s: Settings) -> DataFrame:
     return held.select("a", "b", "hashes_a", "hashes_b").mapInArrow(run, "a bigint, b bigint")
 
 
-def components(edges: DataFrame, space: Workspace) -> DataFrame:
-    """node, component (smallest reachable id) for every node of the edges (a, b)."""
-    now = space.write(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "edges")
-    while True:
-        both = now.union(now.select("b", "a"))
-        low = both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("m"))
-        wide = both.join(low, "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
-        low = wide.groupBy("a").agg(F.min("b").alias("m"))
-        near = wide.join(low, "a")
-        new = space.write(near.select(F.col("b").alias("a"), F.col("m").alias("b")).union(low.select("a", F.col("m").alias("b"))).where("a <> b").distinct(), "edges")
-        marks = [e.agg(F.count(F.lit(1)).alias("n"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)")).alias("s")).first() for e in (now, new)]
-        space.drop(now)
-        now = new
-        if marks[0] == marks[1]:
-            break
-    return now.select(F.col("a").alias("node"), F.col("b").alias("component")).union(now.select(F.col("b").alias("node"), F.col("b").alias("component")).distinct())
+def union_find(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Smallest reachable id of each node over the edges (a, b) of one task."""
+    parent: dict[int, int] = {}
+
+    def root(x: int) -> int:
+        top = x
+        while parent.setdefault(top, top) != top:
+            top = parent[top]
+        while parent[x] != top:
+            parent[x], x = top, parent[x]
+        return top
+
+    for got in it:
+        for x, y in zip(got.column("a").to_pylist(), got.column("b").to_pylist(), strict=True):
+            x, y = root(x), root(y)
+            if x != y:
+                parent[max(x, y)] = min(x, y)
+    nodes = list(parent)
+    schema = pa.schema([("node", pa.int64()), ("component", pa.int64())])
+    for k in range(0, len(nodes), 10_000):
+        part = nodes[k : k + 10_000]
+        yield batch(schema, part, [root(x) for x in part])
+
+
+def components(edges: DataFrame, space: Workspace, per_task: int = 200_000) -> DataFrame:
+    """node, component (smallest reachable id) for every node of the edges (a, b), an edge table in the workspace.
+
+    Tasks of at most about per_task edges contract their own; where there are several, the roots
+    that they gave to one node are linked and the far smaller graph of roots goes through again.
+    """
+    tasks = -(-edges.count() // per_task)
+    local = edges.repartition(max(1, tasks)).mapInArrow(union_find, "node bigint, component bigint")
+    if tasks <= 1:
+        return local
+    local = space.write(local, "local")
+    low = local.groupBy("node").agg(F.min("component").alias("low"))
+    up = low.select(F.col("node").alias("component"), F.col("low").alias("above"))
+    higher = local.join(low, "node").join(up, "component", "left")
+    links = higher.select(F.coalesce("above", "component").alias("a"), F.col("low").alias("b")).where("a <> b").distinct()
+    roots = components(space.write(links, "roots"), space, per_task)
+    roots = roots.select(F.col("node").alias("low"), F.col("component").alias("root"))
+    return low.join(roots, "low", "left").select("node", F.coalesce("root", "low").alias("component"))
 
 
 def near_duplicates(docs: DataFrame, s: Settings = Settings()) -> DataFrame:
@@ -164,39 +191,55 @@ def near_duplicates(docs: DataFrame, s: Settings = Settings()) -> DataFrame:
         n_a, n_b = (sizes.select(F.col("node").alias(x), F.col("n_shingles").alias(f"n_{x}")) for x in "ab")
         return pairs.join(n_a, "a").join(n_b, "b").where(size_fits)
 
-    stars = space.write(fit(members.where("node <> first").groupBy(F.col("node").alias("a"), F.col("first").alias("b")).agg(F.count(F.lit(1)).alias("n"))), "stars")
-    everyone = stars.select(F.col("a").alias("node")).union(stars.select(F.col("b").alias("node"))).union(members.select("node")).distinct()
-    sets = space.write(sets_of(docs, everyone, s), "sets")
-    closest = stars.groupBy("a").agg(F.max_by("b", F.struct("n", F.negative("b"))).alias("b"))
-    edges = space.write(linked(closest, sets, s), "links")
-    found = components(edges, space)
-    rest = open_pairs(stars.join(closest, ["a", "b"], "left_anti").select("a", "b"), found)
-    edges = space.write(edges.union(linked(rest, sets, s)), "links")
-    found = space.write(components(edges, space), "components")
-    more = edges_between(members.select("bucket", "node"), found)
-    tested = stars.select("a", "b")
-    late = fit(more.join(tested, ["a", "b"], "left_anti").join(tested.select(F.col("b").alias("a"), F.col("a").alias("b")), ["a", "b"], "left_anti")).select("a", "b")
-    edges = space.write(edges.union(linked(late, sets, s)), "links")
+    stars = space.write(fit(members.where("node <> first").select(F.col("node").alias("a"), F.col("first").alias("b")).distinct()).select("a", "b"), "stars")
+    sets = space.write(sets_of(docs, members.select("node").distinct(), s), "sets")
+    edges = space.write(linked(stars, sets, s), "links")
     found = space.write(components(edges, space), "components")
+    late = space.write(links_in_families(members.select("node").distinct(), components(stars, space), found, sets, s), "late")
+    if not late.isEmpty():
+        found = space.write(components(space.write(edges.union(late), "links"), space), "components")
     by_class = classes.select(*(F.col(c).alias(f"_{c}") for c in ("n_shingles", "key_a", "key_b")), "node").join(found, "node", "left")
     group = F.coalesce("component", "node", "doc_id")
     rows = signs.select("doc_id", "n_shingles", "key_a", "key_b").join(by_class, F.expr("n_shingles = _n_shingles and key_a = _key_a and key_b = _key_b and doc_id is not null"), "left")
     return rows.select("doc_id", "n_shingles", group.alias("component_id"), F.coalesce(F.col("doc_id") == group, F.lit(True)).alias("kept"))
 
 
-def open_pairs(pairs: DataFrame, found: DataFrame) -> DataFrame:
-    """The pairs whose ends are not in one component yet."""
-    a, b = (found.select(F.col("node").alias(x), F.col("component").alias(f"c_{x}")) for x in "ab")
-    return pairs.join(a, "a", "left").join(b, "b", "left").where(F.coalesce("c_a", "a") != F.coalesce("c_b", "b")).select("a", "b")
+def links_in_families(nodes: DataFrame, families: DataFrame, found: DataFrame, sets: DataFrame, s: Settings, block: int = 512) -> DataFrame:
+    """Links (a, b) between components of one family (nodes that buckets connect, verified or not).
 
+    Those outside a family's largest component are held against the whole family, in blocks of
+    about `block` nodes, so a task's size does not depend on the family's. One link to each other
+    component is enough. In a family of two the only pair has been verified before.
+    """
+    own = nodes.join(families.select("node", F.col("component").alias("family")), "node").join(found, "node", "left")
+    own = own.select("node", "family", F.coalesce("component", "node").alias("component"))
+    parts = own.groupBy("family", "component").agg(F.count(F.lit(1)).alias("n"))
+    mixed = parts.groupBy("family").agg(F.count(F.lit(1)).alias("parts"), F.sum("n").alias("all"), F.max("n").alias("most"), F.max_by("component", F.struct("n", F.negative("component"))).alias("largest")).where("parts > 1 and all > 2")
+    here = own.join(mixed, "family").join(sets, "node")
+    wide, deep = F.ceil(F.col("all") / block), F.ceil((F.col("all") - F.col("most")) / block)
+    at = F.xxhash64("node", F.lit(s.words))
+    few = here.where("component <> largest").withColumn("j", F.pmod(at, deep)).withColumn("i", F.explode(F.sequence(F.lit(0).cast("bigint"), wide - 1)))
+    every = here.withColumn("i", F.pmod(at, wide)).withColumn("j", F.explode(F.sequence(F.lit(0).cast("bigint"), deep - 1)))
+    columns = ["family", "i", "j", "node", "component", "hashes"]
+    schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
-def edges_between(members: DataFrame, found: DataFrame) -> DataFrame:
-    """Pairs (a, b) of different components in one bucket: those outside its largest component against all."""
-    whole = members.join(found, "node", "left").select("bucket", "node", F.coalesce("component", "node").alias("component"))
-    parts = whole.groupBy("bucket", "component").agg(F.count(F.lit(1)).alias("n"))
-    mixed = parts.groupBy("bucket").agg(F.count(F.lit(1)).alias("parts"), F.max_by("component", F.struct("n", F.negative("component"))).alias("largest")).where("parts > 1")
-    here = whole.join(mixed.select("bucket", "largest"), "bucket")
-    few = here.where("component <> largest").select("bucket", F.col("node").alias("a"), F.col("component").alias("c_a"))
-    every = here.select("bucket", F.col("node").alias("b"), F.col("component").alias("c_b"), "largest")
-    met = few.join(every, "bucket").where("c_a <> c_b and (c_b = largest or a < b)")
-    return met.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        out: list[tuple[int, int]] = []
+        if left.num_rows and right.num_rows:
+            blobs = [np.frombuffer(h.as_buffer(), np.uint64) for h in right.column("hashes")]
+            size = np.array([len(x) for x in blobs])
+            starts = np.cumsum(size) - size
+            every_hash, group, ids = np.concatenate(blobs), right.column("component").to_numpy(), right.column("node").to_numpy()
+            for node, component, h in zip(left.column("node").to_pylist(), left.column("component").to_pylist(), left.column("hashes"), strict=True):
+                x = np.frombuffer(h.as_buffer(), np.uint64)
+                at = np.searchsorted(x, every_hash)
+                at[at == len(x)] = 0
+                both = np.add.reduceat((x[at] == every_hash).astype(np.int64), starts)
+                hit = np.flatnonzero((100 * both >= s.percent * (len(x) + size - both)) & (group != component))
+                _, first = np.unique(group[hit], return_index=True)
+                out += [(max(node, int(b)), min(node, int(b))) for b in ids[hit[first]]]
+        return pa.table([pa.array([o[k] for o in out], pa.int64()) for k in (0, 1)], schema=schema)
+
+    few, every = (side.select(*(F.col(c).alias(c) for c in columns)) for side in (few, every))
+    pairs = few.groupBy("family", "i", "j").cogroup(every.groupBy("family", "i", "j"))
+    return pairs.applyInArrow(run, "a bigint, b bigint").distinct()
