@@ -160,7 +160,10 @@ def dropped_lines(rows: DataFrame, space: Workspace, least: int, piece: int = 1
     pairs = best.select("doc", "version", "line", *(F.col(f"first.{c}").alias(f"first_{c}") for c in ("doc", "version", "line")))
     pairs = pairs.join(words.select("doc", "version", "line", "words"), ["doc", "version", "line"]).join(other, ["first_doc", "first_version", "first_line"])
     near = pairs.select("doc", "version", "line", "words", "other").mapInArrow(verify, "doc bigint, version bigint, line int").withColumn("near", F.lit(True))
-    return exact.unionByName(near)
+    gone = space.write(exact.unionByName(near), "gone")
+    for done in (lines, distinct, words):
+        space.drop(done)
+    return gone
 
 
 def keyed_rows(docs: DataFrame, *columns: str) -> DataFrame:
