@@ -12,6 +12,7 @@ from .op6_minhash import ORACLE as OP6
 from .op6_minhash import op6_super_minhash
 from .op7_lines import ORACLE as OP7
 from .op7_lines import op7_line_dedup
+from .op8_licenses import op8_license_scan
 from .op10_bpe import op10_bpe_encode_decode
 
 QUERIES = {
@@ -22,6 +23,7 @@ QUERIES = {
     "op5_pivot_table": op5_pivot_table,
     "op6_super_minhash": op6_super_minhash,
     "op7_line_dedup": op7_line_dedup,
+    "op8_license_scan": op8_license_scan,
     "op10_bpe_encode_decode": op10_bpe_encode_decode,
 }
 ORACLES: dict[str, str] = {
