@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
+from . import balance_queries, operator_queries, tissue_queries
+
+MODULES = (tissue_queries, balance_queries, operator_queries)
+
 
 def queries() -> dict:
-    return {}
+    return {name: q for m in MODULES for name, q in m.QUERIES.items()}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {name: s for m in MODULES for name, s in m.ORACLES.items()}
