@@ -13,6 +13,7 @@ from .op6_minhash import op6_super_minhash
 from .op7_lines import ORACLE as OP7
 from .op7_lines import op7_line_dedup
 from .op8_licenses import op8_license_scan
+from .op9_suffixes import op9_suffix_array
 from .op10_bpe import op10_bpe_encode_decode
 
 QUERIES = {
@@ -24,6 +25,7 @@ QUERIES = {
     "op6_super_minhash": op6_super_minhash,
     "op7_line_dedup": op7_line_dedup,
     "op8_license_scan": op8_license_scan,
+    "op9_suffix_array": op9_suffix_array,
     "op10_bpe_encode_decode": op10_bpe_encode_decode,
 }
 ORACLES: dict[str, str] = {
