@@ -17,7 +17,7 @@ def elements(spark, rows):
 
 def test_golden_counts(spark, tiny):
     order = TISSUES["order"](spark, tiny)
-    assert interactions.candidate_counts(order, 10000).first().elements == 6000
+    assert interactions.candidate_counts(order, 10000).first().candidates == 94324
     vector = TISSUES["vector"](spark, tiny)
     assert interactions.candidate_counts(vector, 10000).first().candidates == 50706
     assert interactions.binned(vector, 10000).count() + 500 == 10708

@@ -5,7 +5,7 @@ from __future__ import annotations
 ELEMENTS = {
     "order": """SELECT l_orderkey AS cell_id,
   row_number() OVER (PARTITION BY l_orderkey ORDER BY l_partkey, l_suppkey, l_linenumber, l_quantity, l_extendedprice, l_discount, l_tax, l_returnflag, l_linestatus, l_shipdate)::INTEGER AS element_no,
-  (date_diff('day', DATE '1992-01-01', CAST(o_orderdate AS DATE)) * 1000 + (2 * CAST(l_quantity AS BIGINT) - 51) * 10)::BIGINT AS x,
+  (date_diff('day', DATE '1995-01-01', CAST(o_orderdate AS DATE)) * 1000 + (2 * CAST(l_quantity AS BIGINT) - 51) * 10)::BIGINT AS x,
   (CAST(round(o_totalprice * 100) AS BIGINT) // 500 + CAST(round(l_discount * 100) AS BIGINT) * 100 - 500)::BIGINT AS y,
   (c_nationkey::BIGINT * 2000 + CAST(round(l_tax * 100) AS BIGINT) * 100 - 400)::BIGINT AS z,
   c_mktsegment AS cell_type, CAST(l_shipdate AS DATE) AS born

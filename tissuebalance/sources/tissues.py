@@ -23,7 +23,7 @@ def order_tissue(spark: SparkSession, folder: str) -> DataFrame:
     lines, orders, customers = (table(spark, folder, t) for t in ("lineitem", "orders", "customer"))
     rest = ["l_partkey", "l_suppkey", "l_linenumber", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_linestatus", "l_shipdate"]
     joined = lines.join(orders, lines["l_orderkey"] == orders["o_orderkey"]).join(customers, F.col("o_custkey") == F.col("c_custkey"))
-    day = F.datediff(F.col("o_orderdate").cast("date"), F.lit("1992-01-01").cast("date")).cast("bigint")
+    day = F.datediff(F.col("o_orderdate").cast("date"), F.lit("1995-01-01").cast("date")).cast("bigint")
     return joined.select(
         F.col("l_orderkey").alias("cell_id"),
         F.row_number().over(Window.partitionBy("l_orderkey").orderBy(*rest)).alias("element_no"),
