@@ -18,7 +18,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import batch
+from .common import batch, sliced
 
 UNKNOWN = "und"
 
@@ -88,7 +88,7 @@ def document_frequencies(texts: DataFrame, settings: Settings) -> tuple[np.ndarr
 
     def count(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen, docs = np.zeros(1 << settings.bits, np.int64), 0
-        for got in it:
+        for got in sliced(it):
             for text in got.column(0).to_pylist():
                 seen[term_counts(text, settings)[0]] += 1
                 docs += 1
@@ -119,7 +119,7 @@ def sample_vectors(labelled: DataFrame, settings: Settings) -> list:
     kinds = pa.schema([("doc_id", pa.int64()), ("lang", pa.string()), ("at", pa.list_(pa.int32())), ("counts", pa.list_(pa.int32()))])
 
     def features(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for got in it:
+        for got in sliced(it):
             pairs = [term_counts(t, settings) for t in got.column(2).to_pylist()]
             yield batch(kinds, got.column(0), got.column(1), [p[0].astype(np.int32) for p in pairs], [np.minimum(p[1], 2**31 - 1).astype(np.int32) for p in pairs])
 
@@ -192,7 +192,7 @@ def train(docs: DataFrame, settings: Settings = Settings()) -> Model:
 
 def predict_batches(it: Iterator[pa.RecordBatch], model: Model, settings: Settings) -> Iterator[pa.RecordBatch]:
     schema = pa.schema([("doc_id", pa.int64()), ("lang_pred", pa.string()), ("score", pa.float64())])
-    for got in it:
+    for got in sliced(it):
         names, scores = [], []
         for text in got.column(1).to_pylist():
             if not model.languages or not text or not has_letter(text):
@@ -237,7 +237,7 @@ def keep_identified(docs: DataFrame, least: float = 0.5, settings: Settings = Se
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         at_text, at_lang = names.index("text"), names.index("lang")
-        for got in it:
+        for got in sliced(it):
             pair = pa.RecordBatch.from_arrays([pa.array([0] * got.num_rows, pa.int64()), got.column(at_text)], names=["doc_id", "text"])
             for said in predict_batches(iter([pair]), model.value, settings):
                 keep = np.array([n != UNKNOWN for n in said.column(1).to_pylist()], bool) & (said.column(2).to_numpy(zero_copy_only=False) >= least)

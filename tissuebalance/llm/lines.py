@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Workspace, batch, chunks, mix64, powers, span_hashes
+from .common import Workspace, batch, chunks, mix64, powers, sliced, span_hashes
 
 _BLANK = np.zeros(256, bool)
 _BLANK[[9, 11, 12, 13, 32]] = True
@@ -66,7 +66,7 @@ LINES_ARROW = pa.schema([("doc", pa.int64()), ("version", pa.int64()), ("line",
 
 
 def scan(it: Iterator[pa.RecordBatch], least: int, piece: int) -> Iterator[pa.RecordBatch]:
-    for got in it:
+    for got in sliced(it):
         docs, versions, texts = (got.column(0).to_numpy(), got.column(1).to_numpy(), got.column(2).to_pylist())
         for lo, hi in chunks(texts, piece):
             words, first, count, text = line_words(texts[lo:hi])
@@ -86,7 +86,7 @@ WORDS_ARROW = pa.schema([("key_a", pa.int64()), ("key_b", pa.int64()), ("doc", p
 
 def pick(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """The word hashes of the wanted lines of each document."""
-    for got in it:
+    for got in sliced(it):
         out: list[list] = [[] for _ in range(6)]
         rows = zip(*(got.column(n).to_pylist() for n in ("doc", "version", "text", "wanted")), strict=True)
         for doc, version, text, wanted in rows:
@@ -187,7 +187,7 @@ def dedupe_lines(docs: DataFrame, least: int = 5) -> DataFrame:
     schema = pa.schema([("doc_id", pa.int64()), ("n_lines", pa.int64()), ("n_exact", pa.int64()), ("n_near", pa.int64()), ("text", pa.string())])
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for got in it:
+        for got in sliced(it):
             counts: list[list[int]] = [[], [], []]
             kept = []
             for text, drop in zip(got.column("text").to_pylist(), got.column("gone").to_pylist(), strict=True):
@@ -209,7 +209,7 @@ def without_repeated_lines(docs: DataFrame, least: int = 5) -> DataFrame:
     keys = docs.withColumns({"_doc": F.coalesce(F.col("doc_id").cast("bigint"), F.lit(LAST)), "_version": F.xxhash64(F.coalesce(F.col("text"), F.lit("")))})
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for got in it:
+        for got in sliced(it):
             columns = {n: got.column(n) for n in names}
             texts = columns["text"].to_pylist()
             for k, drop in enumerate(got.column("_gone").to_pylist()):

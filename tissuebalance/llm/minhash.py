@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Workspace, batch, chunks, mix64
+from .common import Workspace, batch, chunks, mix64, sliced
 from .shingles import shingle_sets
 
 
@@ -73,7 +73,7 @@ def signed(docs: DataFrame, s: Settings) -> DataFrame:
     schema = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("key_a", pa.int64()), ("key_b", pa.int64()), ("bands", pa.list_(pa.int64()))])
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for got in it:
+        for got in sliced(it):
             ids, texts = got.column(0), got.column(1).to_pylist()
             for a, b in chunks(texts, s.piece):
                 sets = shingle_sets(texts[a:b], s.words)
@@ -93,7 +93,7 @@ def sets_of(docs: DataFrame, wanted: DataFrame, s: Settings) -> DataFrame:
     schema = pa.schema([("node", pa.int64()), ("hashes", pa.binary())])
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for got in it:
+        for got in sliced(it):
             texts = got.column(1).to_pylist()
             for a, b in chunks(texts, s.piece):
                 yield batch(schema, got.column(0).slice(a, b - a), [x.tobytes() for x in shingle_sets(texts[a:b], s.words)])
@@ -108,7 +108,7 @@ def linked(pairs: DataFrame, sets: DataFrame, s: Settings) -> DataFrame:
     percent = s.percent
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for got in it:
+        for got in sliced(it):
             keep = []
             for x, y in zip(got.column("hashes_a"), got.column("hashes_b"), strict=True):
                 u, v = (np.frombuffer(z.as_buffer(), np.uint64) for z in (x, y))

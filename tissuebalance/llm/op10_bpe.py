@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .bpe import PIECE, Decoder, Encoder, Vocabulary
-from .common import batch, load, text_or_empty
+from .common import batch, load, sliced, text_or_empty
 
 SCHEMA = "doc_id bigint, n_tokens bigint, ids_sha256 string, decoded_sha256 string"
 _HELD: dict[str, tuple[Vocabulary, Encoder]] = {}
@@ -28,7 +28,7 @@ def encoder(path: str) -> Encoder:
 def digests(batches: Iterator[pa.RecordBatch], path: str) -> Iterator[pa.RecordBatch]:
     schema = pa.schema([("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("ids_sha256", pa.string()), ("decoded_sha256", pa.string())])
     machine = encoder(path)
-    for got in batches:
+    for got in sliced(batches):
         counts, ids_digest, text_digest = [], [], []
         for ids in machine.encode(got.column(1).to_pylist()):
             counts.append(len(ids))

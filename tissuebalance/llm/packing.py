@@ -23,7 +23,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import Workspace, batch
+from .common import Workspace, batch, sliced
 
 #: Sequence ids of full windows start here; planned and residual sequences stay below.
 FULL = 1 << 40
@@ -133,7 +133,7 @@ PIECES_ARROW = pa.schema([(n, pa.int64()) for n in ("doc_id", "start", "length",
 def encoded(it: Iterator[pa.RecordBatch], encoder, window: int) -> Iterator[pa.RecordBatch]:
     task = TaskContext.get().partitionId()
     ranks, full = [0] * window, 0
-    for got in it:
+    for got in sliced(it):
         columns: list[list] = [[] for _ in range(5)]
         blobs = []
         for ids in encoder().encode(got.column(1).to_pylist()):
@@ -148,7 +148,7 @@ def encoded(it: Iterator[pa.RecordBatch], encoder, window: int) -> Iterator[pa.R
 
 
 def pieces(it: Iterator[pa.RecordBatch], p: Plan) -> Iterator[pa.RecordBatch]:
-    for got in it:
+    for got in sliced(it):
         out: list[tuple] = []
         rows = zip(*(got.column(n).to_pylist() for n in ("doc_id", "task", "rest", "rank", "full_before", "doc_tokens", "ids", "base")), strict=True)
         for doc, task, rest, rank, full, n, blob, base in rows:
