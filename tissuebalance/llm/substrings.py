@@ -30,7 +30,7 @@ from .common import Workspace, batch, mix64, span_hashes
 from .suffixes import common_prefixes, permuted, suffix_array
 
 LENGTH, PIECE, GROUP = 50, 16, 1024
-SHARD_BYTES, CHUNK = 4 << 20, 1 << 21
+SHARD_BYTES, CHUNK = 4 << 20, 1 << 18
 LAST = (1 << 63) - 1
 
 
@@ -48,13 +48,14 @@ def runs(raw: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarr
             h = h[:-width] * base + h[width:]
             base, width = base * base, 2 * width
         h = mix64(h) >> np.uint64(1)
-    low, at, have, want = h, np.arange(len(h), dtype=np.int32), 1, LENGTH - PIECE + 1
+    # Hash and position in one number: the least of a window is its smallest piece, leftmost of equals.
+    bits = np.uint64(36)  # the same for all pieces, so that ties of the rest fall alike everywhere
+    low, have, want = (h >> bits << bits) | np.arange(len(h), dtype=np.uint64), 1, LENGTH - PIECE + 1
     while have < want:
         step = min(have, want - have)
-        left = low[: len(low) - step] <= low[step:]
-        at = np.where(left, at[: len(at) - step], at[step:])
-        low = np.where(left, low[: len(low) - step], low[step:])
+        low = np.minimum(low[: len(low) - step], low[step:])
         have += step
+    at = (low & ((np.uint64(1) << bits) - np.uint64(1))).astype(np.int64)
     text = np.repeat(np.arange(len(raw)), size)[: len(at)]
     ok = np.arange(len(at)) + LENGTH <= ends[text]
     change = np.ones(len(at), bool)
@@ -106,7 +107,7 @@ def listed(it: Iterator[pa.RecordBatch], shards: int) -> Iterator[pa.RecordBatch
             h, d = np.concatenate(found), np.concatenate(docs)
             if not len(h):
                 continue
-            order = np.lexsort((d, h))
+            order = np.argsort(h)
             h, d = h[order], d[order]
             begin = np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1]]))
             several = np.minimum.reduceat(d, begin) != np.maximum.reduceat(d, begin)
@@ -177,9 +178,9 @@ def sent(docs: pa.Table, hot: pa.Table, shards: int) -> pa.Table:
         row, start, size, key, piece = (np.concatenate(x) for x in (row, start, size, key, piece))
         doc = ids[row] if len(row) else np.empty(0, np.int64)
         if len(row):
-            order = np.lexsort((doc, key))
+            order = np.argsort(key)
             begin = np.concatenate([[True], key[order][1:] != key[order][:-1]])
-            least = doc[order][np.flatnonzero(begin)][np.cumsum(begin) - 1]
+            least = np.minimum.reduceat(doc[order], np.flatnonzero(begin))[np.cumsum(begin) - 1]
             later = np.zeros(len(row), bool)
             later[order] = doc[order] > least
             if later.any():

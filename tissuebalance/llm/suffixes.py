@@ -91,18 +91,28 @@ def suffix_array(text: np.ndarray, depth: int) -> np.ndarray:
         at = place[ranked]
         new = np.ones(len(at), bool)
         new[1:] = (hashes[at[1:]] != hashes[at[:-1]]) | (size[at[1:]] != size[at[:-1]])
-        name = np.empty(len(seeds), np.int64)
-        name[at] = np.cumsum(new)
+        # rank: where an equal group starts in the order so far; only groups of several are sorted on.
+        starts = np.flatnonzero(new)
+        sizes = np.diff(np.append(starts, len(at)))
+        rank = np.empty(len(at), np.int64)
+        rank[at] = np.repeat(starts, sizes)
+        tied = np.flatnonzero(np.repeat(sizes > 1, sizes))
         span = 1
-        while name.max() < len(seeds) and span <= depth // 2 + 1:
-            second = np.zeros(len(seeds), np.int64)
-            second[:-span] = name[span:]
-            key = name * (len(seeds) + 1) + second
-            sort = np.argsort(key, kind="stable")
-            new = np.concatenate([[True], key[sort][1:] != key[sort][:-1]])
-            name[sort] = np.cumsum(new)
+        while len(tied) and span <= depth // 2 + 1:
+            own = at[tied]
+            after = own + span
+            key = rank[own] * (len(at) + 1)
+            inside = after < len(at)
+            key[inside] += rank[after[inside]] + 1
+            sort = np.argsort(key)
+            key, own = key[sort], own[sort]
+            at[tied] = own
+            starts = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
+            sizes = np.diff(np.append(starts, len(own)))
+            rank[own] = np.repeat(tied[starts], sizes)
+            tied = tied[np.repeat(sizes > 1, sizes)]
             span *= 2
-        seeds = seeds[np.argsort(name, kind="stable")]
+        seeds = seeds[at]
     return induce(t, small, seeds, k)[1:]
 
 
