@@ -153,6 +153,20 @@ def test_near_duplicates(spark):
     assert minhash.near_duplicates(documents(spark, [])).count() == 0
 
 
+def test_near_duplicates_behind_larger_documents(spark):
+    rng = random.Random(8)
+
+    def own(n):
+        return [f"w{rng.randrange(10**9)}" for _ in range(n)]
+
+    passage = own(100)
+    texts = [" ".join(passage + own(40)) for _ in range(200)]
+    texts += [" ".join(passage + own(4)) for _ in range(2)]
+    got = {r.doc_id: r.component_id for r in minhash.near_duplicates(documents(spark, texts), minhash.Settings(words=4)).collect()}
+    _, groups = jaccard_components(texts, 4, 80)
+    assert groups[201] == 200 and [got[k] for k in range(len(texts))] == groups
+
+
 def test_union_find_over_several_tasks(spark):
     from tissuebalance.llm.common import Workspace
 

@@ -7,9 +7,10 @@
 * Documents with the same set are one class and only its smallest id goes on, so exact copies
   never meet again. With four rows to a band and 32 bands a pair of similarity 0.8 shares no
   band with probability below 1e-7.
-* Links: each document is held against the smallest member of its buckets. Where documents that
-  buckets connect are still in several components, those outside the largest one are held
-  against all of them, in blocks. Pairs within the largest component are never looked at.
+* Links: each document is held against the smallest member of its buckets. Where a bucket's
+  documents of similar size are still in several components, those outside the largest one are
+  held against all of them, in blocks. So every pair that shares a bucket is compared, unless it
+  is linked already or its sizes alone rule the similarity out.
 * Groups: tasks join their own edges by union-find; what is left between tasks is a graph of
   their roots, which goes through again.
 """
@@ -195,7 +196,7 @@ def near_duplicates(docs: DataFrame, s: Settings = Settings()) -> DataFrame:
     sets = space.write(sets_of(docs, members.select("node").distinct(), s), "sets")
     edges = space.write(linked(stars, sets, s), "links")
     found = space.write(components(edges, space), "components")
-    late = space.write(links_in_families(members.select("node").distinct(), components(stars, space), found, sets, s), "late")
+    late = space.write(links_in_buckets(members, found, sets, s), "late")
     if not late.isEmpty():
         found = space.write(components(space.write(edges.union(late), "links"), space), "components")
     by_class = classes.select(*(F.col(c).alias(f"_{c}") for c in ("n_shingles", "key_a", "key_b")), "node").join(found, "node", "left")
@@ -204,42 +205,69 @@ def near_duplicates(docs: DataFrame, s: Settings = Settings()) -> DataFrame:
     return rows.select("doc_id", "n_shingles", group.alias("component_id"), F.coalesce(F.col("doc_id") == group, F.lit(True)).alias("kept"))
 
 
-def links_in_families(nodes: DataFrame, families: DataFrame, found: DataFrame, sets: DataFrame, s: Settings, block: int = 512) -> DataFrame:
-    """Links (a, b) between components of one family (nodes that buckets connect, verified or not).
+def parity_bits(hashes: np.ndarray, owner: np.ndarray, n: int) -> np.ndarray:
+    """1024 bits a set: how often its hashes meet each place, modulo 2. Two sets differ in at least as many elements as bits."""
+    at = owner * 1024 + (hashes & np.uint64(1023)).astype(np.int64)
+    odd = (np.bincount(at, minlength=n * 1024) & 1).astype(bool)
+    return np.packbits(odd.reshape(n, 1024), axis=1).view(np.uint64)
 
-    Those outside a family's largest component are held against the whole family, in blocks of
-    about `block` nodes, so a task's size does not depend on the family's. One link to each other
-    component is enough. In a family of two the only pair has been verified before.
+
+def links_in_buckets(members: DataFrame, found: DataFrame, sets: DataFrame, s: Settings, block: int = 512) -> DataFrame:
+    """Links (a, b) between components that share a bucket; members: node, n_shingles, bucket, first.
+
+    A bucket is split into cells of two neighbouring size bands, so that any two sizes which the
+    similarity allows meet in one. Those outside a cell's largest component are held against the
+    whole cell, in blocks of about `block` nodes, so a task's size does not depend on the cell's.
+    Cells with the same nodes count once. One link to each other component is enough. Pairs with
+    the bucket's first node have been verified before.
     """
-    own = nodes.join(families.select("node", F.col("component").alias("family")), "node").join(found, "node", "left")
-    own = own.select("node", "family", F.coalesce("component", "node").alias("component"))
-    parts = own.groupBy("family", "component").agg(F.count(F.lit(1)).alias("n"))
-    mixed = parts.groupBy("family").agg(F.count(F.lit(1)).alias("parts"), F.sum("n").alias("all"), F.max("n").alias("most"), F.max_by("component", F.struct("n", F.negative("component"))).alias("largest")).where("parts > 1 and all > 2")
-    here = own.join(mixed, "family").join(sets, "node")
+    band = F.floor(F.log("n_shingles") * ((1 - 1e-9) / max(np.log(100 / s.percent), 1e-3)))
+    own = members.distinct().join(found, "node", "left").withColumn("cell", F.explode(F.array(band - 1, band)))
+    own = own.select("bucket", "cell", "first", "node", F.coalesce("component", "node").alias("component"))
+    marks = [F.bit_xor(F.xxhash64("node", F.lit(k))).alias(f"mark_{k}") for k in (1, 2)]
+    parts = own.groupBy("bucket", "cell", "component").agg(F.count(F.lit(1)).alias("n"), F.min("node").alias("low"), F.min("first").alias("first"), *marks)
+    cells = parts.groupBy("bucket", "cell").agg(
+        F.count(F.lit(1)).alias("parts"), F.sum("n").alias("all"), F.max("n").alias("most"), F.max_by("component", F.struct("n", F.negative("component"))).alias("largest"),
+        F.min("low").alias("low"), F.min("first").alias("first"), *(F.bit_xor(f"mark_{k}").alias(f"mark_{k}") for k in (1, 2)),
+    )
+    mixed = cells.where("parts > 1 and (all > 2 or low <> first)").groupBy("all", "low", "mark_1", "mark_2").agg(F.min(F.struct("bucket", "cell", "most", "largest")).alias("one"))
+    here = own.drop("first").join(mixed.select("all", "one.*"), ["bucket", "cell"])
     wide, deep = F.ceil(F.col("all") / block), F.ceil((F.col("all") - F.col("most")) / block)
     at = F.xxhash64("node", F.lit(s.words))
     few = here.where("component <> largest").withColumn("j", F.pmod(at, deep)).withColumn("i", F.explode(F.sequence(F.lit(0).cast("bigint"), wide - 1)))
     every = here.withColumn("i", F.pmod(at, wide)).withColumn("j", F.explode(F.sequence(F.lit(0).cast("bigint"), deep - 1)))
-    columns = ["family", "i", "j", "node", "component", "hashes"]
+    columns = ["bucket", "cell", "i", "j", "node", "component", "hashes"]
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
+    def opened(side: pa.Table) -> tuple[list[np.ndarray], np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """Sets from the smallest, their sizes, bits, nodes and components."""
+        blobs = [np.frombuffer(h.as_buffer(), np.uint64) for h in side.column("hashes")]
+        size = np.array([len(x) for x in blobs])
+        order = np.argsort(size, kind="stable")
+        blobs, size = [blobs[k] for k in order], size[order]
+        bits = parity_bits(np.concatenate(blobs), np.repeat(np.arange(len(blobs)), size), len(blobs))
+        return blobs, size, bits, side.column("node").to_numpy()[order], side.column("component").to_numpy()[order]
+
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
         out: list[tuple[int, int]] = []
         if left.num_rows and right.num_rows:
-            blobs = [np.frombuffer(h.as_buffer(), np.uint64) for h in right.column("hashes")]
-            size = np.array([len(x) for x in blobs])
-            starts = np.cumsum(size) - size
-            every_hash, group, ids = np.concatenate(blobs), right.column("component").to_numpy(), right.column("node").to_numpy()
-            for node, component, h in zip(left.column("node").to_pylist(), left.column("component").to_pylist(), left.column("hashes"), strict=True):
-                x = np.frombuffer(h.as_buffer(), np.uint64)
-                at = np.searchsorted(x, every_hash)
-                at[at == len(x)] = 0
-                both = np.add.reduceat((x[at] == every_hash).astype(np.int64), starts)
-                hit = np.flatnonzero((100 * both >= s.percent * (len(x) + size - both)) & (group != component))
-                _, first = np.unique(group[hit], return_index=True)
-                out += [(max(node, int(b)), min(node, int(b))) for b in ids[hit[first]]]
+            mine, n_mine, bits_mine, ids_mine, groups_mine = opened(left)
+            theirs, n_theirs, bits_theirs, ids_theirs, groups_theirs = opened(right)
+            _, group = np.unique(np.concatenate([groups_mine, groups_theirs]), return_inverse=True)
+            low, high = np.searchsorted(n_theirs, -(-s.percent * n_mine // 100)), np.searchsorted(n_theirs, 100 * n_mine // s.percent, "right")
+            for k, x in enumerate(mine):
+                near = slice(low[k], high[k])
+                differ = np.bitwise_count(bits_theirs[near] ^ bits_mine[k]).sum(axis=1, dtype=np.int64)
+                total = n_theirs[near] + len(x)
+                able = ((100 + s.percent) * differ <= (100 - s.percent) * total) & (group[len(mine) :][near] != group[k])
+                for r in (np.flatnonzero(able) + low[k]).tolist():
+                    if group[len(mine) + r] != group[k]:
+                        both = len(np.intersect1d(x, theirs[r], assume_unique=True))
+                        if 100 * both >= s.percent * (len(x) + len(theirs[r]) - both):
+                            out.append((max(int(ids_mine[k]), int(ids_theirs[r])), min(int(ids_mine[k]), int(ids_theirs[r]))))
+                            group[group == group[len(mine) + r]] = group[k]
         return pa.table([pa.array([o[k] for o in out], pa.int64()) for k in (0, 1)], schema=schema)
 
-    few, every = (side.select(*(F.col(c).alias(c) for c in columns)) for side in (few, every))
-    pairs = few.groupBy("family", "i", "j").cogroup(every.groupBy("family", "i", "j"))
+    few, every = (side.join(sets, "node").select(*(F.col(c).alias(c) for c in columns)) for side in (few, every))
+    pairs = few.groupBy("bucket", "cell", "i", "j").cogroup(every.groupBy("bucket", "cell", "i", "j"))
     return pairs.applyInArrow(run, "a bigint, b bigint").distinct()
