@@ -3,6 +3,7 @@
 import hashlib
 import random
 import re
+import textwrap
 import zlib
 
 import numpy as np
@@ -300,6 +301,27 @@ def test_licenses(spark):
     assert got[3].line == 1 and got[3].missing == ""
 
 
+def test_licenses_wrapped_and_several(spark):
+    mit, bsd = licenses.TEMPLATES["MIT"][2], licenses.TEMPLATES["BSD-3-Clause"][1]
+    every = [(name, s) for name, statements in licenses.TEMPLATES.items() for s in statements]
+    texts = [
+        "\n".join(["Notes.", *(f" * {x}" for x in textwrap.wrap(mit, 60)), "", "Other text."]),
+        bsd.replace("without ", "without\n"),
+        "Released under the MIT License.\nLicensed under the Apache License, Version 2.0.\nReleased under the ISC License.",
+        "Our code: Released under the MIT License. Our texts: Licensed under CC BY-SA 4.0. Our license is odd otherwise.",
+        "This is free and unencumbered software released into the public\n# domain.",
+        " ".join(f"{s} And then some words of prose stand here." for _, s in every),
+        mit.replace("any person", "any living person").replace("free of charge, ", "") + "\n" * 3 + "Our license is odd.",
+    ]
+    rows = licenses.scan_licenses(documents(spark, texts)).orderBy("doc_id", "line").collect()
+    got = [[(r.line, r.n_lines, r.license) for r in rows if r.doc_id == k] for k in range(len(texts))]
+    assert got[:3] == [[(1, len(textwrap.wrap(mit, 60)), "MIT")], [(0, 2, "BSD-3-Clause")], [(0, 1, "MIT"), (1, 1, "Apache-2.0"), (2, 1, "ISC")]]
+    assert got[3] == [(0, 1, "MIT"), (0, 1, "CC-BY-SA-4.0")] and got[4] == [(0, 2, "Unlicense")]
+    assert [x[2] for x in got[5]] == [name for name, _ in every]
+    assert [x[2] for x in got[6]] == ["MIT", None]
+    assert [(r.missing, r.extra) for r in rows if r.doc_id == 6] == [("free of charge", "living"), ("", "")]
+
+
 def test_pipeline(spark, tiny):
     corpus_pipeline = pytest.importorskip("corpus_pipeline")
     docs = spark.read.parquet(f"{tiny}/documents.parquet")

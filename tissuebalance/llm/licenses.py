@@ -1,17 +1,19 @@
 """License scans by conditional compression.
 
-A block is a run of lines that mention licensing. Its size is compared with its size when a
-template's wording is given to zstandard as a raw dictionary: the template that saves most
-explains the block best. The winners of that ranking are confirmed, in order, by aligning words
-exactly with each of the template's statements and listing what differs.
+The words around each mention of licensing, as far as the longest statement may reach, are aligned
+exactly with every statement of every template, whatever the line breaks. Statements that are
+found to a sufficient share are confirmed, the one with most words first; each stretch of words
+counts for one statement, and what is left beside it is searched again. The size of the found
+lines is compared with their size when a template's wording is given to zstandard as a raw
+dictionary: that gain orders statements that fit equally well, and is given with each row.
 """
 
 from __future__ import annotations
 
-import difflib
 import re
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 import zstandard
 from pyspark.sql import DataFrame
@@ -38,90 +40,148 @@ TEMPLATES = {
     "Proprietary": ["All rights reserved.", "Copyright. All rights reserved. Unauthorized copying is strictly prohibited."],
 }
 
-MENTION = r"(?i)licen[sc]e|copyright|spdx|all rights reserved|public domain|creative commons|permission (?:is hereby|to use)|redistribut|\bCC[ -](?:BY|0)|\bCC0\b"
+_GAP = "[^A-Za-z0-9]+"
+MENTION = rf"(?i)licen[sc]e|copyright|spdx|all{_GAP}rights{_GAP}reserved|public{_GAP}domain|creative{_GAP}commons|permission{_GAP}(?:is{_GAP}hereby|to{_GAP}use)|redistribut|\bCC{_GAP}(?:BY|0)|\bCC0\b"
 _MENTION = re.compile(MENTION)
 _WORD = re.compile(r"[a-z0-9]+(?:\.[0-9]+)*")
+_ONE = 1 << 32
 
 
 def words(text: str) -> list[str]:
     return _WORD.findall(text.lower())
 
 
-def blocks(text: str) -> Iterator[tuple[int, list[str]]]:
-    """(first line, lines) of each run of lines that mention licensing."""
-    first, held = 0, []
-    for k, line in enumerate(text.split("\n")):
-        if _MENTION.search(line):
-            if not held:
-                first = k
-            held.append(line)
-        elif held:
-            yield first, held
-            held = []
-    if held:
-        yield first, held
+def alignments(statement: np.ndarray, text: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Ends in text, starts and scores of the best alignments: statement words found in order less words put between."""
+    at = np.arange(len(text) + 1)
+    fall, best = at * _ONE, at
+    for w in statement:
+        more = best.copy()
+        np.maximum(more[1:], np.where(text == w, best[:-1] + _ONE, 0), out=more[1:])
+        best = np.maximum(np.maximum.accumulate(more + fall) - fall, at)
+    ends = np.flatnonzero(best[1:] > best[:-1] - _ONE) + 1
+    return ends, best[ends] & (_ONE - 1), best[ends] >> 32
+
+
+def differences(statement: list[str], found: list[str]) -> tuple[list[str], list[str]]:
+    """The statement's words that are missing in found, and the words put between, by one best alignment."""
+    n, m = len(statement), len(found)
+    common = [[0] * (m + 1) for _ in range(n + 1)]
+    for i in range(n - 1, -1, -1):
+        for j in range(m - 1, -1, -1):
+            common[i][j] = 1 + common[i + 1][j + 1] if statement[i] == found[j] else max(common[i + 1][j], common[i][j + 1])
+    missing, extra, i, j = [], [], 0, 0
+    while i < n or j < m:
+        if i < n and j < m and statement[i] == found[j]:
+            i, j = i + 1, j + 1
+        elif i < n and (j == m or common[i + 1][j] >= common[i][j + 1]):
+            missing.append(statement[i])
+            i += 1
+        else:
+            extra.append(found[j])
+            j += 1
+    return missing, extra
 
 
 class Scanner:
-    def __init__(self, templates: dict[str, list[str]], level: int = 3) -> None:
-        self.templates, self.plain = templates, zstandard.ZstdCompressor(level=level, write_content_size=False)
+    def __init__(self, templates: dict[str, list[str]], least: float, level: int = 3) -> None:
+        self.least, self.plain = least, zstandard.ZstdCompressor(level=level, write_content_size=False)
         self.given = {name: zstandard.ZstdCompressor(level=level, write_content_size=False, write_dict_id=False, dict_data=zstandard.ZstdCompressionDict(" ".join(s).encode(), dict_type=zstandard.DICT_TYPE_RAWCONTENT)) for name, s in templates.items()}
-        self.words = {name: [words(s) for s in statements] for name, statements in templates.items()}
+        self.statements = [(name, words(s)) for name, statements in templates.items() for s in statements]
+        self.number: dict[str, int] = {}
+        self.coded = [np.array([self.number.setdefault(w, len(self.number)) for w in s]) for _, s in self.statements]
+        self.reach = int(max(len(s) for _, s in self.statements) * (2 - least)) + 1
 
-    def ranked(self, block: str) -> list[tuple[float, str]]:
-        """Templates by the share of the block's compressed size that they save, ties by name."""
+    def gains(self, block: str) -> dict[str, float]:
+        """The share of the block's compressed size that each template saves."""
         raw = block.encode("utf-8", "surrogatepass")
         alone = len(self.plain.compress(raw))
-        return sorted(((1 - len(c.compress(raw)) / alone, name) for name, c in self.given.items()), key=lambda x: (-x[0], x[1]))
-
-    def differences(self, name: str, block: list[str]) -> tuple[float, list[str], list[str]]:
-        """The best aligned statement's share of words found in order, its missing words, and words put between."""
-        best: tuple[float, int, list[str], list[str]] = (0.0, 0, [], [])
-        for statement in self.words[name]:
-            found = [m for m in difflib.SequenceMatcher(None, statement, block, autojunk=False).get_matching_blocks() if m.size]
-            share = sum(m.size for m in found) / max(1, len(statement))
-            missing, extra, a, b = [], [], 0, None
-            for m in found:
-                missing += statement[a : m.a]
-                extra += block[b : m.b] if b is not None else []
-                a, b = m.a + m.size, m.b + m.size
-            missing += statement[a:]
-            if (share - len(extra) / max(1, len(statement)), len(statement)) > (best[0], best[1]):
-                best = (share - len(extra) / max(1, len(statement)), len(statement), missing, extra)
-        return best[0], best[2], best[3]
-
-    def scan(self, block: list[str], tries: int, least: float) -> tuple[str | None, float, list[str], list[str]]:
-        """The first ranked template that is confirmed; without one, the best gain only."""
-        order = self.ranked("\n".join(block))
-        own = words("\n".join(block))
-        seen = [(self.differences(name, own), gain, name) for gain, name in order[:tries]]
-        good = [x for x in seen if x[0][0] >= least]
-        if not good:
-            return None, order[0][0], [], []
-        (_, missing, extra), gain, name = max(good, key=lambda x: (x[0][0], -seen.index(x)))
-        return name, gain, missing, extra
+        return {name: 1 - len(c.compress(raw)) / alone for name, c in self.given.items()}
+
+    def confirmed(self, codes: np.ndarray, gain) -> list[tuple[int, int, int]]:
+        """(start, end, statement) of the statements in a text's words; gain(start, end, name) orders equals."""
+        out, todo = [], [(0, len(codes))]
+        while todo:
+            lo, hi = todo.pop()
+            here, seen = codes[lo:hi], set(codes[lo:hi].tolist())
+            able = []
+            for k, coded in enumerate(self.coded):
+                if sum(w in seen for w in coded.tolist()) >= self.least * len(coded):
+                    for end, start, score in zip(*(x.tolist() for x in alignments(coded, here)), strict=True):
+                        if score / len(coded) >= self.least:
+                            able.append((score, score / len(coded), (lo + start, lo + end), k))
+            if not able:
+                continue
+            able.sort(key=lambda x: (-x[0], -x[1], -gain(*x[2], self.statements[x[3]][0]), self.statements[x[3]][0], x[2]))
+            taken: list[tuple[int, int]] = []
+            for _, _, (a, b), k in able:
+                if all(b <= c or d <= a for c, d in taken):
+                    taken.append((a, b))
+                    out.append((a, b, k))
+            taken = [(lo, lo), *sorted(taken), (hi, hi)]
+            todo += [(b, c) for (_, b), (c, _) in zip(taken, taken[1:], strict=False) if b < c]
+        return sorted(out)
+
+    def scan(self, text: str) -> list[tuple[int, int, str | None, float, list[str], list[str]]]:
+        """First line, number of lines, license, gain, missing and extra words of each confirmed statement, and
+        of each run of other lines that mention licensing (license None, the best gain)."""
+        low, lines = text.lower(), text.split("\n")
+        stops = np.array([k for k, c in enumerate(low) if c == "\n"], np.int64)
+        found = list(_WORD.finditer(low))
+        mentions = [m.span() for m in _MENTION.finditer(low)]
+        begin = np.array([m.start() for m in found], np.int64)
+        line = np.searchsorted(stops, begin)
+        own = [m.group() for m in found]
+        codes = np.array([self.number.get(w, -1) for w in own], np.int64)
+        regions: list[list[int]] = []
+        for a, b in mentions:
+            a, b = max(0, int(np.searchsorted(begin, a, "right")) - 1 - self.reach), min(len(own), int(np.searchsorted(begin, b)) + self.reach)
+            if regions and a <= regions[-1][1]:
+                regions[-1][1] = b
+            else:
+                regions.append([a, b])
+        known: dict[tuple[int, int], dict[str, float]] = {}
+
+        def gains(first: int, last: int) -> dict[str, float]:
+            if (first, last) not in known:
+                known[first, last] = self.gains("\n".join(lines[first : last + 1]))
+            return known[first, last]
+
+        out, covered = [], set()
+        for lo, hi in regions:
+            for a, b, k in self.confirmed(codes[lo:hi], lambda a, b, name: gains(int(line[lo + a]), int(line[lo + b - 1]))[name]):  # noqa: B023
+                name, statement = self.statements[k]
+                first, last = int(line[lo + a]), int(line[lo + b - 1])
+                covered.update(range(first, last + 1))
+                out.append((first, last - first + 1, name, gains(first, last)[name], *differences(statement, own[lo + a : lo + b])))
+        rest = sorted({k for a, b in mentions for k in range(*(int(x) for x in (np.searchsorted(stops, a), np.searchsorted(stops, b - 1) + 1)))} - covered)
+        for k, x in enumerate(rest):
+            if not k or rest[k - 1] + 1 < x:
+                n = next(i for i in range(1, len(rest) - k + 1) if k + i == len(rest) or rest[k + i] > x + i)
+                out.append((x, n, None, max(gains(x, x + n - 1).values()), [], []))
+        return sorted(out, key=lambda r: r[0])
 
 
 SCHEMA = "doc_id bigint, line bigint, n_lines bigint, license string, gain double, missing string, extra string"
 
 
-def scan_licenses(docs: DataFrame, tries: int = 5, least: float = 0.8) -> DataFrame:
-    """One row for each block of docs (doc_id, text): where it stands, its license (null if none is
-    confirmed), the size saved, and the words missing from or put into the license's statement.
+def scan_licenses(docs: DataFrame, least: float = 0.8) -> DataFrame:
+    """One row for each license statement in docs (doc_id, text): where it stands, its license, the
+    size saved, and the words missing from or put into the statement. Lines that mention licensing
+    beside all confirmed statements give rows with a null license.
 
-    Null and empty texts have no blocks. Repeated rows each give their rows, extra columns are
+    Null and empty texts have no rows. Repeated rows each give their rows, extra columns are
     ignored, an empty table gives none. Whole texts are searched, however long.
     """
     kinds = pa.schema([("doc_id", pa.int64()), ("line", pa.int64()), ("n_lines", pa.int64()), ("license", pa.string()), ("gain", pa.float64()), ("missing", pa.string()), ("extra", pa.string())])
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        scanner = Scanner(TEMPLATES)
+        scanner = Scanner(TEMPLATES, least)
         for got in it:
             out: list[tuple] = []
             for doc, text in zip(got.column(0).to_pylist(), got.column(1).to_pylist(), strict=True):
-                for line, block in blocks(text):
-                    name, gain, missing, extra = scanner.scan(block, tries, least)
-                    out.append((doc, line, len(block), name, round(gain, 6), " ".join(missing), " ".join(extra)))
+                for line, n_lines, name, gain, missing, extra in scanner.scan(text):
+                    out.append((doc, line, n_lines, name, round(gain, 6), " ".join(missing), " ".join(extra)))
             yield batch(kinds, *(zip(*out, strict=True) if out else [[]] * 7))
 
     return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").where(F.col("text").rlike(MENTION)).mapInArrow(run, SCHEMA)
