@@ -23,7 +23,7 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Lines that repeat an earlier line up to one word go; documents stay."""
+    """Lines that repeat an earlier line go, from five words on up to one word; documents stay."""
     return without_repeated_lines(docs)
 
 

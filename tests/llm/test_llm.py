@@ -197,6 +197,27 @@ def test_lines_against_brute_force(spark):
     assert lines.dedupe_lines(documents(spark, [])).count() == 0
 
 
+def test_stage_drops_short_repeats(spark):
+    rng = random.Random(9)
+    odd = ["All rights reserved.", " All  rights reserved. ", "Les.", "}", "漢字" * 150, "https://example.org/" + "a/" * 80, "", "  ", "漢字", BASE, BASE + " now"]
+    texts = [*odd_texts(), *("\n".join(rng.choice(odd) for _ in range(rng.randint(1, 12))) for _ in range(30))]
+    got = {r.doc_id: r for r in lines.without_repeated_lines(documents(spark, texts)).collect()}
+    seen: dict[tuple[str, ...], None] = {}
+    for k, t in enumerate(texts):
+        kept = []
+        for line in (t or "").split("\n"):
+            w = tuple(x for x in re.split(r"[\x20\x09\x0B\x0C\x0D]+", line) if x)
+            number = {x: i for i, x in enumerate({x for s in (w, *seen) for x in s})}
+            long = [np.array([number[x] for x in s]) for s in seen if len(s) >= 5]
+            gone = w in seen or len(w) >= 5 and any(lines.within_one(np.array([number[x] for x in w]), s) for s in long)
+            if w:
+                seen[w] = None
+            if not gone:
+                kept.append(line)
+        assert got[k].text == (None if t is None else "\n".join(kept)), k
+        assert got[k].n_chars == (None if t is None else len(got[k].text))
+
+
 PATTERNS = {"email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", "ip": r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", "card": r"[0-9]([\x20-]?[0-9])+", "phone": r"\+[0-9][\x20().0-9-]+[0-9]"}
 
 

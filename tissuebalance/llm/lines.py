@@ -1,7 +1,8 @@
 """Near-duplicate lines by a deletion-neighbourhood join.
 
 Lines of at least `least` words are compared as word sequences; the edit bound is one word
-inserted, deleted or replaced. Equal sequences meet first and only the earliest goes on. A line
+inserted, deleted or replaced. Shorter lines that are not blank may take part too (`short`), but
+for equal words only. Equal sequences meet first and only the earliest goes on. A line
 can only have a neighbour if another line shares its first or its last half (one edit leaves
 one half whole, counted on the shorter line), so only such lines emit their neighbourhood:
 
@@ -65,19 +66,21 @@ LINES = "doc bigint, version bigint, line int, key_a bigint, key_b bigint, halve
 LINES_ARROW = pa.schema([("doc", pa.int64()), ("version", pa.int64()), ("line", pa.int32()), ("key_a", pa.int64()), ("key_b", pa.int64()), ("halves", pa.list_(pa.int64()))])
 
 
-def scan(it: Iterator[pa.RecordBatch], least: int, piece: int) -> Iterator[pa.RecordBatch]:
+def scan(it: Iterator[pa.RecordBatch], least: int, piece: int, short: bool) -> Iterator[pa.RecordBatch]:
     for got in sliced(it):
         docs, versions, texts = (got.column(0).to_numpy(), got.column(1).to_numpy(), got.column(2).to_pylist())
         for lo, hi in chunks(texts, piece):
             words, first, count, text = line_words(texts[lo:hi])
             begin = np.searchsorted(text, np.arange(hi - lo))
             number = np.arange(len(first)) - begin[text]
-            keep = np.flatnonzero(count >= least)
+            keep = np.flatnonzero(count >= (1 if short else least))
             a, n = first[keep], count[keep]
             b = a + n
+            long = n >= least
             one, two = sums(words), sums(mix64(words ^ np.uint64(0x5851F42D4C957F2D)))
-            halves = np.stack([ranges(one, a, a + n // 2, 1), ranges(one, a, a + (n - 1) // 2, 1), ranges(one, b - n // 2, b, 2), ranges(one, b - (n - 1) // 2, b, 2)], axis=1)
-            lists = pa.ListArray.from_arrays(pa.array(np.arange(len(keep) + 1, dtype=np.int32) * 4), pa.array(halves.view(np.int64).ravel()))
+            x, y, h = a[long], b[long], n[long]
+            halves = np.stack([ranges(one, x, x + h // 2, 1), ranges(one, x, x + (h - 1) // 2, 1), ranges(one, y - h // 2, y, 2), ranges(one, y - (h - 1) // 2, y, 2)], axis=1)
+            lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(4 * long)]).astype(np.int32)), pa.array(halves.view(np.int64).ravel()))
             yield batch(LINES_ARROW, docs[lo:hi][text[keep]], versions[lo:hi][text[keep]], number[keep].astype(np.int32), ranges(one, a, b, 3).view(np.int64), ranges(two, a, b, 4).view(np.int64), lists)
 
 
@@ -141,9 +144,9 @@ def verify(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield batch(pa.schema([(n, got.schema.field(n).type) for n in ("doc", "version", "line")]), *(got.column(n) for n in ("doc", "version", "line"))).filter(pa.array(keep, pa.bool_()))
 
 
-def dropped_lines(rows: DataFrame, space: Workspace, least: int, piece: int = 1 << 20) -> DataFrame:
+def dropped_lines(rows: DataFrame, space: Workspace, least: int, piece: int = 1 << 20, short: bool = False) -> DataFrame:
     """doc, version, line, near of each line to drop; rows: doc, version, text."""
-    lines = space.write(rows.mapInArrow(lambda it: scan(it, least, piece), LINES), "lines")
+    lines = space.write(rows.mapInArrow(lambda it: scan(it, least, piece, short), LINES), "lines")
     place = F.struct("doc", "version", "line")
     distinct = space.write(lines.groupBy("key_a", "key_b").agg(F.min(place).alias("first"), F.count(F.lit(1)).alias("n"), F.first("halves").alias("halves")), "distinct")
     again = distinct.where("n > 1").select("key_a", "key_b", "first")
@@ -202,9 +205,12 @@ def dedupe_lines(docs: DataFrame, least: int = 5) -> DataFrame:
 
 
 def without_repeated_lines(docs: DataFrame, least: int = 5) -> DataFrame:
-    """The pipeline's stage: the same columns with repeated lines taken out of text; n_chars follows."""
+    """The pipeline's stage: the same columns with repeated lines taken out of text; n_chars follows.
+
+    As dedupe_lines, but shorter lines that are not blank go too where an earlier one has the same words.
+    """
     space = Workspace(docs.sparkSession, "lines")
-    gone = dropped_lines(keyed_rows(docs), space, least).groupBy("doc", "version").agg(F.collect_set("line").alias("gone"))
+    gone = dropped_lines(keyed_rows(docs), space, least, short=True).groupBy("doc", "version").agg(F.collect_set("line").alias("gone"))
     names, kinds = docs.columns, docs.schema
     keys = docs.withColumns({"_doc": F.coalesce(F.col("doc_id").cast("bigint"), F.lit(LAST)), "_version": F.xxhash64(F.coalesce(F.col("text"), F.lit("")))})
 
