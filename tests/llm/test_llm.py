@@ -293,25 +293,39 @@ def test_suffix_order():
         assert order.tolist() == sorted(range(len(s)), key=lambda i: s[i:].tolist())
 
 
-def test_substrings_against_brute_force(spark):
-    rng = random.Random(6)
-    texts = [*odd_texts(), *("ab" * rng.randint(0, 90) + BASE[rng.randint(0, 40) :] + rng.choice(["", "漢" * 40, "a" * 120]) for _ in range(40))]
-    rows = [(700 * k, t) for k, t in enumerate(texts)]
-    first: dict[bytes, int] = {}
+def repeats(rows):
+    """By brute force: bytes, removed bytes, spans and kept digest of each (id, text)."""
+    first: dict[bytes, float] = {}
     for d, t in rows:
         b = (t or "").encode()
         for i in range(len(b) - 49):
-            first.setdefault(b[i : i + 50], d)
-    got = {r.doc_id: r for r in substrings.without_repeats(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()}
+            first[b[i : i + 50]] = min(first.get(b[i : i + 50], float("inf")), float("inf") if d is None else d)
+    out = []
     for d, t in rows:
         b = (t or "").encode()
         gone = [False] * len(b)
         for i in range(len(b) - 49):
-            if first[b[i : i + 50]] < d:
+            if first[b[i : i + 50]] < (float("inf") if d is None else d):
                 gone[i : i + 50] = [True] * 50
         spans = sum(g and (i == 0 or not gone[i - 1]) for i, g in enumerate(gone))
-        assert (got[d].n_bytes, got[d].n_removed, got[d].n_spans) == (len(b), sum(gone), spans)
-        assert got[d].kept_sha256 == hashlib.sha256(bytes(x for x, g in zip(b, gone, strict=True) if not g)).hexdigest()
+        out.append((d, len(b), sum(gone), spans, hashlib.sha256(bytes(x for x, g in zip(b, gone, strict=True) if not g)).hexdigest()))
+    return sorted(out, key=str)
+
+
+def passages(rng):
+    return [*odd_texts(), *("ab" * rng.randint(0, 90) + BASE[rng.randint(0, 40) :] + rng.choice(["", "漢" * 40, "a" * 120]) for _ in range(40))]
+
+
+@pytest.mark.parametrize("heavy", [4096, 3])
+def test_substrings_against_brute_force(spark, heavy):
+    rng = random.Random(6)
+    rows = [(70000 * k, t) for k, t in enumerate(passages(rng))]
+    # Clashing columns, repeated rows and ids, null ids, a long text that later ones quote.
+    long = " ".join(f"{rng.randrange(10**6)} {x}" for x in BASE.split() for _ in range(700))
+    rows += [(5, long), (9_000_000, long[3000:9000] + "x"), (9_000_001, "y" + long[-700:]), (9_000_001, long[:400]), (None, BASE), (None, long[50:150]), (None, long[50:150]), *rows[:3]]
+    frame = spark.createDataFrame([(d, t, 1, b"", "x") for d, t in rows], "doc_id bigint, text string, group int, raw binary, shard string")
+    got = substrings.without_repeats(frame, heavy=heavy, n_parts=3).collect()
+    assert sorted((tuple(r) for r in got), key=str) == repeats(rows)
     assert substrings.without_repeats(documents(spark, [])).count() == 0
 
 

@@ -40,6 +40,9 @@ class Workspace:
         self.count = 0
 
     def write(self, df: DataFrame, name: str) -> DataFrame:
+        """The rows of df from a table of their own. What only earlier steps needed goes first:
+        shuffle files are deleted once the driver's JVM finds their plans unreachable."""
+        self.spark.sparkContext._jvm.System.gc()
         self.count += 1
         path = f"{self.root}/{self.count}-{name}"
         df.write.option("compression", "zstd").parquet(path)
@@ -58,6 +61,11 @@ def shuffle_partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
 
+def tasks_for(spark: SparkSession, size: int, each: int) -> int:
+    """How many tasks share `size` so that each gets about `each`, and none of the cores is idle."""
+    return max(spark.sparkContext.defaultParallelism, -(-size // each))
+
+
 def text_or_empty(column: str = "text") -> Column:
     return F.coalesce(F.col(column), F.lit(""))
 
@@ -100,8 +108,20 @@ def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _POWERS["up"], _POWERS["down"]
 
 
-def span_hashes(codes: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """64-bit hashes of codes[starts[i]:ends[i]], equal for equal content wherever it stands."""
+def span_hashes(codes: np.ndarray, starts: np.ndarray, ends: np.ndarray, block: int = 1 << 18) -> np.ndarray:
+    """64-bit hashes of codes[starts[i]:ends[i]], equal for equal content wherever it stands. Works block by block."""
+    if len(codes) > block and len(starts):
+        if (starts[1:] < starts[:-1]).any():
+            order = np.argsort(starts, kind="stable")
+            out = np.empty(len(starts), np.uint64)
+            out[order] = span_hashes(codes, starts[order], ends[order], block)
+            return out
+        cuts = np.unique([0, *np.searchsorted(starts, np.arange(block, len(codes), block)), len(starts)]).tolist()
+        return np.concatenate([_hashes(codes[starts[a] : ends[a:b].max()], starts[a:b] - starts[a], ends[a:b] - starts[a]) for a, b in zip(cuts, cuts[1:], strict=False)])
+    return _hashes(codes, starts, ends)
+
+
+def _hashes(codes: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
     up, down = powers(len(codes) + 1)
     total = np.empty(len(codes) + 1, np.uint64)
     total[0] = 0

@@ -13,6 +13,7 @@ from .op6_minhash import op6_super_minhash
 from .op7_lines import ORACLE as OP7
 from .op7_lines import op7_line_dedup
 from .op8_licenses import op8_license_scan
+from .op9_suffixes import ORACLE as OP9
 from .op9_suffixes import op9_suffix_array
 from .op10_bpe import op10_bpe_encode_decode
 
@@ -32,4 +33,5 @@ ORACLES: dict[str, str] = {
     "op5_pivot_table": OP5,
     "op6_super_minhash": OP6,
     "op7_line_dedup": OP7,
+    "op9_suffix_array": OP9,
 }

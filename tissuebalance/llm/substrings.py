@@ -5,7 +5,7 @@ smaller id. Windows of that length are told apart by their smallest k-byte piece
 leftmost of equals): equal windows have equal pieces. Runs of windows with one such piece are
 what travels:
 
-1. Groups of up to 1024 neighbouring ids list the hashes of their pieces, each once.
+1. Groups of neighbouring ids list the hashes of their pieces, each once.
 2. Hashes listed by two groups, or by two documents of one group, are sent back to the groups.
 3. Groups send the runs of those pieces to the hash's shard, where each distinct text of a run
    goes once per group, with its smallest id; for larger ids in the group nothing is left to ask.
@@ -13,7 +13,11 @@ what travels:
    smallest id among the suffixes that share its first `length` bytes with it.
 5. Groups cut what was found out of their documents.
 
-A string that a third of all documents hold is listed once per group in every step.
+A group's size in bytes is bounded: the larger long documents are, the fewer ids share their groups. A piece
+that very many groups list is heavy. Its runs are cut in two where the piece stands in the first
+or second half of a window, and go to shards by the bytes that all windows of such a half share
+beside the piece; equal runs of one shard are first reduced over parts of the groups. So neither
+a phrase that stands in many contexts nor a passage that all documents hold fills one task.
 """
 
 from __future__ import annotations
@@ -26,20 +30,29 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Workspace, batch, mix64, span_hashes
-from .suffixes import common_prefixes, permuted, suffix_array
+from .common import Workspace, batch, mix64, span_hashes, tasks_for
+from .suffixes import common_prefixes, permuted, spread, suffix_array
 
-LENGTH, PIECE, GROUP = 50, 16, 1024
+LENGTH, PIECE = 50, 16
 SHARD_BYTES, CHUNK = 4 << 20, 1 << 18
+#: Bytes of a usual group: about a thousandth of all within these bounds (powers of two); and of any with several documents.
+GROUP_BITS, GROUP_MOST, TASK_BYTES = (21, 25), 64 << 20, 16 << 20
+#: Groups that make a piece heavy, and parts over which its equal runs are reduced.
+HEAVY, PARTS = 4096, 64
+#: What is listed of a hash beside its shard.
+LOW_BITS = np.uint64(39)
+LOW = (np.uint64(1) << LOW_BITS) - np.uint64(1)
 LAST = (1 << 63) - 1
 
 
-def runs(raw: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Of joined texts: text, first byte, end and piece hash of each run of windows with one smallest piece."""
-    size = np.array([len(r) for r in raw], np.int64)
+def runs(raw: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Of joined texts: text, first byte, end, piece position and hash of each run of windows with one smallest piece."""
+    return runs_of(np.frombuffer(b"".join(raw), np.uint8), np.array([len(r) for r in raw], np.int64))
+
+
+def runs_of(b: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     ends = np.cumsum(size)
-    none = tuple(np.empty(0, np.int64) for _ in range(3))
-    b = np.frombuffer(b"".join(raw), np.uint8)
+    none = tuple(np.empty(0, np.int64) for _ in range(4))
     if len(b) < LENGTH:
         return *none, np.empty(0, np.uint64)
     h, width, base = b.astype(np.uint64) + np.uint64(1), 1, np.uint64(0x9E3779B97F4A7C15)
@@ -56,7 +69,7 @@ def runs(raw: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarr
         low = np.minimum(low[: len(low) - step], low[step:])
         have += step
     at = (low & ((np.uint64(1) << bits) - np.uint64(1))).astype(np.int64)
-    text = np.repeat(np.arange(len(raw)), size)[: len(at)]
+    text = np.repeat(np.arange(len(size)), size)[: len(at)]
     ok = np.arange(len(at)) + LENGTH <= ends[text]
     change = np.ones(len(at), bool)
     change[1:] = (at[1:] != at[:-1]) | ~ok[:-1] | (text[1:] != text[:-1])
@@ -64,13 +77,31 @@ def runs(raw: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarr
     stop = np.ones(len(at), bool)
     stop[:-1] = change[1:] | ~ok[1:]
     last = np.flatnonzero(stop & ok)
-    return text[first], first, last + LENGTH, h[at[first]]
+    return text[first], first, last + LENGTH, at[first], h[at[first]]
 
 
 def pack(a: np.ndarray, kind: str) -> bytes:
     return a.astype(kind).tobytes()
 
 
+def five(values: np.ndarray) -> np.ndarray:
+    """Numbers below 2**40 as rows of five bytes."""
+    return np.ascontiguousarray(values.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :5])
+
+
+def unfive(column: pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray]:
+    """All numbers of such a column, and how many each row has."""
+    counts = np.array([len(x.as_py()) // 5 for x in column], np.int64)
+    out = np.zeros((counts.sum(), 8), np.uint8)
+    if len(out):
+        out[:, :5] = np.frombuffer(b"".join(x.as_py() for x in column), np.uint8).reshape(-1, 5)
+    return out.view("<u8").ravel(), counts
+
+
+def shard_of(h: np.ndarray, shards: int) -> np.ndarray:
+    return (mix64(h) % np.uint64(shards)).astype(np.int64)
+
+
 def sorted_rows(table: pa.Table) -> tuple[np.ndarray, list[bytes], np.ndarray]:
     """Ids, texts and original places of a group's rows, in an order that does not depend on how they came."""
     ids = table.column("doc").to_numpy()
@@ -91,7 +122,7 @@ def parts(raw: list[bytes]) -> Iterator[tuple[int, int]]:
 
 
 def listed(it: Iterator[pa.RecordBatch], shards: int) -> Iterator[pa.RecordBatch]:
-    """Hashes of pieces by shard and group; the lowest bit says that two documents have it."""
+    """Low bits of the pieces' hashes by shard and group; the lowest bit says that two documents have it."""
     schema = pa.schema([("shard", pa.int64()), ("group", pa.int64()), ("hashes", pa.binary())])
     for got in it:
         group, ids, every = got.column("group").to_numpy(), got.column("doc").to_numpy(), got.column("raw").to_pylist()
@@ -101,7 +132,7 @@ def listed(it: Iterator[pa.RecordBatch], shards: int) -> Iterator[pa.RecordBatch
             found: list[np.ndarray] = []
             docs: list[np.ndarray] = []
             for a, b in parts(raw):
-                text, _, _, h = runs(raw[a:b])
+                text, _, _, _, h = runs(raw[a:b])
                 found.append(h)
                 docs.append(own_ids[a:b][text])
             h, d = np.concatenate(found), np.concatenate(docs)
@@ -111,20 +142,23 @@ def listed(it: Iterator[pa.RecordBatch], shards: int) -> Iterator[pa.RecordBatch
             h, d = h[order], d[order]
             begin = np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1]]))
             several = np.minimum.reduceat(d, begin) != np.maximum.reduceat(d, begin)
-            value = h[begin] << np.uint64(1) | several.astype(np.uint64)
-            shard = (mix64(h[begin]) % np.uint64(shards)).astype(np.int64)
+            value = (h[begin] & LOW) << np.uint64(1) | several.astype(np.uint64)
+            shard = shard_of(h[begin], shards)
             order = np.argsort(shard, kind="stable")
             value, shard = value[order], shard[order]
             cuts = np.flatnonzero(np.diff(shard)) + 1
-            blobs = [x.tobytes() for x in np.split(value, cuts)]
+            blobs = [x.tobytes() for x in np.split(five(value), cuts)]
             yield batch(schema, shard[np.append(0, cuts)], np.full(len(blobs), g), blobs)
 
 
-def shared(table: pa.Table) -> pa.Table:
-    """Of one shard: for each group the hashes that more than one document has."""
-    groups = table.column("group").to_numpy()
-    lists = [np.frombuffer(x.as_buffer(), np.uint64) for x in table.column("hashes")]
-    values, owner = np.concatenate(lists), np.repeat(groups, [len(x) for x in lists])
+HOT = "group bigint, shard bigint, hashes binary"
+HOT_ARROW = pa.schema([("group", pa.int64()), ("shard", pa.int64()), ("hashes", pa.binary())])
+
+
+def shared(table: pa.Table, heavy: int) -> pa.Table:
+    """Of one shard: for each group the hashes that more than one document has; the lowest bit says that `heavy` groups have it."""
+    values, counts = unfive(table.column("hashes"))
+    owner = np.repeat(table.column("group").to_numpy(), counts)
     h, flag = values >> np.uint64(1), (values & np.uint64(1)).astype(bool)
     order = np.argsort(h, kind="stable")
     h, flag, owner = h[order], flag[order], owner[order]
@@ -132,115 +166,193 @@ def shared(table: pa.Table) -> pa.Table:
     count = np.diff(np.append(begin, len(h)))
     hot = (count > 1) | np.logical_or.reduceat(flag, begin)
     keep = np.repeat(hot, count)
-    h, owner = h[keep], owner[keep]
+    h, owner = (h << np.uint64(1) | np.repeat(count >= heavy, count).astype(np.uint64))[keep], owner[keep]
     order = np.argsort(owner, kind="stable")
     h, owner = h[order], owner[order]
     cuts = np.flatnonzero(np.diff(owner)) + 1
-    blobs = [x.tobytes() for x in np.split(h, cuts)] if len(h) else []
-    return pa.table({"group": pa.array(owner[np.append(0, cuts)] if len(h) else [], pa.int64()), "hashes": pa.array(blobs, pa.binary())})
+    blobs = [x.tobytes() for x in np.split(five(h), cuts)] if len(h) else []
+    groups = owner[np.append(0, cuts)] if len(h) else np.empty(0, np.int64)
+    shard = np.full(len(blobs), table.column("shard")[0].as_py())
+    return pa.table([pa.array(groups), pa.array(shard, pa.int64()), pa.array(blobs, pa.binary())], schema=HOT_ARROW)
 
 
-#: shard -1: bytes to cut from rows of the group; else runs to be judged in that shard.
-RUNS = "shard bigint, group bigint, row binary, start binary, size binary, doc binary, text binary"
-RUNS_ARROW = pa.schema([("shard", pa.int64()), ("group", pa.int64()), *((n, pa.binary()) for n in ("row", "start", "size", "doc", "text"))])
+#: shard -1: bytes to cut from rows of the group; else runs to be judged in that shard, those of part >= 0 after a reduction.
+RUNS = "shard bigint, part int, group bigint, row binary, start binary, size binary, doc binary, text binary"
+RUNS_ARROW = pa.schema([("shard", pa.int64()), ("part", pa.int32()), ("group", pa.int64()), *((n, pa.binary()) for n in ("row", "start", "size", "doc", "text"))])
 CUTS = "group bigint, row binary, start binary, size binary"
 CUTS_ARROW = pa.schema([("group", pa.int64()), *((n, pa.binary()) for n in ("row", "start", "size"))])
+#: A run has LENGTH - PIECE + 1 windows at most, so its size fits a byte.
+ROW, START, SIZE, DOC = "<i4", "<u4", "<u1", "<i8"
+
+
+def numbers(table: pa.Table, name: str, kind: str) -> np.ndarray:
+    return np.concatenate([np.frombuffer(x.as_buffer(), kind) for x in table.column(name)]).astype(np.int64)
 
 
 def gather(b: np.ndarray, start: np.ndarray, size: np.ndarray) -> bytes:
-    total = np.cumsum(size)
-    return b[np.arange(total[-1]) + np.repeat(start - (total - size), size)].tobytes() if len(size) else b""
+    return b[spread(size, start)].tobytes() if len(size) else b""
+
+
+def halves(b: np.ndarray, first: np.ndarray, end: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, ...]:
+    """Runs cut in two by where the piece stands in their windows: which run, first byte, end, and a
+    hash of the bytes that all of a half's windows share. Equal windows are in halves of one hash."""
+    reach = (LENGTH - PIECE) // 2  # windows of the left half begin more than that before the piece
+    which = np.arange(len(first))
+    left, right = first < at - reach, end - LENGTH >= at - reach
+    out = []
+    for side, has, lo, hi, a, z in (
+        (1, left, first, np.minimum(end, at - reach - 1 + LENGTH), at - reach - 1, at + PIECE),
+        (2, right, np.maximum(first, at - reach), end, at, at - reach + LENGTH),
+    ):
+        key = mix64(span_hashes(b, a[has], z[has]) + np.uint64(side))
+        out.append((which[has], lo[has], hi[has], key))
+    return tuple(np.concatenate(x) for x in zip(*out, strict=True))
+
+
+def equal_runs(key: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """An order by key and document, where runs of one text begin in it, and the smallest document of each run's text."""
+    order = np.lexsort((doc, key))
+    begin = np.flatnonzero(np.concatenate([[True], key[order][1:] != key[order][:-1]]))
+    least = np.empty(len(key), np.int64)
+    least[order] = np.repeat(doc[order[begin]], np.diff(np.append(begin, len(key))))
+    return order, begin, least
 
 
-def sent(docs: pa.Table, hot: pa.Table, shards: int) -> pa.Table:
+def sent(docs: pa.Table, hot: pa.Table, shards: int, n_parts: int) -> pa.Table:
     """The runs of one group that may repeat, to the shards of their pieces."""
     out: list[tuple] = []
     if docs.num_rows and hot.num_rows:
         group = docs.column("group")[0].as_py()
         ids, raw, _ = sorted_rows(docs)
-        known = np.sort(np.concatenate([np.frombuffer(x.as_buffer(), np.uint64) for x in hot.column("hashes")]))
-        row, start, size, key, piece, texts = [], [], [], [], [], []
+        values, counts = unfive(hot.column("hashes"))
+        known = np.repeat(hot.column("shard").to_numpy().astype(np.uint64), counts) << LOW_BITS | values >> np.uint64(1)
+        order = np.argsort(known)
+        known, is_heavy = known[order], (values[order] & np.uint64(1)).astype(bool)
+        row, start, size, key, piece, heavy, texts = [], [], [], [], [], [], []
         for a, b in parts(raw):
-            text, first, end, h = runs(raw[a:b])
-            at = np.searchsorted(known, h)
-            at[at == len(known)] = 0
-            keep = np.flatnonzero(known[at] == h)
-            text, first, end, h = text[keep], first[keep], end[keep], h[keep]
+            text, first, end, at, h = runs(raw[a:b])
+            want = shard_of(h, shards).astype(np.uint64) << LOW_BITS | h & LOW
+            place = np.searchsorted(known, want)
+            place[place == len(known)] = 0
+            keep = np.flatnonzero(known[place] == want)
+            text, first, end, at, h, own_heavy = text[keep], first[keep], end[keep], at[keep], h[keep], is_heavy[place[keep]]
             joined = np.frombuffer(b"".join(raw[a:b]), np.uint8)
+            if own_heavy.any():
+                some, rest = np.flatnonzero(own_heavy), np.flatnonzero(~own_heavy)
+                which, lo, hi, routed = halves(joined, first[some], end[some], at[some])
+                text, first, end = np.concatenate([text[rest], text[some][which]]), np.concatenate([first[rest], lo]), np.concatenate([end[rest], hi])
+                h, own_heavy = np.concatenate([h[rest], routed]), np.arange(len(rest) + len(which)) >= len(rest)
             begin = np.cumsum([0, *(len(r) for r in raw[a:b])])[text]
             row.append(text + a)
             start.append(first - begin)
             size.append(end - first)
             piece.append(h)
+            heavy.append(own_heavy)
             key.append(span_hashes(joined, first, end) if len(first) else np.empty(0, np.uint64))
             texts.append((joined, first))
-        part = np.repeat(np.arange(len(row)), [len(x) for x in row])
-        row, start, size, key, piece = (np.concatenate(x) for x in (row, start, size, key, piece))
+        chunk = np.repeat(np.arange(len(row)), [len(x) for x in row])
+        row, start, size, key, piece, heavy = (np.concatenate(x) for x in (row, start, size, key, piece, heavy))
         doc = ids[row] if len(row) else np.empty(0, np.int64)
         if len(row):
-            order = np.argsort(key)
-            begin = np.concatenate([[True], key[order][1:] != key[order][:-1]])
-            least = np.minimum.reduceat(doc[order], np.flatnonzero(begin))[np.cumsum(begin) - 1]
-            later = np.zeros(len(row), bool)
-            later[order] = doc[order] > least
+            later = doc > equal_runs(key, doc)[2]
             if later.any():
-                out.append((-1, group, pack(row[later], "<i4"), pack(start[later], "<i8"), pack(size[later], "<i4"), b"", b""))
+                out.append((-1, -1, group, pack(row[later], ROW), pack(start[later], START), pack(size[later], SIZE), b"", b""))
             ask = np.flatnonzero(~later)
-            shard = (mix64(piece[ask]) % np.uint64(shards)).astype(np.int64)
-            order = np.lexsort((ask, shard))
+            shard = shard_of(piece[ask], shards)
+            order = np.lexsort((ask, heavy[ask], shard))
             ask, shard = ask[order], shard[order]
-            for own in np.split(ask, np.flatnonzero(np.diff(shard)) + 1):
-                body = b"".join(gather(texts[p][0], texts[p][1][own[part[own] == p] - int((part < p).sum())], size[own[part[own] == p]]) for p in np.unique(part[own]))
-                out.append((int((mix64(piece[own[:1]]) % np.uint64(shards))[0]), group, pack(row[own], "<i4"), pack(start[own], "<i8"), pack(size[own], "<i4"), pack(doc[own], "<i8"), body))
+            for some in np.split(np.arange(len(ask)), np.flatnonzero(np.diff(shard) | np.diff(heavy[ask].astype(np.int8))) + 1):
+                own = ask[some]
+                body = b"".join(gather(texts[p][0], texts[p][1][own[chunk[own] == p] - int((chunk < p).sum())], size[own[chunk[own] == p]]) for p in np.unique(chunk[own]))
+                part = int(mix64(np.array([group], np.int64).view(np.uint64))[0] % np.uint64(n_parts)) if heavy[own[0]] else -1
+                out.append((int(shard[some[0]]), part, group, pack(row[own], ROW), pack(start[own], START), pack(size[own], SIZE), pack(doc[own], DOC), body))
     return pa.table([pa.array([o[k] for o in out], f.type) for k, f in enumerate(RUNS_ARROW)], schema=RUNS_ARROW)
 
 
-def judged(table: pa.Table) -> pa.Table:
-    """Of one shard: the bytes that windows repeated from smaller ids cover, by group."""
-    def column(name: str, kind: str) -> np.ndarray:
-        return np.concatenate([np.frombuffer(x.as_buffer(), kind) for x in table.column(name)])
-
+def opened(table: pa.Table) -> tuple[np.ndarray, ...]:
+    """Group, row, start, size, document and last byte's end of each run of a shard, and all its bytes."""
     counts = [len(x.as_py()) // 4 for x in table.column("row")]
-    group = np.repeat(table.column("group").to_numpy(), counts)
-    row, start, size, doc = column("row", "<i4"), column("start", "<i8"), column("size", "<i4").astype(np.int64), column("doc", "<i8")
+    size = numbers(table, "size", SIZE)
     b = np.frombuffer(b"".join(x.as_py() for x in table.column("text")), np.uint8)
-    ends = np.cumsum(size)
-    key = span_hashes(b, ends - size, ends)
-    order = np.lexsort((doc, key))
-    begin = np.flatnonzero(np.concatenate([[True], key[order][1:] != key[order][:-1]]))
-    firsts = order[begin]  # one run of each text, with the smallest id that has it
-    which = np.empty(len(key), np.int64)
-    which[order] = np.repeat(np.arange(len(begin)), np.diff(np.append(begin, len(key))))
-    own = size[firsts]
-    joined = np.ones(int((own + 1).sum()), np.uint16)  # symbol 1 stands between texts
-    at = np.cumsum(own + 1) - own - 1
-    inside = np.arange(own.sum()) + np.repeat(at - (np.cumsum(own) - own), own)
-    joined[inside] = b[np.arange(own.sum()) + np.repeat((ends - size)[firsts] - (np.cumsum(own) - own), own)].astype(np.uint16) + 2
-    windows = own - LENGTH + 1
-    upto = np.cumsum(windows)
-    place = np.arange(upto[-1]) + np.repeat(at - (upto - windows), windows)
-    number = np.full(len(joined), -1, np.int64)
+    return np.repeat(table.column("group").to_numpy(), counts), numbers(table, "row", ROW), numbers(table, "start", START), size, numbers(table, "doc", DOC), np.cumsum(size), b
+
+
+def by_group(group: np.ndarray, *columns: np.ndarray) -> Iterator[tuple[int, list[np.ndarray]]]:
+    order = np.argsort(group, kind="stable")
+    for own in np.split(order, np.flatnonzero(np.diff(group[order])) + 1) if len(order) else []:
+        yield int(group[own[0]]), [c[own] for c in columns]
+
+
+def reduced(table: pa.Table) -> pa.Table:
+    """Of one part of a shard's heavy runs: those of each distinct text's smallest document; all others are cut."""
+    group, row, start, size, doc, ends, b = opened(table)
+    least = equal_runs(span_hashes(b, ends - size, ends), doc)[2]
+    shard = table.column("shard")[0].as_py()
+    later = doc > least
+    out = [(-1, -1, g, pack(r, ROW), pack(s, START), pack(n, SIZE), b"", b"") for g, (r, s, n) in by_group(group[later], row[later], start[later], size[later])]
+    first = np.flatnonzero(doc == least)
+    for g, (r, s, n, d, e) in by_group(group[first], row[first], start[first], size[first], doc[first], ends[first]):
+        out.append((shard, -1, g, pack(r, ROW), pack(s, START), pack(n, SIZE), pack(d, DOC), gather(b, e - n, n)))
+    return pa.table([pa.array([o[k] for o in out], f.type) for k, f in enumerate(RUNS_ARROW)], schema=RUNS_ARROW)
+
+
+def contested(b: np.ndarray, size: np.ndarray, doc: np.ndarray, least: np.ndarray) -> None:
+    """Sets least, for each window of the texts joined in b, to the smallest doc of a text that holds the window."""
+    joined = np.ones(len(b) + len(size), np.uint16)  # symbol 1 stands between texts
+    at = np.cumsum(size + 1) - size - 1
+    joined[spread(size, at)] = b.astype(np.uint16) + 2
+    windows = size - LENGTH + 1
+    place = spread(windows, at)
+    number = np.full(len(joined), -1, np.int32)
     number[place] = np.arange(len(place))
     order = suffix_array(joined, LENGTH)
     order = order[number[order] >= 0]
     same = permuted(order, common_prefixes(joined, order, LENGTH), len(joined))
     fresh = np.flatnonzero(same[order] < LENGTH)
-    of_window = np.repeat(doc[firsts], windows)[number[order]]
-    least = np.empty(len(place), np.int64)
-    least[number[order]] = np.repeat(np.minimum.reduceat(of_window, fresh), np.diff(np.append(fresh, len(order))))
-    n = size - LENGTH + 1
-    total = np.cumsum(n)
-    entry = np.repeat(np.arange(len(n)), n)
-    step = np.arange(total[-1]) - np.repeat(total - n, n)
-    hit = least[(upto - windows)[which[entry]] + step] < doc[entry]
-    edge = np.concatenate([[True], entry[1:] != entry[:-1]])
-    begin = np.flatnonzero(hit & (edge | ~np.concatenate([[False], hit[:-1]])))
-    last = np.flatnonzero(hit & np.concatenate([edge[1:] | ~hit[1:], [True]]))
-    out = (row[entry[begin]], start[entry[begin]] + step[begin], step[last] - step[begin] + LENGTH)
-    own_group = group[entry[begin]]
-    order = np.argsort(own_group, kind="stable")
-    cuts = np.flatnonzero(np.diff(own_group[order])) + 1
-    rows = [] if not len(begin) else [(int(own_group[p[0]]), pack(out[0][p], "<i4"), pack(out[1][p], "<i8"), pack(out[2][p], "<i4")) for p in np.split(order, cuts)]
+    number = number[order]
+    of_window = np.repeat(doc, windows)[number]
+    least[number] = np.repeat(np.minimum.reduceat(of_window, fresh), np.diff(np.append(fresh, len(order))))
+
+
+def judged(table: pa.Table) -> pa.Table:
+    """Of one shard: the bytes that windows repeated from smaller ids cover, by group.
+
+    A text that is alone with its piece shares no window with another text; it is as new as its
+    smallest document. All other distinct texts go through the suffix array.
+    """
+    group, row, start, size, doc, ends, b = opened(table)
+    order, begin, _ = equal_runs(span_hashes(b, ends - size, ends), doc)
+    firsts = order[begin]  # one run of each text, with the smallest id that has it
+    which = np.empty(len(row), np.int64)
+    which[order] = np.repeat(np.arange(len(begin)), np.diff(np.append(begin, len(row))))
+    own = size[firsts]
+    held, stops = memoryview(b), ends[firsts]
+    texts = np.frombuffer(b"".join([held[s:e] for s, e in zip((stops - own).tolist(), stops.tolist(), strict=True)]), np.uint8)
+    windows = own - LENGTH + 1
+    upto = np.cumsum(windows)
+    least = np.repeat(doc[firsts], windows)
+    upon = np.concatenate([[0], np.cumsum(own)])
+    cuts = np.unique([0, *np.searchsorted(upon, np.arange(CHUNK, upon[-1], CHUNK)), len(own)]).tolist()
+    pieces = np.concatenate([runs_of(texts[upon[a] : upon[z]], own[a:z])[4] for a, z in zip(cuts, cuts[1:], strict=False)])
+    _, piece = np.unique(pieces, return_inverse=True)
+    some = np.flatnonzero(np.bincount(piece)[piece] > 1)
+    if len(some):
+        of_some = np.empty(int(windows[some].sum()), np.int64)
+        contested(texts[spread(own[some], upon[some])], own[some], doc[firsts[some]], of_some)
+        least[spread(windows[some], (upto - windows)[some])] = of_some
+    base, out = (upto - windows)[which], []
+    for a in range(0, len(row), CHUNK // 4):
+        n = (size[a : a + CHUNK // 4] - LENGTH + 1)
+        entry = a + np.repeat(np.arange(len(n)), n)
+        step = spread(n, np.zeros(len(n), np.int64))
+        hit = least[base[entry] + step] < doc[entry]
+        edge = np.concatenate([[True], entry[1:] != entry[:-1]])
+        begin = np.flatnonzero(hit & (edge | ~np.concatenate([[False], hit[:-1]])))
+        last = np.flatnonzero(hit & np.concatenate([edge[1:] | ~hit[1:], [True]]))
+        out.append((entry[begin], step[begin], step[last] - step[begin] + LENGTH))
+    entry, step, long = (np.concatenate(x) for x in zip(*out, strict=True))
+    found = by_group(group[entry], row[entry], start[entry] + step, long)
+    rows = [(g, pack(r, ROW), pack(s, START), pack(z, SIZE)) for g, (r, s, z) in found]
     return pa.table([pa.array([r[k] for r in rows], f.type) for k, f in enumerate(CUTS_ARROW)], schema=CUTS_ARROW)
 
 
@@ -254,7 +366,7 @@ def cut(docs: pa.Table, cuts: pa.Table) -> pa.Table:
         ids, raw, order = sorted_rows(docs)
         true_ids = docs.column("doc_id").take(pa.array(order)).to_pylist()
         if cuts.num_rows:
-            row, start, size = (np.concatenate([np.frombuffer(x.as_buffer(), kind) for x in cuts.column(n)]).astype(np.int64) for n, kind in (("row", "<i4"), ("start", "<i8"), ("size", "<i4")))
+            row, start, size = numbers(cuts, "row", ROW), numbers(cuts, "start", START), numbers(cuts, "size", SIZE)
             sort = np.argsort(row, kind="stable")
             row, start, size = row[sort], start[sort], size[sort]
         else:
@@ -272,7 +384,15 @@ def cut(docs: pa.Table, cuts: pa.Table) -> pa.Table:
     return pa.table([pa.array([o[k] for o in out], f.type) for k, f in enumerate(RESULT_ARROW)], schema=RESULT_ARROW)
 
 
-def without_repeats(docs: DataFrame) -> DataFrame:
+def group_of(ids, text, total: int):
+    """Which group a row belongs to: neighbouring ids, the fewer the larger the document is beyond a size."""
+    width = min(GROUP_BITS[1], max(GROUP_BITS[0], (total >> 10).bit_length())) - 11  # with documents of two kilobytes
+    doublings = F.floor(F.log2(F.greatest(F.octet_length(text) / float(GROUP_MOST >> width), F.lit(1.0)))).cast("int")
+    near = F.call_function("shiftright", F.coalesce(ids, F.xxhash64(text)), F.greatest(F.lit(width) - doublings, F.lit(0)))
+    return F.xxhash64(near, doublings)
+
+
+def without_repeats(docs: DataFrame, heavy: int = HEAVY, n_parts: int = PARTS) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 for every row of docs (doc_id, text).
 
     Null texts count as empty; a null doc_id counts as larger than all others. Rows that share a
@@ -281,18 +401,26 @@ def without_repeats(docs: DataFrame) -> DataFrame:
     """
     spark = docs.sparkSession
     space = Workspace(spark, "substrings")
-    raw = F.coalesce(F.col("text"), F.lit("")).cast("binary")
-    ids = F.col("doc_id").cast("bigint")
-    group = F.when(ids.isNull(), -1 - F.pmod(F.xxhash64("text"), F.lit(GROUP))).otherwise(F.floor(ids / GROUP)).cast("bigint")
-    rows = docs.select(ids.alias("doc_id"), F.coalesce(ids, F.lit(LAST)).alias("doc"), group.alias("group"), raw.alias("raw"))
     total = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    shards = max(1, -(-total // SHARD_BYTES))
-    pieces = rows.select("doc", "group", "raw").mapInArrow(lambda it: listed(it, shards), "shard bigint, group bigint, hashes binary")
-    hot = space.write(pieces.groupBy("shard").applyInArrow(shared, "group bigint, hashes binary"), "shared")
-    pairs = rows.select("doc", "group", "raw").groupBy("group").cogroup(hot.groupBy("group"))
-    found = space.write(pairs.applyInArrow(lambda a, b: sent(a, b, shards), RUNS), "runs")
+    shards, tasks = max(1, -(-total // SHARD_BYTES)), tasks_for(spark, total, TASK_BYTES)
+    ids, text = F.col("doc_id").cast("bigint"), F.coalesce(F.col("text"), F.lit(""))
+    rows = docs.select(ids.alias("doc_id"), F.coalesce(ids, F.lit(LAST)).alias("doc"), group_of(ids, text, total).alias("group"), text.cast("binary").alias("raw"))
+
+    def grouped(df: DataFrame):
+        return df.repartition(tasks, "group").groupBy("group")
+
+    def sharded(df: DataFrame, *more: str):
+        return df.repartition(tasks, "shard", *more).groupBy("shard", *more)
+
+    pieces = sharded(rows.select("doc", "group", "raw").mapInArrow(lambda it: listed(it, shards), "shard bigint, group bigint, hashes binary"))
+    hot = space.write(pieces.applyInArrow(lambda t: shared(t, heavy), HOT), "shared")
+    del pieces
+    found = space.write(grouped(rows.select("doc", "group", "raw")).cogroup(grouped(hot)).applyInArrow(lambda a, b: sent(a, b, shards, n_parts), RUNS), "runs")
     space.drop(hot)
-    cuts = found.where("shard >= 0").groupBy("shard").applyInArrow(judged, CUTS)
-    cuts = space.write(cuts.unionByName(found.where("shard < 0").select("group", "row", "start", "size")), "cuts")
+    asked, done = found.where("shard >= 0 and part < 0"), found.where("shard < 0")
+    if not (many := found.where("part >= 0")).isEmpty():
+        fewer = space.write(sharded(many, "part").applyInArrow(reduced, RUNS), "fewer")
+        asked, done = asked.unionByName(fewer.where("shard >= 0")), done.unionByName(fewer.where("shard < 0"))
+    cuts = space.write(sharded(asked).applyInArrow(judged, CUTS).unionByName(done.select("group", "row", "start", "size")), "cuts")
     space.drop(found)
-    return rows.groupBy("group").cogroup(cuts.groupBy("group")).applyInArrow(cut, RESULT)
+    return grouped(rows).cogroup(grouped(cuts)).applyInArrow(cut, RESULT)
