@@ -7,10 +7,10 @@ from hypothesis import strategies as st
 from tissuebalance.functions import balance, gru
 from tissuebalance.functions.tape import backward
 from tissuebalance.functions.tape import Var
-from tissuebalance.operators import partitioner
-from tissuebalance.operators.learning import Config, rollout_loss, train
-from tissuebalance.operators.policies import rollout, summary
-from tissuebalance.operators.scenarios import scenario
+from tissuebalance.operators import bptt, measures, partitioner, rollouts
+from tissuebalance.operators.learning import Config, gradient, over_spark, rollout_loss, sweep, train
+from tissuebalance.operators.policies import BOUND, rollout, summary
+from tissuebalance.operators.scenarios import REGIMES, scenario
 
 
 def test_worked_examples():
@@ -95,6 +95,30 @@ def test_gradient_matches_finite_differences():
         assert held[name].grad[at] == pytest.approx((moved[0] - moved[1]) / 2e-6, rel=1e-3, abs=1e-7)
 
 
+def test_hand_made_gradient_matches_the_tape():
+    for ranks, per, events, theta in ((3, 8, 4, 1.0), (8, 20, 10, 0.5)):
+        group, c = [scenario(i, events, ranks, per) for i in (1, 2, 3)], Config(events=events)
+        w = gru.init(3)
+        w["head"] = w["head"] + np.random.default_rng(0).normal(0, 0.2, (24, 1))
+        held = {k: Var(v) for k, v in w.items()}
+        out = rollout_loss(held, group, events, theta, c)
+        backward(out)
+        loss, grads = bptt.gradient(w, group, events, theta, c)
+        assert loss == pytest.approx(float(out.value), abs=1e-9)
+        assert all(np.allclose(held[k].grad, g, rtol=1e-6, atol=1e-9) for k, g in grads.items())
+
+
+def test_gradient_over_tasks_and_parallel_trainings(spark):
+    w, c = gru.init(2), Config(events=6, batch=6)
+    w["head"] = w["head"] + 0.1
+    ids = [1, 2, 3, 4, 6, 7]
+    loss, grads = gradient(w, ids, 4, 16, 1.0, c)
+    other, spread = over_spark(spark, 2)(w, ids, 4, 16, 1.0, c)
+    assert other == pytest.approx(loss, rel=1e-9) and all(np.allclose(grads[k], spread[k], atol=1e-9) for k in grads)
+    rows = sweep(spark, [Config(steps=2, events=5, batch=2, seed=s) for s in (1, 2)], [5]).collect()
+    assert len(rows) == 2 and all(np.isfinite(r.mean_imbalance) and gru.size(gru.loads(r.weights)) == 2761 for r in rows)
+
+
 def test_training_and_long_rollout():
     w = train(Config(steps=2, events=5, batch=2))
     s = scenario(15, 400, 8)
@@ -112,3 +136,54 @@ def test_learned_policy_moves_less_than_forecasts():
         mean = {p: {k: np.mean([r[k] for r in v]) for k in ("mean_imbalance", "moved")} for p, v in rows.items()}
         assert mean["learned"]["mean_imbalance"] <= mean["static"]["mean_imbalance"]
         assert mean["learned"]["moved"] < mean["persistence"]["moved"]
+
+
+def means(regime, ranks, policies, ids=range(1, 11)):
+    rows = {p: [summary(rollout(scenario(5 * k, 100, ranks, regime=REGIMES[regime]), p, gru.trained())) for k in ids] for p in policies}
+    return {p: {k: np.mean([r[k] for r in v]) for k in ("mean_imbalance", "moved", "runtime")} for p, v in rows.items()}
+
+
+@pytest.mark.parametrize("ranks", [2, 4, 8, 16])
+def test_learned_policy_on_calm_tissues_moves_least_and_stays_near_static(ranks):
+    """The published regime: little drift, so that a static cut is nearly balanced already."""
+    m = means("calm", ranks, ("static", "persistence", "holt", "reactive", "learned"))
+    assert m["learned"]["moved"] < 60 and m["learned"]["moved"] * 7.7 < m["reactive"]["moved"]
+    assert m["learned"]["mean_imbalance"] <= 1.15 * m["static"]["mean_imbalance"]
+    assert m["learned"]["mean_imbalance"] < m["reactive"]["mean_imbalance"]
+
+
+@pytest.mark.parametrize("ranks", [8, 16])
+def test_learned_policy_beats_the_reactive_rule_on_restless_tissues(ranks):
+    m = means("restless", ranks, ("static", "reactive", "learned"))
+    assert m["learned"]["mean_imbalance"] < m["reactive"]["mean_imbalance"] < m["static"]["mean_imbalance"]
+    assert m["learned"]["moved"] < m["reactive"]["moved"] and m["learned"]["runtime"] < m["static"]["runtime"]
+
+
+def test_clairvoyant_is_a_bound():
+    for k in range(1, 4):
+        s = scenario(5 * k, 60, 8)
+        best = summary(rollout(s, BOUND))["runtime"]
+        assert best <= min(summary(rollout(s, p, gru.trained()))["runtime"] for p in ("static", "reactive", "learned", "holt")) * 1.01
+
+
+def test_measures_of_a_log(spark):
+    log = rollouts.synthetic(spark, [5, 10], [4], 30).cache()
+    rows = log.collect()
+    moved = {r.run_id: r for r in measures.migration(log).collect()}
+    slices = {}
+    for r in measures.moved_slices(log).collect():
+        slices.setdefault((r.run_id, r.step), {})[r.slice_id] = (r.from_rank, r.to_rank)
+    for run in {r.run_id for r in rows}:
+        own = sorted((r for r in rows if r.run_id == run), key=lambda r: r.step)
+        assert moved[run].moved == sum(r.moved for r in own)
+        for a, b in zip(own, own[1:]):
+            assert a.moved == sum(abs(x - y) for x, y in zip(a.bounds, b.bounds))
+            rank = [np.searchsorted(x.bounds[1:-1], np.arange(x.bounds[-1]), "right") for x in (a, b)]
+            assert {z: (p, q) for z, (p, q) in enumerate(zip(*rank)) if p != q} == slices.get((run, a.step), {})
+    table = measures.end_to_end(rollouts.policy_table(log)).collect()
+    static = next(r for r in table if r.policy == "static")
+    for r in table:
+        assert r.runtime_saved == pytest.approx((static.runtime - r.runtime) / static.runtime)
+        assert (r.moves_per_point is None) == (r.mean_imbalance >= static.mean_imbalance)
+    marked = {(r.policy, r.pareto) for r in measures.tradeoff(rollouts.policy_table(log)).collect()}
+    assert ("static", True) in marked

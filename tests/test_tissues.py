@@ -3,7 +3,7 @@
 import duckdb
 import pytest
 from pyspark.sql import functions as F
-from tissuebalance.operators import ghosts, grid, interactions, mechanics, partitioner, score
+from tissuebalance.operators import ghosts, grid, interactions, mechanics, partitioner, runtime, score
 from tissuebalance.plans import catalogue
 from tissuebalance.sources.tissues import TISSUES
 
@@ -35,6 +35,50 @@ def test_evaluators_agree_on_edges(spark):
     assert interactions.all_pairs_serial(e, 10).agg(F.sum("n_pairs")).first()[0] == brute
 
 
+def test_quadratic_evaluators_keep_their_size(spark, tiny):
+    vector = TISSUES["vector"](spark, tiny)
+    with pytest.raises(ValueError):
+        interactions.all_pairs(vector, 10000, most=100)
+    tiled = interactions.all_pairs_tiled(vector, 10000, tile=64).agg(F.sum("n_pairs")).first()[0]
+    assert tiled == interactions.binned(vector, 10000).count()
+    work = interactions.pair_work(vector, 10000).first()
+    assert (work.candidates, work.pairs) == (50706, 10708)
+
+
+def test_types_play_no_part_within_a_cell(spark):
+    rows = [(1, 1, 0, 0, 0, "a"), (1, 2, 3, 0, 0, "a"), (2, 1, 0, 4, 0, "a")]
+    mixed = [rows[0], (1, 2, 3, 0, 0, "b"), rows[2]]
+    both = []
+    for cells in (rows, mixed):
+        e = spark.createDataFrame([(*r, None) for r in cells], SCHEMA)
+        by_join = {(r.cell_id, r.element_no): (r.vx, r.vy, r.vz) for r in mechanics.velocity(e, 10).collect()}
+        by_sweep = {(r.cell_id, r.element_no): (r.vx, r.vy, r.vz) for r in interactions.slab_forces(e, 10, []).collect()}
+        assert by_join.keys() == by_sweep.keys() and all(by_join[k] == pytest.approx(by_sweep[k]) for k in by_join)
+        both.append(by_join)
+    assert both[0][1, 1] == pytest.approx(both[1][1, 1])
+    assert both[0][1, 2][1] != pytest.approx(both[1][1, 2][1])  # the pull between two cells depends on both types
+
+
+def test_simulation_takes_the_steps_of_the_join(spark, tiny):
+    e = TISSUES["vector"](spark, tiny)
+    want = mechanics.step(mechanics.step(e, 10000, 100.0), 10000, 100.0)
+    want = {r.cell_id: (r.x, r.y, r.z) for r in want.collect()}
+    for policy in ("static", "reactive"):
+        got, log = runtime.simulate(e, 10000, runtime.Plan(2, cadence=1, ranks=3, slices=60, policy=policy))
+        got = {r.cell_id: (r.x, r.y, r.z) for r in got.collect()}
+        # Sums in another order may fall on the other side of a half once in a while.
+        assert got.keys() == want.keys() and sum(got[k] != want[k] for k in got) <= 2
+        rows = log.collect()
+        assert {r.event for r in rows} == {0, 1} and all(r.elements >= 0 and r.tests >= r.elements for r in rows)
+        assert sum(r.elements for r in rows) == 2 * len(got)
+
+
+def test_simulation_grows_and_divides(spark):
+    e = elements(spark, [(c, k, 40 * c + k, k, 0) for c in range(12) for k in range(4)])
+    out, log = runtime.simulate(e, 20, runtime.Plan(2, cadence=2, ranks=2, slices=24, dt=1.0, growth=1, divide_at=5, policy="learned"))
+    assert out.count() > 48 and out.select("cell_id").distinct().count() > 12 and log.count() == 2
+
+
 def test_empty_tissue(spark):
     e = elements(spark, [])
     assert interactions.binned(e, 10).count() == 0
@@ -57,6 +101,18 @@ def test_ghosts_and_assembly(spark):
     assert ghosts.min_width(10, 3) == 4
 
 
+def test_ranks_narrower_than_the_cutoff_are_refused(spark):
+    e = elements(spark, [(1, k, 10 * k, 0, 0) for k in range(12)])
+    with pytest.raises(ValueError):
+        interactions.slab_counts(e, 50, [40.0, 50.0, 60.0, 70.0])
+    brute = sum(1 for a in range(12) for b in range(12) if a != b and abs(a - b) <= 5)
+    assert interactions.slab_counts(e, 50, [40.0, 90.0]).agg(F.sum("n_pairs")).first()[0] == brute
+    bounds = [3.0, 7.0, 7.5, 20.0]
+    at = [-1.0, 3.0, 6.9, 7.2, 7.5, 19.0, 20.0, 99.0]
+    got = spark.createDataFrame([(x,) for x in at], "x double").select(ghosts.rank_of(F.col("x"), bounds)).collect()
+    assert [r[0] for r in got] == [sum(x >= b for b in bounds) for x in at]
+
+
 def test_division_keeps_elements(spark, tiny):
     order = TISSUES["order"](spark, tiny)
     assert mechanics.divide(order).count() == order.count()
@@ -69,7 +125,7 @@ def test_plans(spark, tiny):
     assert "l_comment" not in bins
 
 
-@pytest.mark.parametrize("name", ["partition_shares_event", "ghost_replication", "reactive_proposals", "holt_forecast", "growth_snapshots", "sweep_cases", "stream_telemetry_batch_equal", "join_as_of"])
+@pytest.mark.parametrize("name", ["partition_shares_event", "ghost_replication", "reactive_proposals", "holt_forecast", "growth_snapshots", "sweep_cases", "min_width_repair", "stream_telemetry_batch_equal", "join_as_of", "forces_event", "slab_forces_order", "rollout_reactive", "rollout_holt", "moved_slices_reactive", "lineage_closure", "parity_numpy", "parity_sql", "scenario_source", "partition_nearest_event", "evaluator_work_by_size", "udtf_stencil"])
 def test_catalogue_against_sql(spark, tiny, name):
     con = duckdb.connect()
     for t in TABLES:

@@ -41,8 +41,8 @@ def step(x: np.ndarray, h: np.ndarray, w: Weights) -> tuple[np.ndarray, np.ndarr
     return h, (h @ w["head"] + w["bias"])[..., 0]
 
 
-def dumps(w: Weights) -> str:
-    return json.dumps({k: {"shape": v.shape, "data": [round(float(x), 6) for x in v.ravel()]} for k, v in w.items()})
+def dumps(w: Weights, digits: int = 6) -> str:
+    return json.dumps({k: {"shape": v.shape, "data": [round(float(x), digits) for x in v.ravel()]} for k, v in w.items()})
 
 
 def loads(text: str) -> Weights:

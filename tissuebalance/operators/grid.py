@@ -32,12 +32,12 @@ def spread(df: DataFrame, shifts: list[tuple[int, int, int]]) -> DataFrame:
     return moved.withColumns({b: F.col(b) + F.col(f"shift.{n}") for b, n in zip(BINS, "abc", strict=True)})
 
 
-def bins(elements: DataFrame, edge: float) -> DataFrame:
-    """Occupied bins and their numbers of elements."""
-    return with_bins(elements, edge).groupBy(*BINS).agg(F.count(F.lit(1)).alias("n"))
+def bins(elements: DataFrame, edge: float, by: tuple[str, ...] = ()) -> DataFrame:
+    """Occupied bins of each group and their numbers of elements."""
+    return with_bins(elements, edge).groupBy(*by, *BINS).agg(F.count(F.lit(1)).alias("n"))
 
 
-def neighbourhood_counts(occupied: DataFrame) -> DataFrame:
+def neighbourhood_counts(occupied: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
     """n_near: elements in the 27 bins around each occupied bin. Only bins are shuffled, never elements."""
-    around = spread(occupied, offsets()).groupBy(*BINS).agg(F.sum("n").alias("n_near"))
-    return occupied.join(around, list(BINS))
+    around = spread(occupied, offsets()).groupBy(*by, *BINS).agg(F.sum("n").alias("n_near"))
+    return occupied.join(around, [*by, *BINS])

@@ -33,17 +33,36 @@ def different() -> Column:
     return (F.col("cell_id_a") != F.col("cell_id_b")) | (F.col("element_no_a") != F.col("element_no_b"))
 
 
-def all_pairs(elements: DataFrame, cutoff: float) -> DataFrame:
-    """The parallel quadratic baseline, for comparison on small inputs only."""
+def all_pairs(elements: DataFrame, cutoff: float, most: int = 200_000) -> DataFrame:
+    """The parallel quadratic baseline, for comparison on at most `most` elements."""
+    n = elements.count()
+    if n > most:
+        raise ValueError(f"{n} elements are too many for all pairs; use all_pairs_tiled or binned")
     a, b = sides(elements)
     return a.crossJoin(b).where(different() & (squared() <= float(cutoff) ** 2))
 
 
-def all_pairs_serial(elements: DataFrame, cutoff: float, most: int = 6000) -> DataFrame:
-    """Contributing pairs per element from one task that tests every pair, up to `most` elements."""
-    n = elements.count()
-    if n > most:
-        raise ValueError(f"{n} elements are too many for the serial baseline")
+def all_pairs_tiled(elements: DataFrame, cutoff: float, tile: int = 2048) -> DataFrame:
+    """Contributing pairs per element from blocks of tile x tile tests: quadratic, in tasks of one size."""
+    tiles = max(1, -(-elements.count() // tile))
+    own = F.pmod(F.xxhash64(*ID), F.lit(tiles))
+    every = F.explode(F.sequence(F.lit(0), F.lit(tiles - 1)))
+    a = elements.select(own.alias("i"), every.alias("j"), *ID, *grid.AXES)
+    b = elements.select(every.alias("i"), own.alias("j"), *ID, *grid.AXES)
+
+    def run(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+        mine, at = left[list(grid.AXES)].to_numpy(np.int64), right[list(grid.AXES)].to_numpy(np.int64)
+        found = np.array([(((at - x) ** 2).sum(axis=1) <= cutoff * cutoff).sum() for x in mine], np.int64)
+        if len(left) and left["i"].iloc[0] == left["j"].iloc[0]:
+            found -= 1  # itself
+        return left[list(ID)].assign(n_pairs=found)
+
+    part = a.groupBy("i", "j").cogroup(b.groupBy("i", "j")).applyInPandas(run, "cell_id bigint, element_no bigint, n_pairs bigint")
+    return part.groupBy(*ID).agg(F.sum("n_pairs").alias("n_pairs"))
+
+
+def all_pairs_serial(elements: DataFrame, cutoff: float) -> DataFrame:
+    """Contributing pairs per element from one task that tests every pair: the baseline that time rules out, not a limit."""
 
     def run(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         rows = pd.concat(list(parts), ignore_index=True)
@@ -56,17 +75,19 @@ def all_pairs_serial(elements: DataFrame, cutoff: float, most: int = 6000) -> Da
     return elements.select(*ID, *grid.AXES).coalesce(1).mapInPandas(run, "cell_id bigint, element_no int, n_pairs bigint")
 
 
-def binned(elements: DataFrame, cutoff: float, stencil: str = "full", per_cutoff: int = 1) -> DataFrame:
+def binned(elements: DataFrame, cutoff: float, stencil: str = "full", per_cutoff: int = 1, carry: tuple[str, ...] = ()) -> DataFrame:
     """Ordered pairs from an equality join on bins, the exact distance as a residual condition.
 
     stencil 'half' tests the own bin and the 13 that follow it, and mirrors what it finds.
-    per_cutoff cuts bins finer: more bins to look at, fewer tests that fail.
+    per_cutoff cuts bins finer: more bins to look at, fewer tests that fail. carry: columns of
+    both elements that go along.
     """
     placed = grid.with_bins(elements, cutoff / per_cutoff)
     half = stencil == "half"
-    a = grid.spread(placed.select(*ID, *grid.AXES, *grid.BINS), grid.offsets(per_cutoff, half))
-    a = a.select(*(F.col(n).alias(f"{n}_a") for n in (*ID, *grid.AXES)), *grid.BINS, "shift")
-    b = placed.select(*(F.col(n).alias(f"{n}_b") for n in (*ID, *grid.AXES)), *grid.BINS)
+    kept = (*ID, *grid.AXES, *carry)
+    a = grid.spread(placed.select(*kept, *grid.BINS), grid.offsets(per_cutoff, half))
+    a = a.select(*(F.col(n).alias(f"{n}_a") for n in kept), *grid.BINS, "shift")
+    b = placed.select(*(F.col(n).alias(f"{n}_b") for n in kept), *grid.BINS)
     met = a.join(b, list(grid.BINS)).where(squared() <= float(cutoff) ** 2)
     if not half:
         return met.where(different()).drop("shift", *grid.BINS)
@@ -82,24 +103,47 @@ def pair_counts(pairs: DataFrame) -> DataFrame:
     return pairs.groupBy(F.col("cell_id_a").alias("cell_id"), F.col("element_no_a").alias("element_no")).agg(F.count(F.lit(1)).alias("n_pairs"))
 
 
-def candidate_counts(elements: DataFrame, cutoff: float) -> DataFrame:
-    """One row: elements, occupied bins and ordered candidate tests (self included), from bins alone."""
-    near = grid.neighbourhood_counts(grid.bins(elements, cutoff))
-    return near.agg(F.sum("n").cast("bigint").alias("elements"), F.count(F.lit(1)).alias("bins"), F.sum(F.col("n") * F.col("n_near")).cast("bigint").alias("candidates"))
+def candidate_counts(elements: DataFrame, cutoff: float, by: tuple[str, ...] = ()) -> DataFrame:
+    """Elements, occupied bins and ordered candidate tests (self included) of each group, from bins alone."""
+    near = grid.neighbourhood_counts(grid.bins(elements, cutoff, by), by)
+    return near.groupBy(*by).agg(F.sum("n").cast("bigint").alias("elements"), F.count(F.lit(1)).alias("bins"), F.sum(F.col("n") * F.col("n_near")).cast("bigint").alias("candidates"))
+
+
+def pair_work(elements: DataFrame, cutoff: float) -> DataFrame:
+    """One row: candidate tests, pairs within the cutoff (both self included) and the share that is useful."""
+    useful = binned(elements, cutoff).agg(F.count(F.lit(1)).alias("pairs"))
+    row = candidate_counts(elements, cutoff).join(F.broadcast(useful)).withColumn("pairs", F.col("pairs") + F.col("elements"))
+    return row.select("elements", "candidates", "pairs", F.try_divide(F.col("pairs").cast("double"), F.col("candidates")).alias("hit_rate"))
+
+
+def dealt(elements: DataFrame, cutoff: float, bounds: list[float]) -> DataFrame:
+    """Elements and ghosts at their ranks, by plane of bins: one shuffle."""
+    placed = grid.with_bins(ghosts.attach(elements, bounds, cutoff), cutoff).drop("home_rank")
+    return placed.repartitionById(len(bounds) + 1, F.col("rank")).sortWithinPartitions("rank", "bx")
 
 
 def slab_counts(elements: DataFrame, cutoff: float, bounds: list[float]) -> DataFrame:
-    """Contributing pairs of each element from one task per rank, which sweeps planes of bins.
+    """Contributing pairs and tests of each element from one task per rank, which sweeps planes of bins.
 
-    bounds: where ranks end on x (interior boundaries). One shuffle places elements and their
-    ghosts; a task holds three planes of bins at a time, so its memory does not grow with its rank.
+    bounds: where ranks end on x (interior boundaries, at least a cutoff apart). A task holds
+    three planes of bins at a time, so its memory does not grow with its rank. seconds: the time
+    spent in the kernel, per element.
     """
-    from .kernels import sweep_planes
+    from .kernels import count_kernel, sweep_planes
+
+    kernel = count_kernel(float(cutoff))
+    rows = dealt(elements.select(*ID, *grid.AXES), cutoff, bounds)
+    return rows.mapInPandas(lambda parts: sweep_planes(parts, kernel), "cell_id bigint, element_no bigint, n_pairs bigint, tests bigint, rank int, seconds double")
+
+
+def slab_forces(elements: DataFrame, cutoff: float, bounds: list[float]) -> DataFrame:
+    """Velocity of each element, as mechanics.velocity gives it, from the same sweeps."""
+    from .kernels import force_kernel, sweep_planes
 
-    ranks = len(bounds) + 1
-    placed = grid.with_bins(ghosts.attach(elements, bounds, cutoff), cutoff).select("rank", "is_ghost", *ID, *grid.AXES, *grid.BINS)
-    dealt = placed.repartitionById(ranks, F.col("rank").cast("int")).sortWithinPartitions("rank", "bx")
-    return dealt.mapInPandas(lambda parts: sweep_planes(parts, float(cutoff)), "cell_id bigint, element_no int, n_pairs bigint, rank int")
+    floor = elements.agg(F.min("z")).first()[0]
+    kernel = force_kernel(float(cutoff), float(floor or 0))
+    rows = dealt(elements.select(*ID, *grid.AXES, "cell_type"), cutoff, bounds)
+    return rows.mapInPandas(lambda parts: sweep_planes(parts, kernel), "cell_id bigint, element_no bigint, vx double, vy double, vz double, tests bigint, rank int, seconds double")
 
 
 def evaluate(elements: DataFrame, cutoff: float, strategy: str = "auto") -> DataFrame:

@@ -2,39 +2,84 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import time
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
 
+from ..functions import forces
 
-def plane_counts(own: pd.DataFrame, near: list[pd.DataFrame], cutoff: float) -> np.ndarray:
-    """Elements within the cutoff of each row of own, itself left out; near: its plane and its neighbours."""
-    every = pd.concat(near, ignore_index=True)
+PAIRS_AT_ONCE = 2_000_000
+
+
+def neighbours(own: pd.DataFrame, every: pd.DataFrame) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Rows of own by bin, in pieces, and the rows of every in the nine columns of bins around them."""
     keys = {k: v for k, v in every.groupby(["by", "bz"]).indices.items()}
-    at = every[["x", "y", "z"]].to_numpy(np.int64)
-    out = np.zeros(len(own), np.int64)
-    mine = own[["x", "y", "z"]].to_numpy(np.int64)
     for (by, bz), rows in own.groupby(["by", "bz"]).indices.items():
         found = [keys[k] for k in ((by + i, bz + j) for i in (-1, 0, 1) for j in (-1, 0, 1)) if k in keys]
-        other = at[np.concatenate(found)]
-        for part in np.array_split(rows, max(1, len(rows) * len(other) // 2_000_000)):
-            gap = mine[part][:, None, :] - other[None, :, :]
-            out[part] = ((gap * gap).sum(axis=2) <= cutoff * cutoff).sum(axis=1) - 1
-    return out
+        other = np.concatenate(found)
+        for part in np.array_split(rows, max(1, len(rows) * len(other) // PAIRS_AT_ONCE)):
+            yield part, other
+
+
+def count_kernel(cutoff: float) -> Callable:
+    """Elements within the cutoff of each owned element, itself left out, and the tests made."""
+
+    def run(own: pd.DataFrame, every: pd.DataFrame) -> pd.DataFrame:
+        at, mine = every[["x", "y", "z"]].to_numpy(np.int64), own[["x", "y", "z"]].to_numpy(np.int64)
+        pairs, tests = np.zeros(len(own), np.int64), np.zeros(len(own), np.int64)
+        for part, other in neighbours(own, every):
+            gap = mine[part][:, None, :] - at[other][None, :, :]
+            pairs[part] = ((gap * gap).sum(axis=2) <= cutoff * cutoff).sum(axis=1) - 1
+            tests[part] = len(other)
+        return own[["cell_id", "element_no"]].assign(n_pairs=pairs, tests=tests)
+
+    return run
+
+
+def force_kernel(cutoff: float, floor: float, dt: float | None = None) -> Callable:
+    """Velocity of each owned element from its neighbours and the membrane; with dt, its row after one step."""
+
+    def run(own: pd.DataFrame, every: pd.DataFrame) -> pd.DataFrame:
+        at, mine = every[["x", "y", "z"]].to_numpy(np.float64), own[["x", "y", "z"]].to_numpy(np.float64)
+        cell, own_cell = every["cell_id"].to_numpy(), own["cell_id"].to_numpy()
+        kinds = pd.factorize(pd.concat([own["cell_type"], every["cell_type"]], ignore_index=True))[0]
+        own_kind, kind = kinds[: len(own)], kinds[len(own) :]
+        v, tests = np.zeros((len(own), 3)), np.zeros(len(own), np.int64)
+        for part, other in neighbours(own, every):
+            gap = mine[part][:, None, :] - at[other][None, :, :]
+            r = np.sqrt((gap * gap).sum(axis=2))
+            f = forces.pair_strength(r / cutoff, own_cell[part][:, None] == cell[other][None, :], own_kind[part][:, None] == kind[other][None, :])
+            f = np.divide(f, r, out=np.zeros_like(f), where=(r > 0) & (r <= cutoff))
+            v[part] = (f[:, :, None] * gap).sum(axis=1)
+            tests[part] = len(other)
+        v[:, 2] += forces.membrane_pull(mine[:, 2], floor, cutoff)
+        if dt is None:
+            return own[["cell_id", "element_no"]].assign(vx=v[:, 0], vy=v[:, 1], vz=v[:, 2], tests=tests)
+        moved = np.floor(v * dt + 0.5).astype(np.int64)
+        out = own.drop(columns=["rank", "is_ghost", "bx", "by", "bz"]).assign(tests=tests)
+        return out.assign(**{a: own[a] + moved[:, k] for k, a in enumerate("xyz")})
+
+    return run
+
 
+def sweep_planes(parts: Iterator[pd.DataFrame], kernel: Callable) -> Iterator[pd.DataFrame]:
+    """The kernel's rows for owned elements of each rank, with rank and seconds, over rows sorted by rank and plane.
 
-def sweep_planes(parts: Iterator[pd.DataFrame], cutoff: float) -> Iterator[pd.DataFrame]:
-    """Counts of owned elements of each rank, over rows sorted by rank and plane."""
+    A plane is handed over with its two neighbours, so that three planes are held at a time.
+    """
     held: list[tuple[tuple[int, int], pd.DataFrame]] = []
 
     def answer(middle: int) -> pd.DataFrame | None:
         (rank, plane), rows = held[middle]
-        own = rows[~rows["is_ghost"]]
+        own = rows[~rows["is_ghost"]].reset_index(drop=True)
         if own.empty:
             return None
-        near = [r for (k, p), r in held if k == rank and abs(p - plane) <= 1]
-        return own[["cell_id", "element_no"]].assign(n_pairs=plane_counts(own, near, cutoff), rank=rank)
+        begin = time.perf_counter()
+        every = pd.concat([r for (k, p), r in held if k == rank and abs(p - plane) <= 1], ignore_index=True)
+        out = kernel(own, every)
+        return out.assign(rank=np.int32(rank), seconds=(time.perf_counter() - begin) / len(own))
 
     def whole_planes() -> Iterator[tuple[tuple[int, int], pd.DataFrame]]:
         open_key, pieces = None, []

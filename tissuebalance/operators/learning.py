@@ -2,19 +2,23 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
+import pandas as pd
+from pyspark.sql import DataFrame, SparkSession
 
+from . import bptt
 from ..functions import balance, gru
-from ..functions.tape import Var, backward, concat, of, stack
-from .policies import bound_of_step, cut
-from .scenarios import held_out, scenario
+from ..functions.tape import Var, concat, of, stack
+from .policies import bound_of_step, cut, rollout, summary
+from .scenarios import REGIMES, held_out, portable_hash, scenario
 
 
 @dataclass(frozen=True)
 class Config:
-    """Rate, decay, clip, batch, loss weights and temperatures. Steps and events are shorter here by default."""
+    """The published budget, rate, decay, clip, batch, loss weights and temperatures. calm: our share of calm scenarios."""
 
     steps: int = 6000
     events: int = 50
@@ -27,6 +31,7 @@ class Config:
     hot: float = 1.5
     cold: float = 0.4
     seed: int = 1
+    calm: float = 0.5
 
 
 def soft_times(bounds: Var, loads: np.ndarray, theta: float) -> Var:
@@ -48,7 +53,7 @@ def gru_step(x: Var, h: Var, w: dict[str, Var]) -> tuple[Var, Var]:
 
 
 def rollout_loss(w: dict[str, Var], group: list, events: int, theta: float, c: Config, rule: balance.Rule = balance.Rule()) -> Var:
-    """The mean loss of scenarios that share their numbers of ranks and slices."""
+    """The mean loss of scenarios that share their numbers of ranks and slices, on the tape: what bptt.gradient is held against."""
     ranks, m = group[0].ranks, group[0].slices
     least = np.array([[s.least] for s in group], float)
     loads = np.stack([s.loads[:events] for s in group])
@@ -97,8 +102,34 @@ def rollout_loss(w: dict[str, Var], group: list, events: int, theta: float, c: C
     return loss
 
 
-def train(c: Config = Config(), log=None) -> gru.Weights:
-    """Adam with a cosine rate on batches of scenarios that evaluation never sees."""
+def gradient(w: gru.Weights, ids: list[int], ranks: int, per_rank: int, theta: float, c: Config) -> tuple[float, gru.Weights]:
+    """Loss and gradient of some episodes of one shape."""
+    regimes = ["calm" if portable_hash(i) % 1000 < 1000 * c.calm else "restless" for i in ids]
+    return bptt.gradient(w, [scenario(i, c.events, ranks, per_rank, REGIMES[r]) for i, r in zip(ids, regimes, strict=True)], c.events, theta, c)
+
+
+def over_spark(spark: SparkSession, parts: int) -> Callable:
+    """The same gradient with the episodes of a batch dealt over tasks; the driver averages `parts` rows."""
+
+    def run(w: gru.Weights, ids: list[int], ranks: int, per_rank: int, theta: float, c: Config) -> tuple[float, gru.Weights]:
+        names, text = sorted(w), gru.dumps(w, 17)
+
+        def share(it: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            for rows in it:
+                if len(rows):
+                    loss, g = gradient(gru.loads(text), rows["id"].tolist(), ranks, per_rank, theta, c)
+                    yield pd.DataFrame({"n": [len(rows)], "loss": [loss], "g": [np.concatenate([g[n].ravel() for n in names])]})
+
+        rows = spark.createDataFrame([(i,) for i in ids], "id bigint").repartition(parts).mapInPandas(share, "n bigint, loss double, g array<double>").collect()
+        total, flat = sum(r.n for r in rows), sum(r.n * np.array(r.g) for r in rows) / sum(r.n for r in rows)
+        cuts = np.split(flat, np.cumsum([w[n].size for n in names])[:-1])
+        return sum(r.n * r.loss for r in rows) / total, {n: x.reshape(w[n].shape) for n, x in zip(names, cuts, strict=True)}
+
+    return run
+
+
+def train(c: Config = Config(), log: Callable | None = None, how: Callable = gradient) -> gru.Weights:
+    """Adam with a cosine rate on batches of scenarios that evaluation never sees; the episodes of a batch share their shape."""
     w = gru.init(c.seed)
     first, second = ({k: np.zeros_like(v) for k, v in w.items()} for _ in range(2))
     rng = np.random.default_rng(c.seed)
@@ -106,10 +137,7 @@ def train(c: Config = Config(), log=None) -> gru.Weights:
         ranks, per_rank = int(rng.integers(2, 17)), int(rng.integers(16, 65))
         ids = [i for i in rng.integers(1, 1 << 30, 2 * c.batch).tolist() if not held_out(i)][: c.batch]
         theta = c.hot * (c.cold / c.hot) ** (k / max(1, c.steps - 1))
-        held = {n: Var(v) for n, v in w.items()}
-        loss = rollout_loss(held, [scenario(i, c.events, ranks, per_rank) for i in ids], c.events, theta, c)
-        backward(loss)
-        grads = {n: v.grad if v.grad is not None else np.zeros_like(v.value) for n, v in held.items()}
+        loss, grads = how(w, ids, ranks, per_rank, theta, c)
         norm = np.sqrt(sum((g * g).sum() for g in grads.values()))
         rate = c.rate * (c.final + (1 - c.final) * (1 + np.cos(np.pi * k / c.steps)) / 2)
         for n, g in grads.items():
@@ -117,5 +145,19 @@ def train(c: Config = Config(), log=None) -> gru.Weights:
             first[n], second[n] = 0.9 * first[n] + 0.1 * g, 0.999 * second[n] + 0.001 * g * g
             w[n] = w[n] - rate * first[n] / (1 - 0.9 ** (k + 1)) / (np.sqrt(second[n] / (1 - 0.999 ** (k + 1))) + 1e-8)
         if log and k % 10 == 0:
-            log(f"{k} {float(loss.value):.4f}")
+            log(f"{k} {loss:.4f}")
     return w
+
+
+def sweep(spark: SparkSession, grid: list[Config], probes: list[int], ranks: int = 8) -> DataFrame:
+    """One training for each setting, all at once; steps, rate, migration, seed, and what held-out probes say of the weights."""
+    rows = [(k, *(float(getattr(c, n)) for n in ("steps", "events", "batch", "rate", "migration", "seed"))) for k, c in enumerate(grid)]
+    todo = spark.createDataFrame(rows, "k int, steps double, events double, batch double, rate double, migration double, seed double").repartition(len(rows), "k")
+
+    def run(part: pd.DataFrame) -> pd.DataFrame:
+        r = part.iloc[0]
+        w = train(Config(int(r.steps), int(r.events), int(r.batch), rate=r.rate, migration=r.migration, seed=int(r.seed)))
+        out = [summary(rollout(scenario(i, 100, ranks), "learned", w)) for i in probes]
+        return part.assign(mean_imbalance=float(np.mean([o["mean_imbalance"] for o in out])), moved=float(np.mean([o["moved"] for o in out])), weights=gru.dumps(w))
+
+    return todo.groupBy("k").applyInPandas(run, "k int, steps double, events double, batch double, rate double, migration double, seed double, mean_imbalance double, moved double, weights string")

@@ -6,12 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import grid, interactions
-
-#: Shape only, in units of the cutoff: strengths and ranges of repulsion and attraction.
-INTRA = (0.3, 0.1, 0.2, 0.4)
-INTER = (0.3, 0.04, 0.2, 0.4)
-OTHER_TYPE = 0.5
-MEMBRANE = (0.05, 1.0)
+from ..functions.forces import INTER, INTRA, MEMBRANE, OTHER_TYPE
 
 
 def pair_force(r: Column, same_cell: Column, same_type: Column) -> Column:
@@ -25,14 +20,14 @@ def pair_force(r: Column, same_cell: Column, same_type: Column) -> Column:
 
 
 def velocity(elements: DataFrame, cutoff: float) -> DataFrame:
-    """Each element's velocity: pair forces of its neighbourhood and the pull of the membrane below."""
-    kinds = elements.select("cell_id", "cell_type").distinct()
-    pairs = interactions.binned(elements, cutoff)
-    a, b = (kinds.select(F.col("cell_id").alias(f"cell_id_{s}"), F.col("cell_type").alias(f"type_{s}")) for s in "ab")
-    typed = pairs.join(a, "cell_id_a").join(b, "cell_id_b")
+    """Each element's velocity: pair forces of its neighbourhood and the pull of the membrane below.
+
+    Within a cell types play no part; between cells those of the two elements do.
+    """
+    pairs = interactions.binned(elements, cutoff, carry=("cell_type",))
     r = F.sqrt(interactions.squared())
-    force = F.when(r > 0, pair_force(r / float(cutoff), F.col("cell_id_a") == F.col("cell_id_b"), F.col("type_a").eqNullSafe(F.col("type_b"))) / r).otherwise(0.0)
-    pushed = typed.withColumn("f", force).groupBy(F.col("cell_id_a").alias("cell_id"), F.col("element_no_a").alias("element_no"))
+    force = F.when(r > 0, pair_force(r / float(cutoff), F.col("cell_id_a") == F.col("cell_id_b"), F.col("cell_type_a").eqNullSafe(F.col("cell_type_b"))) / r).otherwise(0.0)
+    pushed = pairs.withColumn("f", force).groupBy(F.col("cell_id_a").alias("cell_id"), F.col("element_no_a").alias("element_no"))
     pushed = pushed.agg(*(F.sum(F.col("f") * (F.col(f"{p}_a") - F.col(f"{p}_b"))).alias(f"v{p}") for p in grid.AXES))
     g, reach = MEMBRANE
     floor = elements.agg(F.min("z").alias("floor"))
@@ -68,8 +63,32 @@ def divide(elements: DataFrame, threshold: int = 6) -> DataFrame:
     return out.withColumn("cell_id", F.col("cell_id") * 2 + second.cast("int")).drop("n", "along", "place")
 
 
+def generations(elements: DataFrame, thresholds: list[int]) -> tuple[DataFrame, DataFrame]:
+    """The tissue after one division round for each threshold, and the edges of its lineage: generation, parent, child.
+
+    A cell that does not divide has one child, itself under its new number.
+    """
+    edges = None
+    for k, threshold in enumerate(thresholds):
+        elements = divide(elements.drop("parent_id"), threshold)
+        own = elements.select(F.lit(k + 1).alias("generation"), F.expr("cell_id div 2").alias("parent"), F.col("cell_id").alias("child")).distinct()
+        edges = own if edges is None else edges.unionByName(own)
+    return elements, edges
+
+
+def lineage(edges: DataFrame) -> DataFrame:
+    """ancestor, descendant, generation of the first and number of generations between, from edges (generation, parent, child)."""
+    return edges.sparkSession.sql(
+        """WITH RECURSIVE below(ancestor, descendant, since, upto) AS (
+             SELECT parent, child, generation, generation FROM {edges}
+             UNION ALL SELECT b.ancestor, e.child, b.since, e.generation FROM below b JOIN {edges} e ON e.parent = b.descendant AND e.generation = b.upto + 1)
+           SELECT ancestor, descendant, since, upto - since + 1 AS generations FROM below""",
+        edges=edges,
+    )
+
+
 def differentiate(cells: DataFrame, rules: list[tuple[Column, str]]) -> DataFrame:
-    """Cell types by the first rule that holds."""
+    """Cell types by the first rule that holds; rules may use layer (z), age (born) or any other column."""
     kind = F.col("cell_type")
     for test, name in reversed(rules):
         kind = F.when(test, F.lit(name)).otherwise(kind)

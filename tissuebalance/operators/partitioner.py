@@ -20,14 +20,23 @@ def balanced(histogram: DataFrame, ranks: int, rule: str = "midpoint", weight: s
     """Ranks by accumulated weight, in whole numbers.
 
     midpoint: the share in which a slice's middle falls; ceil: the share in which it ends;
-    nearest: the share in which it begins.
+    floor: the share in which it begins; nearest: each cut at the edge whose accumulated weight
+    is nearest to its share, the left one of two equals, which is where midpoint cuts too. Slices
+    without weight stay on the side of a share on which they lie.
     """
-    upto = F.sum(weight).over(Window.orderBy("slice_id").rowsBetween(Window.unboundedPreceding, 0))
-    total = F.sum(weight).over(Window.partitionBy())
-    twice = {"midpoint": 2 * upto - F.col(weight), "ceil": 2 * upto - 1, "nearest": 2 * (upto - F.col(weight))}[rule]
-    share = F.expr("case when _total = 0 then slice_id * {r} div _n else _twice * {r} div (2 * _total) end".format(r=ranks))
-    held = histogram.withColumns({"_twice": twice.cast("bigint"), "_total": total.cast("bigint"), "_n": F.count(F.lit(1)).over(Window.partitionBy())})
-    return held.withColumn("rank", F.greatest(F.lit(0), F.least(F.lit(ranks - 1), share)).cast("int")).drop("_twice", "_total", "_n")
+    return balanced_for(histogram.withColumn("p", F.lit(ranks)), rule, weight).drop("p")
+
+
+def balanced_for(histogram: DataFrame, rule: str = "midpoint", weight: str = "work") -> DataFrame:
+    """The same for several numbers of ranks at once, given with each row as p."""
+    w = Window.partitionBy("p")
+    upto = F.sum(weight).over(w.orderBy("slice_id").rowsBetween(Window.unboundedPreceding, 0))
+    held = histogram.withColumns({"_upto": upto.cast("bigint"), "_total": F.sum(weight).over(w).cast("bigint"), "_n": F.count(F.lit(1)).over(w)})
+    middle = 2 * F.col("_upto") - F.col(weight)
+    twice = {"midpoint": middle, "nearest": middle, "ceil": 2 * F.col("_upto") - 1, "floor": 2 * (F.col("_upto") - F.col(weight))}[rule]
+    share = F.expr("case when _total = 0 then slice_id * p div _n else _twice * p div (2 * _total) end")
+    ranked = held.withColumn("_twice", twice.cast("bigint")).withColumn("rank", F.greatest(F.lit(0), F.least(F.col("p") - 1, share)).cast("int"))
+    return ranked.drop("_upto", "_twice", "_total", "_n")
 
 
 def count_balanced(histogram: DataFrame, ranks: int) -> DataFrame:
@@ -65,6 +74,17 @@ def enforce_min_width(bounds: list[int], least: int) -> list[int]:
     return out
 
 
+def optimal_bounds(work: list[int], ranks: int) -> list[int]:
+    """Bounds of contiguous groups none of which exceeds the smallest possible largest share."""
+    most, out, own = optimal(work, ranks), [0], 0
+    for k, w in enumerate(work):
+        if own + w > most:
+            out.append(k)
+            own = 0
+        own += w
+    return [*out, *[len(work)] * (ranks + 1 - len(out))]
+
+
 def optimal(work: list[int], ranks: int) -> int:
     """The smallest possible largest share over contiguous groups."""
     low, high = max(work, default=0), sum(work)

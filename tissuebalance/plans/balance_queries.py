@@ -7,13 +7,12 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions import balance
+from ..functions import balance, gru
 from ..operators import measures, partitioner, rollouts
-from ..operators.partitioner import enforce_min_width
-from ..operators.policies import POLICIES, rollout, summary
-from ..operators.scenarios import scenario
+from ..operators.policies import BOUND, POLICIES, bound_of_step, rollout, summary
+from ..operators.scenarios import PRIME, portable_loads, scenario
 from ..sources.tissues import event_cloud, order_tissue, table
-from . import sql
+from . import loop_sql, sql
 from .tissue_queries import histogram
 
 QUERIES: dict = {}
@@ -30,12 +29,24 @@ def add(name: str, query, oracle: str | None = None) -> None:
 
 
 def load_trace(spark: SparkSession, folder: str, steps: int = STEPS, velocity: int = VELOCITY) -> DataFrame:
-    """step, slice_id, work: events accumulate over equal windows and drift right with their age."""
+    """step, slice_id, work: events accumulate over equal windows and drift right with their age.
+
+    Equal events (window, speed and place, of which there is a fixed number) are counted before
+    they are repeated for the windows that they live through.
+    """
     width = 30 * 86_400_000_000 // steps
-    events = event_cloud(spark, folder).select("x", "k", F.expr(f"micros div {width}").alias("born"))
-    alive = events.select("x", "k", "born", F.explode(F.sequence("born", F.lit(steps - 1).cast("bigint"))).alias("step"))
+    events = event_cloud(spark, folder).groupBy("x", "k", F.expr(f"micros div {width}").alias("born")).agg(F.count(F.lit(1)).alias("n"))
+    alive = events.select("x", "k", "born", "n", F.explode(F.sequence("born", F.lit(steps - 1).cast("bigint"))).alias("step"))
     at = F.expr(f"least({M - 1}, (x + {velocity} * k * (step - born) * 100 div {steps}) * {M} div {SPAN})")
-    return alive.groupBy(F.col("step").cast("int").alias("step"), at.cast("int").alias("slice_id")).agg(F.count(F.lit(1)).alias("work"))
+    return alive.groupBy(F.col("step").cast("int").alias("step"), at.cast("int").alias("slice_id")).agg(F.sum("n").cast("bigint").alias("work"))
+
+
+def order_trace(spark: SparkSession, folder: str) -> DataFrame:
+    """step, slice_id, work of the growing order tissue: elements live from their birth on, through windows of 27 days, what comes later in the last."""
+    born = F.expr(f"least({STEPS - 1}, datediff(born, date'1992-01-01') div 27)").cast("int")
+    place = F.expr(f"least({M - 1}, greatest(0, (x + 1200000) * {M} div 2600000))").cast("int")
+    counted = order_tissue(spark, folder).groupBy(born.alias("born"), place.alias("slice_id")).agg(F.count(F.lit(1)).alias("n"))
+    return counted.select("slice_id", "n", F.explode(F.sequence("born", F.lit(STEPS - 1))).alias("step")).groupBy("step", "slice_id").agg(F.sum("n").cast("bigint").alias("work"))
 
 
 _TRACE = f"""WITH {sql.elements('event')}, alive AS (SELECT x, k, micros // {WINDOW_US} AS born FROM e),
@@ -97,36 +108,112 @@ SELECT slice_id, round(greatest(l + t, 0), 6) AS forecast FROM h WHERE step = {S
 )
 
 
-def rolled(policies: tuple[str, ...], steps: int = STEPS, ranks: tuple[int, ...] = (RANKS,), **more):
-    return lambda s, d: rollouts.replay(load_trace(s, d, steps), M, list(ranks), policies, seeds=1, **more).withColumn("i_global", F.round("i_global", 6))
+add(
+    "load_trace_order",
+    order_trace,
+    f"""WITH {sql.elements('order')}, b AS (SELECT least({STEPS - 1}, date_diff('day', DATE '1992-01-01', born) // 27)::INTEGER AS born, least({M - 1}, greatest(0, (x + 1200000) * {M} // 2600000))::INTEGER AS slice_id, count(*) AS n FROM e GROUP BY ALL)
+SELECT i::INTEGER AS step, slice_id, sum(n)::BIGINT AS work FROM b JOIN range({STEPS}) s(i) ON i >= born GROUP BY ALL""",
+)
+add(
+    "imbalance_spread_static",
+    lambda s, d: measures.spread(static_times(s, d)).select("step", F.round("excess", 6).alias("excess"), F.round("spread", 6).alias("spread")),
+    f"{_TIMES} SELECT step, round((max(t) - avg(t)) / nullif(avg(t), 0), 6) AS excess, round(stddev_pop(t) / nullif(avg(t), 0), 6) AS spread FROM t GROUP BY step",
+)
+
+LEAST, NOISE = 2, 0.02
+
 
+def event_log(spark: SparkSession, folder: str, policies: tuple[str, ...], steps: int = STEPS, ranks: tuple[int, ...] = (RANKS,), seeds: int = 1, **more) -> DataFrame:
+    return rollouts.replay(load_trace(spark, folder, steps), M, list(ranks), policies, LEAST, NOISE, seeds, steps=steps, **more)
 
-for _policy in POLICIES:
-    add(f"rollout_{_policy}", rolled((_policy,)))
-add("rollout_persistence_histogram", rolled(("persistence",), observed="histogram"))
-add("rollout_holt_histogram", rolled(("holt",), observed="histogram"))
-add("rollout_400_events", rolled(("reactive", "learned"), 400))
 
+def shown(log: DataFrame) -> DataFrame:
+    return log.select("step", F.array_join("bounds", ",").alias("bounds"), F.col("moved").cast("bigint").alias("moved"), F.round("i_global", 6).alias("i_global"), F.col("t_max").cast("bigint").alias("t_max"))
 
-def untrained_equals_reactive(spark: SparkSession, folder: str) -> DataFrame:
-    """Events in which a controller with a head of zeros and the clipped reactive rule differ: none."""
-    log = rollouts.replay(load_trace(spark, folder), M, [2, 8], ("reactive", "untrained"), seeds=2)
-    per = log.groupBy("scenario_id", "ranks", "step").agg(F.count_distinct("bounds").alias("kinds"))
-    return per.agg(F.count(F.lit(1)).alias("events"), F.sum((F.col("kinds") > 1).cast("bigint")).alias("differing"))
 
+def rolled(policy: str, **more):
+    return lambda s, d: shown(event_log(s, d, (policy,), **more))
+
+
+_SHAPE = (RANKS, M, LEAST)
+_PRE = loop_sql.lists(_TRACE.replace("WITH ", "WITH RECURSIVE ", 1), M, STEPS, RANKS, NOISE)
+_LOOPS = {
+    "static": loop_sql.static(*_SHAPE), "reactive": loop_sql.reactive(*_SHAPE, bound_of_step(M, RANKS)),
+    "persistence": loop_sql.persistence(*_SHAPE), "holt": loop_sql.holt(*_SHAPE),
+    "persistence_histogram": loop_sql.persistence(*_SHAPE, True), "holt_histogram": loop_sql.holt(*_SHAPE, True),
+}
+
+
+def looped(policy: str, select: str) -> str:
+    return f"{_PRE}, {_LOOPS[policy]}, {loop_sql.log(RANKS)} {select}"
+
+
+for _policy in POLICIES:
+    add(f"rollout_{_policy}", rolled(_policy), looped(_policy, loop_sql.shown(RANKS)) if _policy in _LOOPS else None)
+for _policy in ("persistence", "holt"):
+    add(f"rollout_{_policy}_histogram", rolled(_policy, observed="histogram"), looped(f"{_policy}_histogram", loop_sql.shown(RANKS)))
+add("rollout_clairvoyant", rolled(BOUND))
+add("rollout_400_events", lambda s, d: event_log(s, d, ("reactive", "learned"), 400).select("policy", "step", F.array_join("bounds", ",").alias("bounds"), "moved", F.round("i_global", 6).alias("i_global")))
+#: A controller with a head of zeros takes the steps of the clipped reactive rule, event by event.
+add("rollout_untrained_equals_reactive", rolled("untrained"), looped("reactive", loop_sql.shown(RANKS)))
+
+_MOVED = f"list_sum(list_transform(range(1, {RANKS + 2}), lambda i: abs(nb[i] - b[i])))"
+_MOVED_WORK = f"list_sum(list_transform(range(1, {RANKS + 2}), lambda i: abs(c[nb[i] + 1] - c[b[i] + 1])))"
+add(
+    "migration_reactive",
+    lambda s, d: measures.migration(event_log(s, d, ("reactive",))).select("run_id", "moved", F.col("moved_work").cast("bigint").alias("moved_work")),
+    looped("reactive", f"SELECT '0-{RANKS}-reactive' AS run_id, sum({_MOVED})::BIGINT AS moved, sum({_MOVED_WORK})::BIGINT AS moved_work FROM log"),
+)
+add(
+    "moved_slices_reactive",
+    lambda s, d: measures.moved_slices(event_log(s, d, ("reactive",))).select("step", F.col("slice_id").cast("int").alias("slice_id"), "from_rank", "to_rank"),
+    looped("reactive", f"""SELECT step, slice_id, from_rank, to_rank FROM (SELECT step, z::INTEGER AS slice_id, (len(list_filter(b, lambda e: e <= z)) - 1)::INTEGER AS from_rank, (len(list_filter(nb, lambda e: e <= z)) - 1)::INTEGER AS to_rank
+  FROM log, range({M}) q(z) WHERE step < {STEPS - 1}) WHERE from_rank <> to_rank"""),
+)
+for _policy in ("static", "reactive", "holt"):
+    add(
+        f"rank_curves_{_policy}",
+        lambda s, d, p=_policy: measures.rank_times(event_log(s, d, (p,))).select("step", "rank", F.col("t").cast("bigint").alias("t")),
+        looped(_policy, f"SELECT step, (i - 1)::INTEGER AS rank, t[i]::BIGINT AS t FROM log, range(1, {RANKS + 1}) q(i)"),
+    )
+add("rank_curves_learned", lambda s, d: measures.rank_times(event_log(s, d, ("learned",))).select("step", "rank", F.col("t").cast("bigint").alias("t")))
 
-add("rollout_untrained_equals_reactive", untrained_equals_reactive, f"SELECT {STEPS * 4}::BIGINT AS events, 0::BIGINT AS differing")
-add("policy_table_event", lambda s, d: rollouts.policy_table(rollouts.replay(load_trace(s, d), M, [2, 4, 8, 16])))
+EVERY = (*POLICIES, BOUND)
+add("policy_table_event", lambda s, d: rollouts.policy_table(event_log(s, d, EVERY, ranks=(2, 4, 8, 16), seeds=3)))
+add("end_to_end_event", lambda s, d: measures.end_to_end(rollouts.policy_table(event_log(s, d, EVERY, seeds=3))))
+add("end_to_end_order", lambda s, d: measures.end_to_end(rollouts.policy_table(rollouts.replay(order_trace(s, d), M, [RANKS], EVERY, LEAST, NOISE))))
+#: W11: every policy on the front that sweeps over the axis.
+add("policy_table_front", lambda s, d: rollouts.policy_table(rollouts.replay(moving_front(s, d), 128, [4, 8], EVERY, LEAST, NOISE, steps=92)))
 
 
-def policy_table_scenarios(spark: SparkSession, folder: str) -> DataFrame:
-    """Five policies on held-out scenarios, hard boundaries, 100 events."""
-    return rollouts.policy_table(rollouts.synthetic(spark, [5 * k for k in range(1, 11)], [2, 4, 8, 16]))
+def policy_table_scenarios(spark: SparkSession, folder: str, regime: str = "restless") -> DataFrame:
+    """All policies on ten held-out scenarios, hard boundaries, 100 events."""
+    return rollouts.policy_table(rollouts.synthetic(spark, [5 * k for k in range(1, 11)], [2, 4, 8, 16], policies=EVERY, regime=regime))
 
 
 add("policy_table_scenarios", policy_table_scenarios)
-add("tradeoff", lambda s, d: measures.tradeoff(policy_table_scenarios(s, d).select("ranks", "policy", "mean_imbalance", "moved")))
-add("migration_by_run", lambda s, d: measures.migration(rollouts.replay(load_trace(s, d), M, [RANKS], ("static", "reactive"), seeds=1).select("run_id", "step", "bounds")))
+add("policy_table_calm", lambda s, d: policy_table_scenarios(s, d, "calm"))
+add("end_to_end_calm", lambda s, d: measures.end_to_end(policy_table_scenarios(s, d, "calm")))
+add("tradeoff", lambda s, d: measures.tradeoff(policy_table_scenarios(s, d)))
+
+IDS, SCENARIO_STEPS, SCENARIO_M = 6, 100, 64
+
+
+def _scenario_hash(*values: str | int) -> str:
+    h = "17"
+    for v in values:
+        h = f"(({h}) * 48271::BIGINT + {v} + 11) % {PRIME}"
+    return h
+
+
+_BUMPS = " + ".join(
+    f"(greatest(0, (50 + ({_scenario_hash(2026, 'a', 10 * k + 3)}) % 150{' + 20 * (t // 12)' if k == 1 else ''}) * (w{k} - abs(z - (({_scenario_hash(2026, 'a', 10 * k)}) % {SCENARIO_M} + ({_scenario_hash(2026, 'a', 10 * k + 1)}) % 5 * t * {SCENARIO_M} // 400) % {SCENARIO_M}))) // w{k})"
+    for k in (1, 2)
+)
+_WIDE = ", ".join(f"{SCENARIO_M // 20} + ({_scenario_hash(2026, 'a', 10 * k + 2)}) % {SCENARIO_M // 5} AS w{k}" for k in (1, 2))
+SCENARIO_SQL = f"""SELECT a AS scenario_id, t::INTEGER AS step, z::INTEGER AS slice_id, (CASE WHEN hit % 20 = 0 AND z * 10 // {SCENARIO_M} = hit % 10 THEN 2 ELSE 1 END * (100 + {_BUMPS}))::BIGINT AS work
+FROM (SELECT a, t, z, {_WIDE}, {_scenario_hash(2027, 'a', 't')} AS hit FROM range({IDS}) x(a), range({SCENARIO_STEPS}) y(t), range({SCENARIO_M}) v(z))"""
+add("scenario_loads", lambda s, d: portable_loads(s, IDS, SCENARIO_STEPS, SCENARIO_M), SCENARIO_SQL)
 
 
 def combine_step_grid(spark: SparkSession, folder: str) -> DataFrame:
@@ -148,25 +235,45 @@ def sweep_cases(spark: SparkSession, folder: str) -> DataFrame:
     return rows.select("case", F.explode(F.expr(fold)).alias("bound"))
 
 
-add("sweep_cases", sweep_cases, "SELECT * FROM (VALUES " + ", ".join(f"({k}, {v})" for k, (b, s, w) in enumerate(CASES) for v in balance.sweep(np.array(b), np.array(s), w).tolist()) + ') t("case", bound)')
+def _cases(rows: list[tuple]) -> str:
+    return ", ".join("(" + ", ".join(f"{v}::BIGINT[]" if isinstance(v, list) else str(v) for v in (k, *r)) + ")" for k, r in enumerate(rows))
+
+
+add(
+    "sweep_cases",
+    sweep_cases,
+    f"""WITH RECURSIVE c(k, b, s, w) AS (VALUES {_cases(CASES)}), r AS (SELECT k, 1 AS i, [0::BIGINT] AS o FROM c UNION ALL
+  SELECT k, i + 1, list_append(o, least(greatest(b[i + 1] + s[i], o[i] + w), b[i + 2] - w)) FROM r JOIN c USING (k) WHERE i <= len(s))
+SELECT k AS "case", unnest(list_append(o, b[-1]))::INTEGER AS bound FROM r JOIN c USING (k) WHERE i = len(s) + 1""",
+)
 
 
 def scaling_model(spark: SparkSession, folder: str) -> DataFrame:
-    """Modelled strong scaling: the largest share of work on P ranks, speed-up and efficiency (W2)."""
-    work = histogram(spark, folder, "order")
-    parts = [partitioner.balanced(work, p).groupBy("rank").agg(F.sum("work").alias("w")).agg(F.max("w").alias("t")).select(F.lit("order").alias("case"), F.lit(p).alias("p"), "t") for p in (1, 2, 4, 8, 16)]
-    times = parts[0]
-    for p in parts[1:]:
-        times = times.unionByName(p)
-    return measures.speedup(times).select("p", F.col("t").cast("bigint").alias("t"), F.round("speedup", 6).alias("speedup"), F.round("efficiency", 6).alias("efficiency"))
+    """Modelled strong scaling: the largest share of work on P ranks, speed-up and efficiency (W2). One histogram serves all P."""
+    counts = F.explode(F.array(*(F.lit(p) for p in (1, 2, 4, 8, 16))))
+    ranked = partitioner.balanced_for(histogram(spark, folder, "order").withColumn("p", counts))
+    times = ranked.groupBy("p", "rank").agg(F.sum("work").alias("w")).groupBy("p").agg(F.max("w").alias("t"))
+    return measures.speedup(times.withColumn("case", F.lit("order"))).select("p", F.col("t").cast("bigint").alias("t"), F.round("speedup", 6).alias("speedup"), F.round("efficiency", 6).alias("efficiency"))
 
 
 _PARTS = " UNION ALL ".join(f"(WITH {sql.ranked('midpoint', p, M)} SELECT {p} AS p, max(w)::BIGINT AS t FROM (SELECT sum(work) AS w FROM g GROUP BY rank))" for p in (1, 2, 4, 8, 16))
 add("scaling_model", scaling_model, f"WITH {sql.histogram('order', 5000, M)}, s AS ({_PARTS}) SELECT p, t, round((SELECT t FROM s WHERE p = 1)::DOUBLE / t, 6) AS speedup, round((SELECT t FROM s WHERE p = 1)::DOUBLE / t / p, 6) AS efficiency FROM s")
+BATCH_SLICES = 4096
+
+
+def document_batches(spark: SparkSession, folder: str) -> DataFrame:
+    """Ranges of ids with equal numbers of characters: a histogram of fixed length, however many documents (W12)."""
+    docs = table(spark, folder, "documents")
+    span = docs.agg(F.min("doc_id").alias("lo"), (F.max("doc_id") - F.min("doc_id") + 1).alias("n"))
+    sliced = docs.join(F.broadcast(span)).groupBy(F.expr(f"int((doc_id - lo) * {BATCH_SLICES} div n)").alias("slice_id"))
+    held = sliced.agg(F.sum("n_chars").cast("bigint").alias("work"), F.count(F.lit(1)).alias("n_cells"))
+    return partitioner.balanced(held, RANKS).groupBy("rank").agg(F.sum("work").cast("bigint").alias("work"))
+
+
 add(
     "document_batches",
-    lambda s, d: partitioner.balanced(table(s, d, "documents").groupBy(F.expr("int(doc_id div 4)").alias("slice_id")).agg(F.sum("n_chars").cast("bigint").alias("work"), F.count(F.lit(1)).alias("n_cells")), RANKS).groupBy("rank").agg(F.sum("work").cast("bigint").alias("work")),
-    f"WITH h AS (SELECT (doc_id // 4)::INTEGER AS slice_id, sum(n_chars)::BIGINT AS work, count(*)::BIGINT AS n_cells FROM documents GROUP BY 1), {sql.ranked('midpoint', RANKS, M)} SELECT rank, sum(work)::BIGINT AS work FROM g GROUP BY rank",
+    document_batches,
+    f"WITH x AS (SELECT min(doc_id) AS lo, max(doc_id) - min(doc_id) + 1 AS n FROM documents), h AS (SELECT ((doc_id - lo) * {BATCH_SLICES} // n)::INTEGER AS slice_id, sum(n_chars)::BIGINT AS work, count(*)::BIGINT AS n_cells FROM documents, x GROUP BY 1), {sql.ranked('midpoint', RANKS, M)} SELECT rank, sum(work)::BIGINT AS work FROM g GROUP BY rank",
 )
 
 
@@ -180,24 +287,46 @@ add("moving_front", moving_front, f"WITH {sql.elements('order')}, b AS (SELECT (
 
 
 def ablation(spark: SparkSession, folder: str) -> DataFrame:
-    """tau, alpha and direction mode on held-out scenarios (W9), one row each, averaged over seeds."""
-    grid = spark.createDataFrame([(t, a) for t in (0.0, 0.02, 0.05, 0.1) for a in (0.25, 0.5, 1.0)], "tau double, alpha double")
+    """tau, alpha, step bound (in units of its default) and direction mode on held-out scenarios (W9), one row each, averaged over seeds.
+
+    The reactive rule never steps away from the slower rank, so the mode is varied for the learned policy.
+    """
+    settings = [("reactive", t, a, m, "guarded") for t in (0.0, 0.02, 0.05, 0.1) for a in (0.25, 0.5, 1.0) for m in (1.0, 2.0)]
+    settings += [("learned", 0.02, 0.5, m, mode) for m in (0.5, 1.0, 2.0) for mode in ("guarded", "free")]
+    kinds = "policy string, tau double, alpha double, max_step double, mode string"
+    weights = gru.dumps(gru.trained())
+
+    def run(part: pd.DataFrame) -> pd.DataFrame:
+        r, ranks, out = part.iloc[0], 8, []
+        for k in range(1, 6):
+            one = scenario(5 * k, 100, ranks)
+            rule = balance.Rule(tau=r.tau, alpha=r.alpha, mode=r["mode"])
+            out.append(summary(rollout(one, r.policy, gru.loads(weights), rule, most=r.max_step * bound_of_step(one.slices, ranks))))
+        return part.assign(mean_imbalance=float(np.mean([o["mean_imbalance"] for o in out])), moved=float(np.mean([o["moved"] for o in out])))
+
+    grid = spark.createDataFrame(settings, kinds)
+    return grid.groupBy(*grid.columns).applyInPandas(run, f"{kinds}, mean_imbalance double, moved double")
+
+
+add("ablation", ablation)
 
-    def run(parts):
-        for part in parts:
-            rows = [summary_row(r.tau, r.alpha) for r in part.itertuples()]
-            yield pd.DataFrame(rows, columns=["tau", "alpha", "mean_imbalance", "moved"])
+NARROW = [([0, 1, 2, 40], 5), ([0, 38, 39, 40], 5), ([0, 10, 20, 40], 10)]
 
-    def summary_row(tau: float, alpha: float) -> tuple:
-        out = [summary(rollout(scenario(5 * k, 100, 8), "reactive", rule=balance.Rule(tau=tau, alpha=alpha))) for k in range(1, 6)]
-        return tau, alpha, float(np.mean([o["mean_imbalance"] for o in out])), float(np.mean([o["moved"] for o in out]))
 
-    return grid.repartition(8).mapInPandas(run, "tau double, alpha double, mean_imbalance double, moved double")
+def min_width_repair(spark: SparkSession, folder: str) -> DataFrame:
+    """Bounds moved forward, then backward, until no rank is too narrow: two folds over an array."""
+    rows = spark.createDataFrame([(k, b, w) for k, (b, w) in enumerate(NARROW)], "case int, bounds array<int>, least int")
+    forward = "aggregate(slice(bounds, 2, size(bounds) - 2), array(0), (o, b) -> concat(o, array(greatest(b, element_at(o, -1) + least))), o -> concat(o, array(element_at(bounds, -1))))"
+    backward = "aggregate(reverse(slice(f, 2, size(f) - 2)), array(element_at(f, -1)), (o, b) -> concat(array(least(b, o[0] - least)), o), o -> concat(array(0), o))"
+    return rows.withColumn("f", F.expr(forward)).select("case", F.explode(F.expr(backward)).alias("bound"))
 
 
-add("ablation_reactive", ablation)
 add(
     "min_width_repair",
-    lambda s, d: s.createDataFrame([(k, v) for k, (b, w) in enumerate((([0, 1, 2, 40], 5), ([0, 38, 39, 40], 5), ([0, 10, 20, 40], 10))) for v in enforce_min_width(b, w)], "case int, bound int"),
-    'SELECT * FROM (VALUES (0, 0), (0, 5), (0, 10), (0, 40), (1, 0), (1, 30), (1, 35), (1, 40), (2, 0), (2, 10), (2, 20), (2, 40)) t("case", bound)',
+    min_width_repair,
+    f"""WITH RECURSIVE c(k, b, w) AS (VALUES {_cases(NARROW)}), f AS (SELECT k, 1 AS i, [0::BIGINT] AS o FROM c UNION ALL
+  SELECT k, i + 1, list_append(o, greatest(b[i + 1], o[i] + w)) FROM f JOIN c USING (k) WHERE i < len(b) - 1),
+g AS (SELECT k, len(b) - 1 AS i, [b[-1]] AS o FROM c UNION ALL
+  SELECT k, g.i - 1, list_prepend(least(f.o[g.i], g.o[1] - w), g.o) FROM g JOIN c USING (k) JOIN f USING (k) WHERE f.i = len(b) - 1 AND g.i > 1)
+SELECT k AS "case", unnest(list_prepend(0, o))::INTEGER AS bound FROM g WHERE i = 1""",
 )

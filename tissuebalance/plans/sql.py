@@ -62,6 +62,18 @@ def binned_pair_counts(cutoff: int) -> str:
     AND (a.x - o.x) * (a.x - o.x) + (a.y - o.y) * (a.y - o.y) + (a.z - o.z) * (a.z - o.z) <= {cutoff}::BIGINT * {cutoff} GROUP BY ALL)"""
 
 
+def forces(tissue: str, cutoff: int) -> str:
+    """v: velocity of each element, from binned pairs and the membrane."""
+    return f"""{elements(tissue)}, {binned(cutoff)}, {SHIFTS}, near AS (
+  SELECT a.cell_id, a.element_no, a.x - o.x AS dx, a.y - o.y AS dy, a.z - o.z AS dz, a.cell_id = o.cell_id AS own, a.cell_type IS NOT DISTINCT FROM o.cell_type AS same
+  FROM (SELECT p.cell_id, p.element_no, p.cell_type, p.x, p.y, p.z, p.bx + s.a AS bx, p.by_ + s.b AS by_, p.bz + s.c AS bz FROM p, shifts s) a
+  JOIN p o ON a.bx = o.bx AND a.by_ = o.by_ AND a.bz = o.bz WHERE a.cell_id <> o.cell_id OR a.element_no <> o.element_no),
+far AS (SELECT *, sqrt((dx * dx + dy * dy + dz * dz)::DOUBLE) AS r FROM near WHERE dx * dx + dy * dy + dz * dz <= {cutoff}::BIGINT * {cutoff}),
+pulls AS (SELECT *, CASE WHEN r > 0 THEN (0.3 / 0.2 * exp(-(r / {cutoff}) / 0.2) - CASE WHEN own THEN 0.1 WHEN same THEN 0.04 ELSE 0.02 END / 0.4 * exp(-(r / {cutoff}) / 0.4)) / r ELSE 0 END AS f FROM far),
+sums AS (SELECT cell_id, element_no, sum(f * dx) AS vx, sum(f * dy) AS vy, sum(f * dz) AS vz FROM pulls GROUP BY ALL),
+v AS (SELECT e.cell_id, e.element_no, coalesce(vx, 0) AS vx, coalesce(vy, 0) AS vy, coalesce(vz, 0) - 0.05 * exp(-(e.z - (SELECT min(z) FROM e)) / {cutoff}::DOUBLE) AS vz FROM e LEFT JOIN sums USING (cell_id, element_no))"""
+
+
 def cells(cutoff: int) -> str:
     centre = ", ".join(f"floor(sum({a})::DOUBLE / count(*))::BIGINT AS c{a}" for a in "xyz")
     own = ", ".join(f"{bin_of(f'c{a}', cutoff)} AS {n}" for a, n in zip("xyz", ("bx", "by_", "bz"), strict=True))
@@ -83,7 +95,11 @@ h AS (SELECT r.i::INTEGER AS slice_id, coalesce(work, 0)::BIGINT AS work, coales
 def ranked(rule: str, ranks: int, m: int, weight: str = "work", source: str = "h", name: str = "g") -> str:
     if rule == "uniform":
         return f"{name} AS (SELECT *, floor(slice_id * {ranks} / {m}::DOUBLE)::INTEGER AS rank FROM {source})"
-    twice = {"midpoint": f"2 * upto - {weight}", "ceil": "2 * upto - 1", "nearest": f"2 * (upto - {weight})"}[rule]
+    if rule == "nearest":  # an edge for each cut, at the least distance from the cut's share
+        return f"""{name}e AS (SELECT 0 AS edge, 0 AS upto UNION ALL SELECT slice_id + 1, sum({weight}) OVER (ORDER BY slice_id) FROM {source}),
+{name}c AS (SELECT k, first(edge ORDER BY abs(upto * {ranks} - t * k), upto, CASE WHEN upto * {ranks} < t * k THEN -edge ELSE edge END) AS edge FROM {name}e, range(1, {ranks}) q(k), (SELECT max(upto) AS t FROM {name}e) GROUP BY k),
+{name} AS (SELECT slice_id, work, n_cells, (SELECT count(*) FROM {name}c WHERE edge <= slice_id)::INTEGER AS rank FROM {source})"""
+    twice = {"midpoint": f"2 * upto - {weight}", "ceil": "2 * upto - 1", "floor": f"2 * (upto - {weight})"}[rule]
     return f"""{name}0 AS (SELECT *, sum({weight}) OVER (ORDER BY slice_id)::BIGINT AS upto, sum({weight}) OVER ()::BIGINT AS total FROM {source}),
 {name} AS (SELECT slice_id, work, n_cells, greatest(0, least({ranks - 1}, ({twice}) * {ranks} // (2 * total)))::INTEGER AS rank FROM {name}0)"""
 

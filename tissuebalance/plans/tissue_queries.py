@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+import time
+import uuid
+
+from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators import ghosts, grid, interactions, mechanics, partitioner, score
+from ..operators import ghosts, grid, interactions, mechanics, measures, partitioner, runtime, score
+from ..sources.scratch import scratch
 from ..sources.tissues import DEFAULT_CUTOFF, TISSUES
 from . import sql
 
@@ -52,11 +56,16 @@ def vector_counts(spark: SparkSession, folder: str, how) -> DataFrame:
     return long_key(how(TISSUES["vector"](spark, folder), 10000)).where("n_pairs > 0").select("cell_id", "element_no", "n_pairs")
 
 
-def slabs(elements: DataFrame, cutoff: int, ranks: int = 4) -> DataFrame:
-    """Counts by rank-local sweeps; cuts are uniform on x and at least a cutoff apart."""
+def even_bounds(elements: DataFrame, cutoff: int, ranks: int) -> list[float]:
+    """Cuts uniform on x, as many as stay a cutoff apart."""
     low, high = elements.agg(F.min("x"), F.max("x")).first()
     ranks = max(1, min(ranks, int((high - low) // max(cutoff, 1)))) if low is not None else 1
-    return interactions.slab_counts(elements, cutoff, [low + (high - low) * r / ranks for r in range(1, ranks)])
+    return [low + (high - low) * r / ranks for r in range(1, ranks)]
+
+
+def slabs(elements: DataFrame, cutoff: int, ranks: int = 4) -> DataFrame:
+    """Counts by rank-local sweeps."""
+    return interactions.slab_counts(elements, cutoff, even_bounds(elements, cutoff, ranks))
 
 
 for _name, _how in {
@@ -67,6 +76,7 @@ for _name, _how in {
     "fine": lambda e, c: interactions.pair_counts(interactions.binned(e, c, per_cutoff=2)),
     "auto": lambda e, c: interactions.pair_counts(interactions.evaluate(e, c)),
     "slab": slabs,
+    "tiled": interactions.all_pairs_tiled,
 }.items():
     add(f"pairs_{_name}_vector", lambda s, d, h=_how: vector_counts(s, d, h), _VECTOR_PAIRS)
 
@@ -92,26 +102,93 @@ add("candidates_by_tissue", candidates_by_tissue, " UNION ALL ".join(f"(WITH {sq
 SIZES = (64, 16, 4, 1)
 
 
+def nested_parts(elements: DataFrame, sizes: tuple[int, ...] = SIZES) -> DataFrame:
+    """Each element once for every part of the extent that holds it: the first 1/q of the range of x, marked one_in = q.
+
+    Parts grow by their extent, so the density is the tissue's own in all of them.
+    """
+    low, high = elements.agg(F.min("x"), F.max("x")).first()
+    every = F.array_compact(F.array(*(F.when(F.col("x") < low + -(-(high + 1 - low) // q), q) for q in sizes)))
+    return elements.withColumn("one_in", F.explode(every))
+
+
 def evaluator_work_by_size(spark: SparkSession, folder: str) -> DataFrame:
-    """Tests of the quadratic and the binned evaluator on growing sets of whole cells (W1), with log-log slopes."""
-    every = TISSUES["order"](spark, folder)
-    parts = []
-    for q in SIZES:
-        own = every.where(F.col("cell_id") % q == 0)
-        # The cutoff widens as cells thin out, so that the local density stays bounded.
-        parts.append(interactions.candidate_counts(own, 5000 * round(q ** (1 / 3))).withColumn("one_in", F.lit(q)))
-    rows = parts[0]
-    for p in parts[1:]:
-        rows = rows.unionByName(p)
+    """Tests of the quadratic and the binned evaluator on growing parts of a tissue (W1), with log-log slopes."""
+    rows = interactions.candidate_counts(nested_parts(TISSUES["order"](spark, folder)), 5000, ("one_in",))
     rows = rows.select("one_in", "elements", "candidates", (F.col("elements") * F.col("elements")).alias("all_pairs"))
-    slope = rows.agg(F.round(F.regr_slope(F.ln("candidates"), F.ln("elements")), 6).alias("slope_binned"), F.round(F.regr_slope(F.ln("all_pairs"), F.ln("elements")), 6).alias("slope_all_pairs"))
-    return rows.join(F.broadcast(slope))
+    slope = [F.expr(f"round(regr_slope(ln({c}), ln(elements)) over (), 6)").alias(f"slope_{n}") for c, n in (("candidates", "binned"), ("all_pairs", "all_pairs"))]
+    return rows.select("*", *slope)  # a window over one row for each size
 
 
 add(
     "evaluator_work_by_size",
     evaluator_work_by_size,
-    "WITH rows AS (" + " UNION ALL ".join(f"(WITH e0 AS ({sql.ELEMENTS['order']}), e AS (SELECT * FROM e0 WHERE cell_id % {q} = 0), {sql.binned(5000 * round(q ** (1 / 3)))}, {sql.bins()}, {sql.SHIFTS}, {sql.AROUND} SELECT {q} AS one_in, sum(n)::BIGINT AS elements, sum(n * n_near)::BIGINT AS candidates FROM b JOIN around USING (bx, by_, bz))" for q in SIZES) + ") SELECT one_in, elements, candidates, elements * elements AS all_pairs, (SELECT round(regr_slope(ln(candidates), ln(elements)), 6) FROM rows) AS slope_binned, (SELECT round(regr_slope(ln(elements * elements), ln(elements)), 6) FROM rows) AS slope_all_pairs FROM rows",
+    f"""WITH {sql.elements('order', 'e0')}, ext AS (SELECT min(x) AS lo, max(x) + 1 - min(x) AS n FROM e0), e AS (SELECT * FROM e0, ext, (VALUES {', '.join(f'({q})' for q in SIZES)}) t(one_in) WHERE x < lo + (n + one_in - 1) // one_in),
+{sql.binned(5000)}, b AS (SELECT one_in, bx, by_, bz, count(*) AS n FROM p GROUP BY ALL), {sql.SHIFTS},
+around AS (SELECT one_in, bx + a AS bx, by_ + s.b AS by_, bz + c AS bz, sum(n)::BIGINT AS n_near FROM b, shifts s GROUP BY ALL),
+rows AS (SELECT one_in, sum(n)::BIGINT AS elements, sum(n * n_near)::BIGINT AS candidates FROM b JOIN around USING (one_in, bx, by_, bz) GROUP BY one_in)
+SELECT one_in, elements, candidates, elements * elements AS all_pairs, (SELECT round(regr_slope(ln(candidates), ln(elements)), 6) FROM rows) AS slope_binned, (SELECT round(regr_slope(ln(elements * elements), ln(elements)), 6) FROM rows) AS slope_all_pairs FROM rows""",
+)
+
+
+def evaluator_seconds(spark: SparkSession, folder: str, serial: int = 10_000, quadratic: int = 40_000, cutoff: int = 5000) -> DataFrame:
+    """Seconds of every evaluator on growing parts of a tissue (W1); the quadratic ones only on parts up to a size. Rows are timings."""
+    path = scratch(spark, f"parts-{uuid.uuid4().hex}")
+    nested_parts(TISSUES["order"](spark, folder).drop("born")).write.partitionBy("one_in").parquet(path)
+    out = []
+    for q in SIZES:
+        part = spark.read.parquet(path).where(F.col("one_in") == q).drop("one_in")
+        n = part.count()
+        ways = {"binned": lambda e: interactions.pair_counts(interactions.binned(e, cutoff)), "slab": lambda e: slabs(e, cutoff, 8)}
+        if n <= quadratic:
+            ways |= {"all_pairs": lambda e: interactions.pair_counts(interactions.all_pairs(e, cutoff)), "tiled": lambda e: interactions.all_pairs_tiled(e, cutoff)}
+        if n <= serial:
+            ways["serial"] = lambda e: interactions.all_pairs_serial(e, cutoff)
+        for name, way in ways.items():
+            begin = time.perf_counter()
+            way(part).write.format("noop").mode("overwrite").save()
+            out.append((name, n, time.perf_counter() - begin))
+    return spark.createDataFrame(out, "evaluator string, elements bigint, seconds double")
+
+
+add("evaluator_seconds", evaluator_seconds)
+
+
+def scaling_seconds(spark: SparkSession, folder: str) -> DataFrame:
+    """Strong scaling by the seconds that ranks spend in the kernel (W2): the slowest rank, speed-up and efficiency."""
+    path = scratch(spark, f"tissue-{uuid.uuid4().hex}")
+    TISSUES["order"](spark, folder).drop("born").write.parquet(path)
+    elements, out = spark.read.parquet(path), []
+    for p in (1, 2, 4, 8, 16):
+        ranks = slabs(elements, 5000, p).groupBy("rank").agg(F.sum("seconds").alias("s"), F.sum("tests").alias("tests")).collect()  # one row a rank
+        out.append(("order", p, max(r.s for r in ranks), max(r.tests for r in ranks)))
+    return measures.speedup(spark.createDataFrame(out, "case string, p int, t double, tests bigint"))
+
+
+add("scaling_seconds", scaling_seconds)
+
+add(
+    "pair_work_vector",
+    lambda s, d: interactions.pair_work(TISSUES["vector"](s, d), 10000).withColumn("hit_rate", F.round("hit_rate", 6)),
+    f"""WITH {sql.elements('vector')}, {sql.binned(10000)}, {sql.bins()}, {sql.SHIFTS}, {sql.AROUND}, {sql.pair_counts(10000)},
+w AS (SELECT sum(n)::BIGINT AS elements, sum(n * n_near)::BIGINT AS candidates FROM b JOIN around USING (bx, by_, bz))
+SELECT elements, candidates, (elements + (SELECT sum(n_pairs) FROM pairs))::BIGINT AS pairs, round((elements + (SELECT sum(n_pairs) FROM pairs))::DOUBLE / candidates, 6) AS hit_rate FROM w""",
+)
+
+
+def observed_work(spark: SparkSession, folder: str) -> DataFrame:
+    """Candidate tests reported by a job that does something else with the bins: metrics on the side."""
+    near, seen = grid.neighbourhood_counts(bins_order(spark, folder)), Observation("candidates")
+    near.observe(seen, F.count(F.lit(1)).alias("bins"), F.sum(F.col("n") * F.col("n_near")).alias("candidates")).write.format("noop").mode("overwrite").save()
+    return spark.createDataFrame([(seen.get["bins"], seen.get["candidates"])], "bins bigint, candidates bigint")
+
+
+add("observed_work", observed_work, f"WITH {sql.elements('order')}, {sql.binned(5000)}, {sql.bins()}, {sql.SHIFTS}, {sql.AROUND} SELECT count(*)::BIGINT AS bins, sum(n * n_near)::BIGINT AS candidates FROM b JOIN around USING (bx, by_, bz)")
+
+add(
+    "axis_choice",
+    lambda s, d: s.createDataFrame([(k, score.choose_axis(make(s, d), DEFAULT_CUTOFF[k])) for k, make in TISSUES.items()], "tissue string, axis string"),
+    " UNION ALL ".join(f"(WITH {sql.elements(k)}, w AS (SELECT max(x) - min(x) AS x, max(y) - min(y) AS y, max(z) - min(z) AS z FROM e) SELECT '{k}' AS tissue, CASE WHEN x >= y AND x >= z THEN 'x' WHEN y >= z THEN 'y' ELSE 'z' END AS axis FROM w)" for k in TISSUES),
 )
 
 
@@ -134,11 +211,38 @@ add(
     f"{_FORCES} SELECT cell_id, (x + floor(vx * 100 + 0.5))::BIGINT AS x, (y + floor(vy * 100 + 0.5))::BIGINT AS y, (z + floor(vz * 100 + 0.5))::BIGINT AS z FROM m",
 )
 
+def rounded_forces(moved: DataFrame) -> DataFrame:
+    return long_key(moved).select("cell_id", "element_no", *((F.round(f"v{a}", 6) + 0.0).alias(f"v{a}") for a in grid.AXES))  # no negative zeros
+
+
+for _kind in ("order", "event"):
+    _forces = f"WITH {sql.forces(_kind, DEFAULT_CUTOFF[_kind])} SELECT cell_id, element_no::BIGINT AS element_no, round(vx, 6) + 0.0 AS vx, round(vy, 6) + 0.0 AS vy, round(vz, 6) + 0.0 AS vz FROM v"
+    add(f"forces_{_kind}", lambda s, d, k=_kind: rounded_forces(mechanics.velocity(TISSUES[k](s, d), DEFAULT_CUTOFF[k])), _forces)
+    add(f"slab_forces_{_kind}", lambda s, d, k=_kind: rounded_forces(interactions.slab_forces(e := TISSUES[k](s, d), DEFAULT_CUTOFF[k], even_bounds(e, DEFAULT_CUTOFF[k], 8))), _forces)
+
+#: The loop of ranks, ghosts and sweeps takes the same step as the join.
+add(
+    "simulated_vector",
+    lambda s, d: runtime.simulate(TISSUES["vector"](s, d), 10000, runtime.Plan(1, ranks=4, slices=64, dt=100.0))[0].select("cell_id", "x", "y", "z"),
+    ORACLES["step_vector"],
+)
+
+
+def simulation_log(spark: SparkSession, folder: str) -> DataFrame:
+    """Ranks of a short run that grows, divides and rebalances at every other iteration (B8): counts, tests and slices, no timings."""
+    plan = runtime.Plan(iterations=4, cadence=2, ranks=4, slices=128, dt=50.0, growth=2, divide_at=6)
+    return runtime.simulate(TISSUES["order"](spark, folder), 5000, plan)[1].drop("seconds")
+
+
+add("simulation_log", simulation_log)
+
 add("cell_work_centroid", lambda s, d: score.cell_work(TISSUES["order"](s, d), 5000), f"WITH {sql.work('order', 5000)} SELECT cell_id, cx, n_elements, work FROM w")
 add(
     "cell_work_per_element",
     lambda s, d: score.cell_work(TISSUES["order"](s, d), 5000, "per_element"),
-    f"WITH {sql.work('order', 5000)}, x AS (SELECT cell_id, sum(n_near)::BIGINT AS work FROM p JOIN around USING (bx, by_, bz) GROUP BY 1) SELECT w.cell_id, cx, n_elements, x.work FROM w JOIN x USING (cell_id)",
+    f"""WITH e AS MATERIALIZED ({sql.ELEMENTS['order']}), {sql.binned(5000)}, {sql.bins()}, {sql.SHIFTS}, around AS MATERIALIZED (SELECT bx + a AS bx, by_ + s.b AS by_, bz + c AS bz, sum(n)::BIGINT AS n_near FROM b, shifts s GROUP BY ALL),
+{sql.cells(5000)}, q AS MATERIALIZED (SELECT cell_id, bx, by_, bz, count(*) AS n FROM p GROUP BY ALL), x AS (SELECT cell_id, sum(n * n_near)::BIGINT AS work FROM q JOIN around USING (bx, by_, bz) GROUP BY 1)
+SELECT centres.cell_id, cx, n_elements, work FROM centres JOIN x USING (cell_id)""",
 )
 
 
@@ -154,6 +258,7 @@ CUTS = {
     "count": (lambda h, m: partitioner.count_balanced(h, RANKS), ("midpoint", "n_cells")),
     "shares": (lambda h, m: partitioner.balanced(h, RANKS), ("midpoint", "work")),
     "ceil": (lambda h, m: partitioner.balanced(h, RANKS, "ceil"), ("ceil", "work")),
+    "floor": (lambda h, m: partitioner.balanced(h, RANKS, "floor"), ("floor", "work")),
     "nearest": (lambda h, m: partitioner.balanced(h, RANKS, "nearest"), ("nearest", "work")),
 }
 for _kind in TISSUES:
@@ -163,13 +268,16 @@ for _kind in TISSUES:
         add(f"partition_{_cut}_{_kind}", lambda s, d, k=_kind, f=_make: partitioner.shares(f(histogram(s, d, k), M[k]), RANKS), f"WITH {_own}, {sql.ranked(_rule, RANKS, M[_kind], _weight)} {sql.shares()}")
 
 
-def partition_optimal_event(spark: SparkSession, folder: str) -> DataFrame:
-    """The smallest possible largest share at two ranks (all cuts tested), and at eight."""
+def partition_optimal(spark: SparkSession, folder: str, ranks: int) -> DataFrame:
+    """The smallest possible largest share."""
     work = [r.work for r in histogram(spark, folder, "event").orderBy("slice_id").collect()]  # M numbers
-    return spark.createDataFrame([(partitioner.optimal(work, 2),)], "largest bigint")
+    return spark.createDataFrame([(ranks, partitioner.optimal(work, ranks))], "ranks int, largest bigint")
 
 
-add("partition_optimal_event", partition_optimal_event, f"WITH {sql.histogram('event', 20000, M['event'])}, c AS (SELECT sum(work) OVER (ORDER BY slice_id)::BIGINT AS a, sum(work) OVER ()::BIGINT AS t FROM h) SELECT min(greatest(a, t - a))::BIGINT AS largest FROM c")
+_UPTO = f"WITH {sql.histogram('event', 20000, M['event'])}, c AS MATERIALIZED (SELECT 0 AS i, 0::BIGINT AS a UNION ALL SELECT slice_id + 1, sum(work) OVER (ORDER BY slice_id)::BIGINT FROM h)"
+_BEST = ", ".join(f"f{k} AS MATERIALIZED (SELECT c.i, min(greatest(p.v, c.a - d.a))::BIGINT AS v FROM c JOIN c d ON d.i <= c.i JOIN f{k - 1} p ON p.i = d.i GROUP BY c.i)" for k in range(2, RANKS + 1))
+for _p in (2, RANKS):
+    add(f"partition_optimal_event_{_p}", lambda s, d, p=_p: partition_optimal(s, d, p), f"{_UPTO}, f1 AS (SELECT i, a AS v FROM c), {_BEST} SELECT {_p}::INTEGER AS ranks, v AS largest FROM f{_p} WHERE i = {M['event']}")
 
 _EDGES = [600_000, 1_200_000, 1_800_000]
 _RANK = " + ".join(f"CASE WHEN {{0}} >= {b} THEN 1 ELSE 0 END" for b in _EDGES)
@@ -180,8 +288,10 @@ add("ghost_replication", lambda s, d: ghosts.attach(TISSUES["order"](s, d), _EDG
 
 
 def slab_result_invariant(spark: SparkSession, folder: str) -> DataFrame:
-    """Ordered pairs found with 1, 2, 4 and 8 ranks: ghosts make them equal."""
-    elements = TISSUES["order"](spark, folder)
+    """Ordered pairs found with 1, 2, 4 and 8 ranks: ghosts make them equal. The tissue is made once."""
+    path = scratch(spark, f"tissue-{uuid.uuid4().hex}")
+    TISSUES["order"](spark, folder).select(*interactions.ID, *grid.AXES).write.parquet(path)
+    elements = spark.read.parquet(path)
     parts = [slabs(elements, 5000, p).agg(F.sum("n_pairs").cast("bigint").alias("n_pairs")).select(F.lit(p).alias("ranks"), "n_pairs") for p in (1, 2, 4, 8)]
     return parts[0].unionByName(parts[1]).unionByName(parts[2]).unionByName(parts[3])
 
@@ -208,6 +318,30 @@ t AS (SELECT *, CASE WHEN dx >= dy AND dx >= dz THEN x WHEN dy >= dz THEN y ELSE
 u AS (SELECT *, row_number() OVER (PARTITION BY cell_id ORDER BY along, element_no) AS place FROM t)
 SELECT cell_id * 2 + CASE WHEN n >= 6 AND 2 * place > n THEN 1 ELSE 0 END AS cell_id, CASE WHEN n >= 6 THEN cell_id END AS parent_id, count(*)::BIGINT AS n_elements, sum(x)::BIGINT AS sum_x FROM u GROUP BY ALL""",
 )
+
+
+def lineage_closure(spark: SparkSession, folder: str) -> DataFrame:
+    """Descendants of the first cells after two rounds of division, at six and at two elements (C9)."""
+    tissue, edges = mechanics.generations(TISSUES["order"](spark, folder), [6, 2])
+    path = scratch(spark, f"lineage-{uuid.uuid4().hex}")
+    edges.write.parquet(path)
+    closed = mechanics.lineage(spark.read.parquet(path)).where("since = 1")
+    return closed.groupBy("ancestor", "generations").agg(F.count(F.lit(1)).alias("n_descendants"), F.sum("descendant").cast("bigint").alias("sum_ids"))
+
+
+def _divided(source: str, threshold: int, name: str) -> str:
+    return f"""{name}s AS (SELECT *, count(*) OVER w AS n, max(x) OVER w - min(x) OVER w AS dx, max(y) OVER w - min(y) OVER w AS dy, max(z) OVER w - min(z) OVER w AS dz FROM {source} WINDOW w AS (PARTITION BY cell_id)),
+{name}u AS (SELECT *, row_number() OVER (PARTITION BY cell_id ORDER BY CASE WHEN dx >= dy AND dx >= dz THEN x WHEN dy >= dz THEN y ELSE z END, element_no) AS place FROM {name}s),
+{name} AS (SELECT cell_id AS parent, cell_id * 2 + CASE WHEN n >= {threshold} AND 2 * place > n THEN 1 ELSE 0 END AS cell_id, element_no, x, y, z FROM {name}u)"""
+
+
+add(
+    "lineage_closure",
+    lineage_closure,
+    f"""WITH {sql.elements('order')}, {_divided('e', 6, 'g1')}, {_divided('g1', 2, 'g2')}, e1 AS (SELECT DISTINCT parent, cell_id AS child FROM g1), e2 AS (SELECT DISTINCT parent, cell_id AS child FROM g2),
+c AS (SELECT parent AS ancestor, child AS descendant, 1 AS generations FROM e1 UNION ALL SELECT e1.parent, e2.child, 2 FROM e1 JOIN e2 ON e2.parent = e1.child)
+SELECT ancestor, generations::INTEGER AS generations, count(*)::BIGINT AS n_descendants, sum(descendant)::BIGINT AS sum_ids FROM c GROUP BY ALL""",
+)
 add(
     "growth_by_rule",
     lambda s, d: mechanics.grow(TISSUES["order"](s, d)).groupBy("cell_id").agg(F.count(F.lit(1)).alias("n_elements"), F.sum("y").cast("bigint").alias("sum_y")),
