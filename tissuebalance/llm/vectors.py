@@ -15,6 +15,18 @@ def usable(column: str = "embedding", zero: bool = False) -> Column:
     return F.coalesce(ok if zero else ok & F.exists(column, lambda x: x != 0), F.lit(False))
 
 
+def regular(vectors: DataFrame) -> DataFrame:
+    """Rows (vec_id, embedding) with an id and of the most frequent length (the longer of equals), one for each id: its smallest vector in array order."""
+    known = vectors.where("vec_id is not null")
+    size = known.groupBy(F.size("embedding").alias("size")).agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), F.desc("size")).first()
+    if size is None:
+        return known
+    known = known.where(F.size("embedding") == size["size"])
+    if known.groupBy("vec_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").isEmpty():
+        return known
+    return known.groupBy("vec_id").agg(F.min("embedding").alias("embedding"))
+
+
 def stacked(column: pa.ChunkedArray | pa.Array) -> np.ndarray:
     """A list column as rows of doubles. All lists must have one length."""
     column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
