@@ -12,7 +12,10 @@
   held against all of them, in blocks. So every pair that shares a bucket is compared, unless it
   is linked already or its sizes alone rule the similarity out.
 * Groups: tasks join their own edges by union-find; what is left between tasks is a graph of
-  their roots, which goes through again.
+  their roots, which goes through again. Roots are chosen by a hash of their ids, so that chains
+  of rising ids shrink as fast as any other graph.
+* Classes and hubs that hold more than a small share of the rows are few, so they are joined by
+  broadcast or dealt over parts; everything else is joined by its key.
 """
 
 from __future__ import annotations
@@ -29,6 +32,10 @@ from .common import Workspace, batch, chunks, mix64, sliced
 from .shingles import shingle_sets
 
 
+#: Documents with the same set.
+CLASS = ("n_shingles", "key_a", "key_b")
+
+
 @dataclass(frozen=True)
 class Settings:
     words: int = 5
@@ -121,53 +128,84 @@ def linked(pairs: DataFrame, sets: DataFrame, s: Settings) -> DataFrame:
                 keep.append(100 * both >= percent * (len(u) + len(v) - both))
             yield batch(schema, got.column("a"), got.column("b")).filter(pa.array(keep, pa.bool_()))
 
-    held = pairs.join(sets.select(F.col("node").alias("a"), F.col("hashes").alias("hashes_a")), "a")
-    held = held.join(sets.select(F.col("node").alias("b"), F.col("hashes").alias("hashes_b")), "b")
+    limit = hot_limit(pairs.count())
+    hubs = pairs.groupBy("b").agg(F.ceil(F.count(F.lit(1)) / limit).alias("parts")).where("parts > 1").withColumnRenamed("b", "hub")
+    of_a, of_b = (sets.select(F.col("node").alias(x), F.col("hashes").alias(f"hashes_{x}")) for x in "ab")
+    dealt = pairs.join(F.broadcast(hubs), F.col("b") == F.col("hub"), "left").select("a", "b", F.coalesce(F.pmod(F.xxhash64("a"), "parts"), F.lit(0).cast("bigint")).alias("part"))
+    of_b = of_b.join(F.broadcast(hubs), F.col("b") == F.col("hub"), "left").select("b", "hashes_b", F.explode(F.sequence(F.lit(0).cast("bigint"), F.coalesce("parts", F.lit(1).cast("bigint")) - 1)).alias("part"))
+    held = dealt.join(of_a, "a").join(of_b, ["b", "part"])
     return held.select("a", "b", "hashes_a", "hashes_b").mapInArrow(run, "a bigint, b bigint")
 
 
+def hot_limit(rows: int) -> int:
+    """Rows that make a key hot: a thousandth of all, so that at most a thousand keys are; never more than a task holds with ease."""
+    return min(max(1000, rows // 1000), 1_000_000)
+
+
+FOREST = "node bigint, component bigint, order bigint, least bigint"
+
+
 def union_find(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Smallest reachable id of each node over the edges (a, b) of one task."""
+    """For each node over the edges (a, b) of one task: the reachable node that comes first in the order of hashed ids,
+    its place in that order, and the smallest reachable id."""
     parent: dict[int, int] = {}
+    order: dict[int, int] = {}
 
     def root(x: int) -> int:
         top = x
-        while parent.setdefault(top, top) != top:
+        while parent[top] != top:
             top = parent[top]
         while parent[x] != top:
             parent[x], x = top, parent[x]
         return top
 
     for got in it:
+        for name in ("a", "b"):
+            ids = got.column(name).to_numpy()
+            for x, h in zip(ids.tolist(), mix64(ids.view(np.uint64)).view(np.int64).tolist(), strict=True):
+                parent.setdefault(x, x)
+                order[x] = h
         for x, y in zip(got.column("a").to_pylist(), got.column("b").to_pylist(), strict=True):
             x, y = root(x), root(y)
             if x != y:
-                parent[max(x, y)] = min(x, y)
+                x, y = (x, y) if order[x] < order[y] else (y, x)
+                parent[y] = x
+    least: dict[int, int] = {}
+    for x in parent:
+        top = root(x)
+        least[top] = min(least.get(top, x), x)
     nodes = list(parent)
-    schema = pa.schema([("node", pa.int64()), ("component", pa.int64())])
+    schema = pa.schema([(n, pa.int64()) for n in ("node", "component", "order", "least")])
     for k in range(0, len(nodes), 10_000):
         part = nodes[k : k + 10_000]
-        yield batch(schema, part, [root(x) for x in part])
+        tops = [root(x) for x in part]
+        yield batch(schema, part, tops, [order[x] for x in tops], [least[x] for x in tops])
+
+
+def contracted(edges: DataFrame, space: Workspace, per_task: int) -> DataFrame:
+    """node, component (some member of it), least (its smallest id)."""
+    tasks = -(-edges.count() // per_task)
+    local = edges.repartition(max(1, tasks)).mapInArrow(union_find, FOREST)
+    if tasks <= 1:
+        return local.select("node", "component", "least")
+    local = space.write(local, "local")
+    low = space.write(local.groupBy("node").agg(F.min(F.struct("order", "component")).getField("component").alias("low"), F.min("least").alias("least")), "low")
+    above = low.select(F.col("node").alias("component"), F.col("low").alias("above"))
+    links = local.join(low.select("node", "low"), "node").join(above, "component").select(F.col("above").alias("a"), F.col("low").alias("b")).where("a <> b").distinct()
+    roots = contracted(space.write(links, "roots"), space, per_task).select(F.col("node").alias("low"), F.col("component").alias("root"))
+    own = low.groupBy("low").agg(F.min("least").alias("own")).join(roots, "low", "left").withColumn("root", F.coalesce("root", "low"))
+    own = space.write(own, "own")
+    whole = own.join(own.groupBy("root").agg(F.min("own").alias("whole")), "root").select("low", "root", "whole")
+    return low.join(whole, "low").select("node", F.col("root").alias("component"), F.col("whole").alias("least"))
 
 
 def components(edges: DataFrame, space: Workspace, per_task: int = 200_000) -> DataFrame:
     """node, component (smallest reachable id) for every node of the edges (a, b), an edge table in the workspace.
 
     Tasks of at most about per_task edges contract their own; where there are several, the roots
-    that they gave to one node are linked and the far smaller graph of roots goes through again.
+    that they gave to one node are linked and the smaller graph of roots goes through again.
     """
-    tasks = -(-edges.count() // per_task)
-    local = edges.repartition(max(1, tasks)).mapInArrow(union_find, "node bigint, component bigint")
-    if tasks <= 1:
-        return local
-    local = space.write(local, "local")
-    low = local.groupBy("node").agg(F.min("component").alias("low"))
-    up = low.select(F.col("node").alias("component"), F.col("low").alias("above"))
-    higher = local.join(low, "node").join(up, "component", "left")
-    links = higher.select(F.coalesce("above", "component").alias("a"), F.col("low").alias("b")).where("a <> b").distinct()
-    roots = components(space.write(links, "roots"), space, per_task)
-    roots = roots.select(F.col("node").alias("low"), F.col("component").alias("root"))
-    return low.join(roots, "low", "left").select("node", F.coalesce("root", "low").alias("component"))
+    return contracted(edges, space, per_task).select("node", F.col("least").alias("component"))
 
 
 def near_duplicates(docs: DataFrame, s: Settings = Settings()) -> DataFrame:
@@ -181,7 +219,7 @@ def near_duplicates(docs: DataFrame, s: Settings = Settings()) -> DataFrame:
     space = Workspace(docs.sparkSession, "minhash")
     signs = space.write(signed(docs, s), "signed")
     own = signs.where("n_shingles > 0 and doc_id is not null")
-    classes = own.groupBy("n_shingles", "key_a", "key_b").agg(F.min("doc_id").alias("node"), F.min(F.struct("doc_id", "bands")).getField("bands").alias("bands"))
+    classes = own.groupBy(*CLASS).agg(F.min("doc_id").alias("node"), F.min(F.struct("doc_id", "bands")).getField("bands").alias("bands"), F.count(F.lit(1)).alias("n"))
     keyed = classes.select("node", "n_shingles", F.explode("bands").alias("bucket"))
     shared = keyed.groupBy("bucket").agg(F.min("node").alias("first"), F.max("node").alias("last")).where("first < last")
     members = space.write(keyed.join(shared.select("bucket", "first"), "bucket"), "members")
@@ -199,10 +237,16 @@ def near_duplicates(docs: DataFrame, s: Settings = Settings()) -> DataFrame:
     late = space.write(links_in_buckets(members, found, sets, s), "late")
     if not late.isEmpty():
         found = space.write(components(space.write(edges.union(late), "links"), space), "components")
-    by_class = classes.select(*(F.col(c).alias(f"_{c}") for c in ("n_shingles", "key_a", "key_b")), "node").join(found, "node", "left")
-    group = F.coalesce("component", "node", "doc_id")
-    rows = signs.select("doc_id", "n_shingles", "key_a", "key_b").join(by_class, F.expr("n_shingles = _n_shingles and key_a = _key_a and key_b = _key_b and doc_id is not null"), "left")
-    return rows.select("doc_id", "n_shingles", group.alias("component_id"), F.coalesce(F.col("doc_id") == group, F.lit(True)).alias("kept"))
+    grouped = classes.select(*(F.col(c).alias(f"_{c}") for c in CLASS), "node", "n").join(found, "node", "left").where("n > 1 or component is not null")
+    grouped = space.write(grouped.select(*(f"_{c}" for c in CLASS), "n", F.coalesce("component", "node").alias("group")), "groups")
+    limit = hot_limit(signs.count())
+    same = " and ".join(f"{c} = _{c}" for c in CLASS)
+    own_class = [f"_{c}" for c in CLASS]
+    rows = signs.select("doc_id", *CLASS).join(F.broadcast(grouped.where(F.col("n") > limit).drop("n")), F.expr(f"{same} and doc_id is not null"), "left").drop(*own_class)
+    settled = F.col("group").isNotNull() | (F.col("n_shingles") == 0) | F.col("doc_id").isNull()
+    rest = rows.where(~settled).drop("group").join(grouped.where(F.col("n") <= limit).drop("n"), F.expr(same), "left").drop(*own_class)
+    rows = rows.where(settled).unionByName(rest).withColumn("group", F.coalesce("group", "doc_id"))
+    return rows.select("doc_id", "n_shingles", F.col("group").alias("component_id"), F.coalesce(F.col("doc_id") == F.col("group"), F.lit(True)).alias("kept"))
 
 
 def parity_bits(hashes: np.ndarray, owner: np.ndarray, n: int) -> np.ndarray:
