@@ -40,14 +40,24 @@ class Workspace:
         self.count = 0
 
     def write(self, df: DataFrame, name: str) -> DataFrame:
-        """The rows of df from a table of their own. What only earlier steps needed goes first:
-        shuffle files are deleted once the driver's JVM finds their plans unreachable."""
-        self.spark.sparkContext._jvm.System.gc()
+        """The rows of df from a table of their own; shuffle files that made them go."""
         self.count += 1
         path = f"{self.root}/{self.count}-{name}"
         df.write.option("compression", "zstd").parquet(path)
+        self.release()
         return self.spark.read.schema(df.schema).parquet(path)
 
+    def release(self) -> None:
+        """Have Spark delete the shuffle files of finished jobs.
+
+        It does so once the driver's JVM finds their plans unreachable. Threads that tell
+        listeners of a job's end hold its plan until they have something else to tell.
+        """
+        sc = self.spark.sparkContext
+        self.spark.range(0).count()
+        sc._jsc.sc().listenerBus().waitUntilEmpty()
+        sc._jvm.System.gc()
+
     def drop(self, df: DataFrame) -> None:
         """Delete what write() returned, once nothing reads it any more."""
         jvm = self.spark.sparkContext._jvm

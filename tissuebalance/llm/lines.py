@@ -1,8 +1,8 @@
 """Near-duplicate lines by a deletion-neighbourhood join.
 
-Lines of at least `least` words are compared as word sequences; the edit bound is one word
-inserted, deleted or replaced. Shorter lines that are not blank may take part too (`short`), but
-for equal words only. Equal sequences meet first and only the earliest goes on. A line
+Lines are compared as word sequences. Any line that is not blank goes where an earlier one has
+equal words; lines of at least `least` words also where an earlier one is within the edit bound, one
+word inserted, deleted or replaced. Equal sequences meet first and only the earliest goes on. A line
 can only have a neighbour if another line shares its first or its last half (one edit leaves
 one half whole, counted on the shorter line), so only such lines emit their neighbourhood:
 
@@ -66,14 +66,14 @@ LINES = "doc bigint, version bigint, line int, key_a bigint, key_b bigint, halve
 LINES_ARROW = pa.schema([("doc", pa.int64()), ("version", pa.int64()), ("line", pa.int32()), ("key_a", pa.int64()), ("key_b", pa.int64()), ("halves", pa.list_(pa.int64()))])
 
 
-def scan(it: Iterator[pa.RecordBatch], least: int, piece: int, short: bool) -> Iterator[pa.RecordBatch]:
+def scan(it: Iterator[pa.RecordBatch], least: int, piece: int) -> Iterator[pa.RecordBatch]:
     for got in sliced(it):
         docs, versions, texts = (got.column(0).to_numpy(), got.column(1).to_numpy(), got.column(2).to_pylist())
         for lo, hi in chunks(texts, piece):
             words, first, count, text = line_words(texts[lo:hi])
             begin = np.searchsorted(text, np.arange(hi - lo))
             number = np.arange(len(first)) - begin[text]
-            keep = np.flatnonzero(count >= (1 if short else least))
+            keep = np.flatnonzero(count >= 1)
             a, n = first[keep], count[keep]
             b = a + n
             long = n >= least
@@ -144,9 +144,9 @@ def verify(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield batch(pa.schema([(n, got.schema.field(n).type) for n in ("doc", "version", "line")]), *(got.column(n) for n in ("doc", "version", "line"))).filter(pa.array(keep, pa.bool_()))
 
 
-def dropped_lines(rows: DataFrame, space: Workspace, least: int, piece: int = 1 << 20, short: bool = False) -> DataFrame:
+def dropped_lines(rows: DataFrame, space: Workspace, least: int, piece: int = 1 << 20) -> DataFrame:
     """doc, version, line, near of each line to drop; rows: doc, version, text."""
-    lines = space.write(rows.mapInArrow(lambda it: scan(it, least, piece, short), LINES), "lines")
+    lines = space.write(rows.mapInArrow(lambda it: scan(it, least, piece), LINES), "lines")
     place = F.struct("doc", "version", "line")
     distinct = space.write(lines.groupBy("key_a", "key_b").agg(F.min(place).alias("first"), F.count(F.lit(1)).alias("n"), F.first("halves").alias("halves")), "distinct")
     again = distinct.where("n > 1").select("key_a", "key_b", "first")
@@ -178,8 +178,9 @@ def keyed_rows(docs: DataFrame, *columns: str) -> DataFrame:
 def dedupe_lines(docs: DataFrame, least: int = 5) -> DataFrame:
     """doc_id, n_lines, n_exact, n_near, text (what stays) of every row of docs (doc_id, text).
 
-    A line of at least `least` words goes if an earlier one (smaller doc_id, then line) has the
-    same words or is within one word of it; all comparisons are on the input. Shorter lines stay.
+    A line goes if an earlier one (smaller doc_id, then line) has the same words, and one of at
+    least `least` words also if an earlier one of that length is within one word of it. All
+    comparisons are on the input. Blank lines stay.
     Null texts count as empty and have one empty line. Rows with equal id and text are one
     document; null ids come last; extra columns are ignored.
     """
@@ -205,20 +206,18 @@ def dedupe_lines(docs: DataFrame, least: int = 5) -> DataFrame:
 
 
 def without_repeated_lines(docs: DataFrame, least: int = 5) -> DataFrame:
-    """The pipeline's stage: the same columns with repeated lines taken out of text; n_chars follows.
-
-    As dedupe_lines, but shorter lines that are not blank go too where an earlier one has the same words.
-    """
+    """The pipeline's stage: the same columns with repeated lines taken out of text; n_chars follows. Rules as in dedupe_lines."""
     space = Workspace(docs.sparkSession, "lines")
-    gone = dropped_lines(keyed_rows(docs), space, least, short=True).groupBy("doc", "version").agg(F.collect_set("line").alias("gone"))
+    gone = dropped_lines(keyed_rows(docs), space, least).groupBy("doc", "version").agg(F.collect_set("line").alias("gone"))
     names, kinds = docs.columns, docs.schema
-    keys = docs.withColumns({"_doc": F.coalesce(F.col("doc_id").cast("bigint"), F.lit(LAST)), "_version": F.xxhash64(F.coalesce(F.col("text"), F.lit("")))})
+    whole = F.struct(*(F.col(f"`{n}`") for n in names)).alias("row")
+    keys = docs.select(whole, F.coalesce(F.col("doc_id").cast("bigint"), F.lit(LAST)).alias("doc"), F.xxhash64(F.coalesce(F.col("text"), F.lit(""))).alias("version"))
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for got in sliced(it):
-            columns = {n: got.column(n) for n in names}
+            columns = dict(zip(names, got.column("row").flatten(), strict=True))
             texts = columns["text"].to_pylist()
-            for k, drop in enumerate(got.column("_gone").to_pylist()):
+            for k, drop in enumerate(got.column("gone").to_pylist()):
                 if drop and texts[k] is not None:
                     drop = set(drop)
                     texts[k] = "\n".join(x for j, x in enumerate(texts[k].split("\n")) if j not in drop)
@@ -227,11 +226,8 @@ def without_repeated_lines(docs: DataFrame, least: int = 5) -> DataFrame:
                 columns["n_chars"] = pa.array([None if t is None else len(t) for t in texts], columns["n_chars"].type)
             yield pa.RecordBatch.from_arrays([columns[n] for n in names], names=names)
 
-    found = gone.select(F.col("doc").alias("_doc"), F.col("version").alias("_version"), F.col("gone").alias("_gone"))
-    return keys.join(found, ["_doc", "_version"], "left").mapInArrow(run, kinds)
+    return keys.join(gone, ["doc", "version"], "left").select("row", "gone").mapInArrow(run, kinds)
 
 
 def digest_rows(found: DataFrame) -> DataFrame:
     return found.select("doc_id", "n_lines", "n_exact", "n_near", F.sha2(F.col("text").cast("binary"), 256).alias("kept_sha256"))
-
-

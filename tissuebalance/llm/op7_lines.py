@@ -14,9 +14,9 @@ WITH lines AS (
   FROM (SELECT doc_id, string_split(coalesce(text, ''), chr(10)) AS l FROM documents)),
 words AS (
   SELECT doc_id, line, text, list_filter(regexp_split_to_array(text, '[\x20\x09\x0B\x0C\x0D]+'), lambda x: x <> '') AS w FROM lines),
-long AS (SELECT doc_id, line, w, array_to_string(w, ' ') AS s FROM words WHERE len(w) >= 5),
-places AS (SELECT doc_id, line, s, row_number() OVER (PARTITION BY s ORDER BY doc_id, line) AS nth FROM long),
-firsts AS (SELECT l.doc_id, l.line, l.w, l.s FROM long l JOIN places p ON p.doc_id = l.doc_id AND p.line = l.line WHERE p.nth = 1),
+filled AS (SELECT doc_id, line, w, array_to_string(w, ' ') AS s FROM words WHERE len(w) >= 1),
+places AS (SELECT doc_id, line, s, row_number() OVER (PARTITION BY s ORDER BY doc_id, line) AS nth FROM filled),
+firsts AS (SELECT l.doc_id, l.line, l.w, l.s FROM filled l JOIN places p ON p.doc_id = l.doc_id AND p.line = l.line WHERE p.nth = 1 AND len(l.w) >= 5),
 variants AS (
   SELECT doc_id, line, i, array_to_string(list_concat(w[1:i-1], w[i+1:]), ' ') AS v
   FROM (SELECT doc_id, line, w, unnest(range(1, len(w) + 1)) AS i FROM firsts)
