@@ -2,10 +2,10 @@
 
 The words around each mention of licensing, as far as the longest statement may reach, are aligned
 exactly with every statement of every template, whatever the line breaks. Statements that are
-found to a sufficient share are confirmed, the one with most words first; each stretch of words
-counts for one statement, and what is left beside it is searched again. The size of the found
-lines is compared with their size when a template's wording is given to zstandard as a raw
-dictionary: that gain orders statements that fit equally well, and is given with each row.
+found to a sufficient share are candidates. Each candidate's block is compressed alone and with
+its template's wording as a raw dictionary of zstandard, and candidates are ranked by the bytes
+saved. The first of the ranking wins its words; of those that save as much to within a few bytes,
+and of other alignments of the same statement, the one whose wording differs least. What is left beside it is searched again.
 """
 
 from __future__ import annotations
@@ -20,31 +20,17 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import batch
-
-# Statements by which public licenses are usually declared.
-TEMPLATES = {
-    "Apache-2.0": ["Licensed under the Apache License, Version 2.0.", 'Licensed under the Apache License, Version 2.0 (the "License"); you may not use this file except in compliance with the License.', "SPDX-License-Identifier: Apache-2.0"],
-    "MIT": ["Released under the MIT License.", "This software is licensed under the MIT License.", 'Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the "Software"), to deal in the Software without restriction', "SPDX-License-Identifier: MIT"],
-    "GPL-3.0": ["This work is licensed under the GNU General Public License, version 3.", "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version.", "SPDX-License-Identifier: GPL-3.0-or-later"],
-    "GPL-2.0": ["This work is licensed under the GNU General Public License, version 2.", "SPDX-License-Identifier: GPL-2.0-only"],
-    "LGPL-3.0": ["This library is licensed under the GNU Lesser General Public License, version 3.", "SPDX-License-Identifier: LGPL-3.0-or-later"],
-    "AGPL-3.0": ["This work is licensed under the GNU Affero General Public License, version 3.", "SPDX-License-Identifier: AGPL-3.0-or-later"],
-    "BSD-3-Clause": ["Use of this source code is governed by a BSD-style license.", "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met", "SPDX-License-Identifier: BSD-3-Clause"],
-    "MPL-2.0": ["This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0.", "SPDX-License-Identifier: MPL-2.0"],
-    "CC-BY-4.0": ["Licensed under CC BY 4.0.", "This work is licensed under a Creative Commons Attribution 4.0 International License."],
-    "CC-BY-SA-4.0": ["Licensed under CC BY-SA 4.0.", "This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License."],
-    "CC-BY-NC-4.0": ["Licensed under CC BY-NC 4.0.", "This work is licensed under a Creative Commons Attribution-NonCommercial 4.0 International License."],
-    "CC0-1.0": ["Released into the public domain under CC0 1.0.", "To the extent possible under law, the author has waived all copyright and related rights to this work."],
-    "ISC": ["Released under the ISC License.", "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted"],
-    "Unlicense": ["This is free and unencumbered software released into the public domain."],
-    "Proprietary": ["All rights reserved.", "Copyright. All rights reserved. Unauthorized copying is strictly prohibited."],
-}
+from .license_texts import TEMPLATES
 
 _GAP = "[^A-Za-z0-9]+"
 MENTION = rf"(?i)licen[sc]e|copyright|spdx|all{_GAP}rights{_GAP}reserved|public{_GAP}domain|creative{_GAP}commons|permission{_GAP}(?:is{_GAP}hereby|to{_GAP}use)|redistribut|\bCC{_GAP}(?:BY|0)|\bCC0\b"
 _MENTION = re.compile(MENTION)
 _WORD = re.compile(r"[a-z0-9]+(?:\.[0-9]+)*")
 _ONE = 1 << 32
+#: Bytes by which compressed sizes differ for reasons other than the wording.
+NOISE = 4
+#: The compressor looks for no matches in the last bytes, so these are not the block's own.
+TAIL = b"\n" * 16
 
 
 def words(text: str) -> list[str]:
@@ -86,40 +72,49 @@ def differences(statement: list[str], found: list[str]) -> tuple[list[str], list
 class Scanner:
     def __init__(self, templates: dict[str, list[str]], least: float, level: int = 3) -> None:
         self.least, self.plain = least, zstandard.ZstdCompressor(level=level, write_content_size=False)
-        self.given = {name: zstandard.ZstdCompressor(level=level, write_content_size=False, write_dict_id=False, dict_data=zstandard.ZstdCompressionDict(" ".join(s).encode(), dict_type=zstandard.DICT_TYPE_RAWCONTENT)) for name, s in templates.items()}
+        self.given = {name: zstandard.ZstdCompressor(level=level, write_content_size=False, write_dict_id=False, dict_data=zstandard.ZstdCompressionDict("\n".join(" ".join(words(x)) for x in s).encode(), dict_type=zstandard.DICT_TYPE_RAWCONTENT)) for name, s in templates.items()}
         self.statements = [(name, words(s)) for name, statements in templates.items() for s in statements]
         self.number: dict[str, int] = {}
         self.coded = [np.array([self.number.setdefault(w, len(self.number)) for w in s]) for _, s in self.statements]
         self.reach = int(max(len(s) for _, s in self.statements) * (2 - least)) + 1
 
-    def gains(self, block: str) -> dict[str, float]:
-        """The share of the block's compressed size that each template saves."""
-        raw = block.encode("utf-8", "surrogatepass")
+    def saved(self, block: str, name: str) -> tuple[int, float]:
+        """Bytes of the block's compressed size that a template saves, and their share."""
+        raw = block.encode("utf-8", "surrogatepass") + TAIL
         alone = len(self.plain.compress(raw))
-        return {name: 1 - len(c.compress(raw)) / alone for name, c in self.given.items()}
-
-    def confirmed(self, codes: np.ndarray, gain) -> list[tuple[int, int, int]]:
-        """(start, end, statement) of the statements in a text's words; gain(start, end, name) orders equals."""
+        less = alone - len(self.given[name].compress(raw))
+        return less, less / alone
+
+    def candidates(self, codes: np.ndarray) -> list[tuple[int, int, int, float]]:
+        """(start, end, statement, share) of all statements found to a sufficient share in a text's words."""
+        seen, out = set(codes.tolist()), []
+        for k, coded in enumerate(self.coded):
+            if sum(w in seen for w in coded.tolist()) >= self.least * len(coded):
+                for end, start, score in zip(*(x.tolist() for x in alignments(coded, codes)), strict=True):
+                    if score / len(coded) >= self.least:
+                        out.append((start, end, k, score / len(coded)))
+        return out
+
+    def confirmed(self, codes: np.ndarray, block) -> list[tuple[int, int, int]]:
+        """(start, end, statement) of the winners in a text's words; block(start, end) is what stands there."""
         out, todo = [], [(0, len(codes))]
         while todo:
             lo, hi = todo.pop()
-            here, seen = codes[lo:hi], set(codes[lo:hi].tolist())
             able = []
-            for k, coded in enumerate(self.coded):
-                if sum(w in seen for w in coded.tolist()) >= self.least * len(coded):
-                    for end, start, score in zip(*(x.tolist() for x in alignments(coded, here)), strict=True):
-                        if score / len(coded) >= self.least:
-                            able.append((score, score / len(coded), (lo + start, lo + end), k))
-            if not able:
-                continue
-            able.sort(key=lambda x: (-x[0], -x[1], -gain(*x[2], self.statements[x[3]][0]), self.statements[x[3]][0], x[2]))
+            for start, end, k, share in self.candidates(codes[lo:hi]):
+                name = self.statements[k][0]
+                able.append((self.saved(block(lo + start, lo + end), name)[0], share, name, lo + start, lo + end, k))
             taken: list[tuple[int, int]] = []
-            for _, _, (a, b), k in able:
-                if all(b <= c or d <= a for c, d in taken):
-                    taken.append((a, b))
-                    out.append((a, b, k))
-            taken = [(lo, lo), *sorted(taken), (hi, hi)]
-            todo += [(b, c) for (_, b), (c, _) in zip(taken, taken[1:], strict=False) if b < c]
+            while able:
+                most = max(able)
+                rivals = [c for c in able if (c[0] >= most[0] - NOISE or c[5] == most[5]) and c[3] < most[4] and most[3] < c[4]]
+                _, _, _, a, b, k = min(rivals, key=lambda c: (-c[1], -c[0], c[3] - c[4], c[2:]))
+                taken.append((a, b))
+                out.append((a, b, k))
+                able = [c for c in able if c[4] <= a or b <= c[3]]
+            if taken:
+                taken = [(lo, lo), *sorted(taken), (hi, hi)]
+                todo += [(b, c) for (_, b), (c, _) in zip(taken, taken[1:], strict=False) if b < c]
         return sorted(out)
 
     def scan(self, text: str) -> list[tuple[int, int, str | None, float, list[str], list[str]]]:
@@ -140,25 +135,23 @@ class Scanner:
                 regions[-1][1] = b
             else:
                 regions.append([a, b])
-        known: dict[tuple[int, int], dict[str, float]] = {}
 
-        def gains(first: int, last: int) -> dict[str, float]:
-            if (first, last) not in known:
-                known[first, last] = self.gains("\n".join(lines[first : last + 1]))
-            return known[first, last]
+        def block(a: int, b: int) -> str:
+            return " ".join(own[a:b])  # line breaks and comment marks are no part of the wording
 
         out, covered = [], set()
         for lo, hi in regions:
-            for a, b, k in self.confirmed(codes[lo:hi], lambda a, b, name: gains(int(line[lo + a]), int(line[lo + b - 1]))[name]):  # noqa: B023
+            for a, b, k in self.confirmed(codes[lo:hi], lambda a, b: block(lo + a, lo + b)):  # noqa: B023
                 name, statement = self.statements[k]
                 first, last = int(line[lo + a]), int(line[lo + b - 1])
                 covered.update(range(first, last + 1))
-                out.append((first, last - first + 1, name, gains(first, last)[name], *differences(statement, own[lo + a : lo + b])))
+                out.append((first, last - first + 1, name, self.saved(block(lo + a, lo + b), name)[1], *differences(statement, own[lo + a : lo + b])))
         rest = sorted({k for a, b in mentions for k in range(*(int(x) for x in (np.searchsorted(stops, a), np.searchsorted(stops, b - 1) + 1)))} - covered)
         for k, x in enumerate(rest):
             if not k or rest[k - 1] + 1 < x:
                 n = next(i for i in range(1, len(rest) - k + 1) if k + i == len(rest) or rest[k + i] > x + i)
-                out.append((x, n, None, max(gains(x, x + n - 1).values()), [], []))
+                rest_words = " ".join(words("\n".join(lines[x : x + n]))) or " "
+                out.append((x, n, None, max(self.saved(rest_words, name)[1] for name in self.given), [], []))
         return sorted(out, key=lambda r: r[0])
 
 
