@@ -3,8 +3,9 @@
 Candidates are matches of strict patterns (the base: email, ip, card, phone) and of looser
 ones. Labelers vote on each candidate or abstain: the strict pattern with its checks, the
 shape, a gazetteer of words that announce the kind, words that announce something else, and
-the characters around the span. Expectation-maximisation on the counted vote patterns gives
-each labeler's reliability and each pattern's posterior; a logistic regression on votes and
+the characters around the span. Some can only say yes, some only no, so abstaining is an outcome
+of its own that tells something too. Expectation-maximisation on the counted vote patterns gives
+how often each labeler says yes, no or nothing of true and of false spans, and each pattern's posterior; a logistic regression on votes and
 span features, fitted to these posteriors, decides about looser candidates. Base spans stay.
 
 Matches and what stands between them come from two regular-expression functions, so offsets
@@ -139,10 +140,11 @@ def candidates(docs: DataFrame) -> DataFrame:
 
 @dataclass(frozen=True)
 class Model:
-    """Reliabilities (chance of a yes given truth) by labeler, and the classifier's weights by feature."""
+    """Chances of a labeler's vote (no, yes, none) for false and true spans, the share of true spans
+    by kind, and the classifier's weights by feature."""
 
-    yes_if_true: dict[str, float]
-    yes_if_false: dict[str, float]
+    chance: dict[str, list[list[float]]]
+    prior: dict[str, float]
     weights: dict[str, float]
 
     def score(self, values: dict[str, str]) -> str:
@@ -156,33 +158,42 @@ class Model:
 
 
 def features(row: dict) -> list[str]:
-    out = [f"{n} = {row[n]}" for n in LABELERS[1:] if row[n] >= 0]
+    out = [f"{n} = {row[n]}" for n in LABELERS]
     return out + [f"kind = '{row['kind']}'", f"digits = {row['digits']}", f"marks = {row['marks']}"]
 
 
+#: What a vote is thought to say before any is counted, of false and of true spans, in votes: no, yes, none.
+BELIEF = {
+    "strict": ([0.0, 1.0, 7.0], [0.0, 6.0, 2.0]), "shape": ([3.0, 2.0, 3.0], [1.0, 5.0, 2.0]), "gazetteer": ([0.0, 1.0, 7.0], [0.0, 4.0, 4.0]),
+    "against": ([3.0, 0.0, 5.0], [0.5, 0.0, 7.5]), "edges": ([4.0, 4.0, 0.0], [1.0, 7.0, 0.0]),
+}
+
+
 def fit(rows: list[dict], rounds: int = 60, steps: int = 300) -> Model:
     """EM and classifier on counted patterns (kind, votes, digits, marks, n): a few thousand rows at most."""
-    yes_if_true, yes_if_false = dict.fromkeys(LABELERS, 0.8), dict.fromkeys(LABELERS, 0.3)
-    yes_if_true["strict"], yes_if_false["strict"] = 0.95, 0.2
+    floor = 0.05  # of a vote, so that no outcome is impossible
+    total = sum(r["n"] for r in rows) or 1
+
+    def chances(counts: list[list[float]]) -> list[list[float]]:
+        return [[(x + floor) / (sum(side) + 3 * floor) for x in side] for side in counts]
+
+    chance = {n: chances([list(side) for side in BELIEF[n]]) for n in LABELERS}
     prior = dict.fromkeys(KINDS, 0.5)
     truth = [0.5] * len(rows)
     for _ in range(rounds if rows else 0):
         for k, r in enumerate(rows):
-            odds = math.log(prior[r["kind"]] / (1 - prior[r["kind"]]))
-            for n in LABELERS:
-                if r[n] >= 0:
-                    a, b = yes_if_true[n], yes_if_false[n]
-                    odds += math.log(a / b) if r[n] else math.log((1 - a) / (1 - b))
+            odds = math.log(prior[r["kind"]] / (1 - prior[r["kind"]])) + sum(math.log(chance[n][1][r[n]] / chance[n][0][r[n]]) for n in LABELERS)
             truth[k] = 1 / (1 + math.exp(-max(-30.0, min(30.0, odds))))
         for n in LABELERS:
-            for table, of, mean in ((yes_if_true, lambda t: t, 0.8), (yes_if_false, lambda t: 1 - t, 0.3)):
-                seen = [(r["n"] * of(t), r[n]) for r, t in zip(rows, truth, strict=True) if r[n] >= 0]
-                table[n] = min(0.99, max(0.01, (sum(w * v for w, v in seen) + 8 * mean) / (sum(w for w, _ in seen) + 8)))
+            counts = [list(side) for side in BELIEF[n]]
+            for r, t in zip(rows, truth, strict=True):
+                counts[1][r[n]] += r["n"] * t
+                counts[0][r[n]] += r["n"] * (1 - t)
+            chance[n] = chances(counts)
         for kind in KINDS:
             seen = [(r["n"], t) for r, t in zip(rows, truth, strict=True) if r["kind"] == kind]
             prior[kind] = min(0.95, max(0.05, (sum(n * t for n, t in seen) + 2) / (sum(n for n, _ in seen) + 4)))
     weights: dict[str, float] = {"bias": 0.0}
-    total = sum(r["n"] for r in rows) or 1
     named = [features(r) for r in rows]
     for _ in range(steps if rows else 0):
         slope: dict[str, float] = {}
@@ -193,7 +204,7 @@ def fit(rows: list[dict], rounds: int = 60, steps: int = 300) -> Model:
                 slope[n] = slope.get(n, 0.0) + g
         for n, g in slope.items():
             weights[n] = weights.get(n, 0.0) * (1 - 1e-3) - 1.0 * g
-    return Model(yes_if_true, yes_if_false, {n: round(w, 6) for n, w in sorted(weights.items())})
+    return Model(chance, prior, {n: round(w, 6) for n, w in sorted(weights.items())})
 
 
 def learn(found: DataFrame) -> Model:
