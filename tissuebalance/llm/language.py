@@ -27,7 +27,6 @@ UNKNOWN = "und"
 class Settings:
     bits: int = 15
     sample: int = 3000
-    most_languages: int = 256
     alpha: float = 0.5
     beta: float = 1.0
     l1: float = 1e-4
@@ -108,14 +107,13 @@ def document_frequencies(texts: DataFrame, settings: Settings) -> tuple[np.ndarr
 
 def sample_vectors(labelled: DataFrame, settings: Settings) -> list:
     """(doc_id, lang, feature indices, counts) of a hash sample with equal shares of each language."""
-    per = labelled.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "lang").limit(settings.most_languages).collect()
+    per = labelled.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).orderBy("lang").collect()  # one row for each language
     if not per:
         return []
-    quota = settings.sample / len(per)
-    unit = (F.pmod(F.xxhash64(F.col("doc_id")), F.lit(1 << 30)) / float(1 << 30)).alias("u")
-    keep = F.lit(False)
-    for r in per:
-        keep = keep | ((F.col("lang") == r.lang) & (unit < quota / r.n))
+    quota = max(1.0, settings.sample / len(per))
+    unit = F.pmod(F.xxhash64(F.col("doc_id")), F.lit(1 << 30)) / float(1 << 30)
+    share = F.create_map(*(F.lit(v) for r in per for v in (r.lang, min(1.0, quota / r.n))))
+    keep = unit < F.try_element_at(share, F.col("lang"))
     kinds = pa.schema([("doc_id", pa.int64()), ("lang", pa.string()), ("at", pa.list_(pa.int32())), ("counts", pa.list_(pa.int32()))])
 
     def features(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -212,8 +210,8 @@ def predict(docs: DataFrame, model: Model, settings: Settings = Settings()) -> D
 
     Without a letter in the text, or without anything to learn from: `und` with score 0. A null
     doc_id counts as one that may not be held out. Repeated rows each give a row; extra columns
-    are ignored. Weights have at most most_languages columns of 2**bits numbers, so the model
-    that tasks receive has a fixed bound.
+    are ignored. Weights have a column of 2**bits numbers for each label value among the rows learned
+    from, which `sample` bounds.
     """
     spark = docs.sparkSession
     held = spark.sparkContext.broadcast(model)
