@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import Workspace, batch
-from .vectors import best_rows, exact, ranked, stacked
+from .vectors import best_rows, exact, ranked, regular, stacked
 
 
 @dataclass(frozen=True)
@@ -99,11 +99,11 @@ def assign(tree: Tree, x: np.ndarray) -> np.ndarray:
             node[at] = tree.first[parent] + (x[at] @ c.T - (c**2).sum(axis=1) / 2).argmax(axis=1)
 
 
-def visits(tree: Tree, q: np.ndarray, most: int) -> list[int]:
-    """The first leaves in best-bin-first order."""
+def visits(tree: Tree, q: np.ndarray, most: int, sizes: np.ndarray | None = None, rows: int = 0) -> list[int]:
+    """The first leaves in best-bin-first order: `most`, or more until they hold that many rows."""
     length = float(np.sqrt(q @ q))
-    queue, out = [(0.0, 0)], []
-    while queue and len(out) < most:
+    queue, out, held = [(0.0, 0)], [], 0
+    while queue and (len(out) < most or held < rows):
         _, node = heapq.heappop(queue)
         if tree.children[node]:
             a, b = tree.first[node], tree.first[node] + tree.children[node]
@@ -112,6 +112,7 @@ def visits(tree: Tree, q: np.ndarray, most: int) -> list[int]:
                 heapq.heappush(queue, (-v, int(a) + k))
         else:
             out.append(int(tree.leaf_of[node]))
+            held += int(sizes[out[-1]]) if sizes is not None else rows
     return out
 
 
@@ -144,11 +145,18 @@ HITS_ARROW = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("scor
 def search(vectors: DataFrame, queries: DataFrame, k: int, s: Settings = Settings()) -> DataFrame:
     """query_id, rank, vec_id, score of each query's k nearest found rows by inner product.
 
-    vectors: vec_id, embedding of one length; queries: query_id, embedding. A query's own id is
-    no candidate. With no rows or no queries the result is empty; with fewer rows than k it holds
-    them all. The tree that tasks receive has at most about twice `sample` nodes.
+    vectors: vec_id, embedding; queries: query_id, embedding. Rows without an id and vectors that
+    have not the most frequent length take no part; of rows that share an id the one with the
+    smallest vector counts. Extra columns are ignored. A query's own id is no candidate. With no
+    rows or no queries the result is empty; with fewer rows than k it holds them all. The tree
+    that tasks receive has at most about twice `sample` nodes.
     """
     spark = vectors.sparkSession
+    vectors = regular(vectors.select("vec_id", "embedding"))
+    queries = regular(queries.select(F.col("query_id").alias("vec_id"), "embedding")).withColumnRenamed("vec_id", "query_id")
+    if not (width := vectors.select(F.size("embedding").alias("n")).first()) or queries.where(F.size("embedding") == width.n).isEmpty():
+        return spark.createDataFrame([], "query_id bigint, rank int, vec_id bigint, score double")
+    queries = queries.where(F.size("embedding") == width.n)
     space = Workspace(spark, "tree")
     total = vectors.count()
     unit = F.pmod(F.xxhash64("vec_id"), F.lit(1 << 30))
@@ -167,6 +175,9 @@ def search(vectors: DataFrame, queries: DataFrame, k: int, s: Settings = Setting
 
     stored = space.write(vectors.select("vec_id", "embedding").mapInArrow(place, f"vec_id bigint, embedding {vectors.schema['embedding'].dataType.simpleString()}, leaf bigint"), "rows")
     sizes = stored.groupBy("leaf").agg(F.count(F.lit(1)).alias("n")).withColumn("blocks", F.ceil(F.col("n") / s.block))
+    rows_of = np.zeros(leaves, np.int64)
+    for r in sizes.collect():  # one for each leaf
+        rows_of[r.leaf] = r.n
     held = stored.join(F.broadcast(sizes.select("leaf", "blocks")), "leaf").withColumn("block", F.pmod(F.xxhash64("vec_id"), "blocks"))
 
     def asked(found: DataFrame, most: int) -> DataFrame:
@@ -176,7 +187,7 @@ def search(vectors: DataFrame, queries: DataFrame, k: int, s: Settings = Setting
                 x = stacked(got.column(1)) if got.num_rows else np.zeros((0, 1))
                 ids = got.column(0).to_pylist()
                 for a in range(0, len(ids), 256):
-                    lists = [visits(tree.value, v, most) for v in x[a : a + 256]]
+                    lists = [visits(tree.value, v, most, rows_of, k + 1) for v in x[a : a + 256]]
                     rep = np.repeat(np.arange(len(lists)), [len(v) for v in lists])
                     yield batch(schema, np.array(ids[a : a + 256])[rep], list(x[a : a + 256][rep]), [v for one in lists for v in one], [p for one in lists for p in range(len(one))])
 
