@@ -138,8 +138,8 @@ def test_learned_policy_moves_less_than_forecasts():
         assert mean["learned"]["moved"] < mean["persistence"]["moved"]
 
 
-def means(regime, ranks, policies, ids=range(1, 11)):
-    rows = {p: [summary(rollout(scenario(5 * k, 100, ranks, regime=REGIMES[regime]), p, gru.trained())) for k in ids] for p in policies}
+def means(regime, ranks, policies, ids=range(1, 11), per_rank=None):
+    rows = {p: [summary(rollout(scenario(5 * k, 100, ranks, per_rank, REGIMES[regime]), p, gru.trained())) for k in ids] for p in policies}
     return {p: {k: np.mean([r[k] for r in v]) for k in ("mean_imbalance", "moved", "runtime")} for p, v in rows.items()}
 
 
@@ -152,6 +152,15 @@ def test_learned_policy_on_calm_tissues_moves_least_and_stays_near_static(ranks)
     assert m["learned"]["mean_imbalance"] < m["reactive"]["mean_imbalance"]
 
 
+@pytest.mark.parametrize("ranks", [2, 16])
+def test_published_regime(ranks):
+    """Nothing to correct: forecasts move hundreds of slices and do harm, the learned policy moves fewer than 60."""
+    m = means("still", ranks, ("static", "persistence", "holt", "reactive", "learned"), range(1, 4), 200)
+    assert m["learned"]["moved"] < 60 and all(m[p]["moved"] > 80 and m[p]["mean_imbalance"] > m["static"]["mean_imbalance"] for p in ("persistence", "holt"))
+    assert m["learned"]["mean_imbalance"] < m["reactive"]["mean_imbalance"]
+    assert ranks > 2 or m["static"]["mean_imbalance"] <= 0.005
+
+
 @pytest.mark.parametrize("ranks", [8, 16])
 def test_learned_policy_beats_the_reactive_rule_on_restless_tissues(ranks):
     m = means("restless", ranks, ("static", "reactive", "learned"))

@@ -53,8 +53,9 @@ class Regime:
     height: tuple[float, float] = (0.5, 2.0)
 
 
-#: restless: what the controller is trained on. calm: a static cut of two ranks stays within about half a percent.
-REGIMES = {"restless": Regime(), "calm": Regime(0.02, (1.0, 1.03), 0.01, (1.02, 1.1), (0.2, 0.6))}
+#: restless and calm are what the controller is trained on, half each. still, with slices as thin as
+#: published, is the published evaluation's: a static cut of two ranks stays within half a percent.
+REGIMES = {"restless": Regime(), "calm": Regime(0.02, (1.0, 1.03), 0.01, (1.02, 1.1), (0.2, 0.6)), "still": Regime(0.004, (1.0, 1.008), 0.0, (1.0, 1.0), (0.1, 0.3))}
 
 
 def held_out(scenario_id: int) -> bool:

@@ -178,6 +178,29 @@ for _policy in ("static", "reactive", "holt"):
     )
 add("rank_curves_learned", lambda s, d: measures.rank_times(event_log(s, d, ("learned",))).select("step", "rank", F.col("t").cast("bigint").alias("t")))
 
+FOUR = ("static", "persistence", "holt", "reactive")
+
+
+def four_runs(spark: SparkSession, folder: str) -> DataFrame:
+    """Imbalance, moves and runtime of the policies without weights, whose loops SQL can repeat."""
+    log = event_log(spark, folder, FOUR)
+    return log.groupBy("policy", "ranks").agg(F.avg("i_global").alias("mean_imbalance"), F.sum("moved").cast("bigint").alias("moved"), F.sum("t_max").alias("runtime"))
+
+
+_FOUR = "WITH g AS (" + " UNION ALL ".join(f"(SELECT '{p}' AS policy, avg(i) AS mean_imbalance, sum(moved)::BIGINT AS moved, sum(t_max)::DOUBLE AS runtime FROM ({looped(p, f'SELECT (list_max(t) - list_min(t)) / list_avg(t) AS i, {_MOVED} AS moved, list_max(t) AS t_max FROM log')}))" for p in FOUR) + ")"
+add(
+    "savings_event",
+    lambda s, d: measures.end_to_end(four_runs(s, d)).select("policy", "moved", F.round("mean_imbalance", 6).alias("mean_imbalance"), F.round("runtime_saved", 6).alias("runtime_saved"), F.round("mean_imbalance_saved", 6).alias("mean_imbalance_saved"), F.round("moved_ratio", 6).alias("moved_ratio"), F.round("moves_per_point", 4).alias("moves_per_point")),
+    f"""{_FOUR}, s AS (SELECT mean_imbalance AS si, runtime AS sr, (SELECT moved FROM g WHERE policy = 'reactive') AS rm FROM g WHERE policy = 'static')
+SELECT policy, moved, round(mean_imbalance, 6) AS mean_imbalance, round((sr - runtime) / sr, 6) AS runtime_saved, round((si - mean_imbalance) / si, 6) AS mean_imbalance_saved,
+  round(rm::DOUBLE / nullif(moved, 0), 6) AS moved_ratio, round(CASE WHEN si > mean_imbalance THEN moved / ((si - mean_imbalance) * 100) END, 4) AS moves_per_point FROM g, s""",
+)
+add(
+    "tradeoff_event",
+    lambda s, d: measures.tradeoff(four_runs(s, d)).select("policy", "moved", F.round("mean_imbalance", 6).alias("mean_imbalance"), "pareto"),
+    f"{_FOUR} SELECT policy, moved, round(mean_imbalance, 6) AS mean_imbalance, NOT EXISTS (SELECT 1 FROM g o WHERE o.mean_imbalance <= g.mean_imbalance AND o.moved <= g.moved AND (o.mean_imbalance < g.mean_imbalance OR o.moved < g.moved)) AS pareto FROM g",
+)
+
 EVERY = (*POLICIES, BOUND)
 add("policy_table_event", lambda s, d: rollouts.policy_table(event_log(s, d, EVERY, ranks=(2, 4, 8, 16), seeds=3)))
 add("end_to_end_event", lambda s, d: measures.end_to_end(rollouts.policy_table(event_log(s, d, EVERY, seeds=3))))
@@ -186,13 +209,14 @@ add("end_to_end_order", lambda s, d: measures.end_to_end(rollouts.policy_table(r
 add("policy_table_front", lambda s, d: rollouts.policy_table(rollouts.replay(moving_front(s, d), 128, [4, 8], EVERY, LEAST, NOISE, steps=92)))
 
 
-def policy_table_scenarios(spark: SparkSession, folder: str, regime: str = "restless") -> DataFrame:
-    """All policies on ten held-out scenarios, hard boundaries, 100 events."""
-    return rollouts.policy_table(rollouts.synthetic(spark, [5 * k for k in range(1, 11)], [2, 4, 8, 16], policies=EVERY, regime=regime))
+def policy_table_scenarios(spark: SparkSession, folder: str, regime: str = "restless", per_rank: int | None = None, seeds: int = 10) -> DataFrame:
+    """All policies on held-out scenarios, hard boundaries, 100 events."""
+    return rollouts.policy_table(rollouts.synthetic(spark, [5 * k for k in range(1, seeds + 1)], [2, 4, 8, 16], policies=EVERY, regime=regime, per_rank=per_rank))
 
 
 add("policy_table_scenarios", policy_table_scenarios)
 add("policy_table_calm", lambda s, d: policy_table_scenarios(s, d, "calm"))
+add("policy_table_still", lambda s, d: policy_table_scenarios(s, d, "still", 200, 5))
 add("end_to_end_calm", lambda s, d: measures.end_to_end(policy_table_scenarios(s, d, "calm")))
 add("tradeoff", lambda s, d: measures.tradeoff(policy_table_scenarios(s, d)))
 
