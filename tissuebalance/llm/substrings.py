@@ -317,8 +317,9 @@ def contested(b: np.ndarray, size: np.ndarray, doc: np.ndarray, least: np.ndarra
 def judged(table: pa.Table) -> pa.Table:
     """Of one shard: the bytes that windows repeated from smaller ids cover, by group.
 
-    A text that is alone with its piece shares no window with another text; it is as new as its
-    smallest document. All other distinct texts go through the suffix array.
+    A text that is alone with its piece, or half of one with the bytes that its windows share, has
+    no window in common with another text; it is as new as its smallest document. All other halves
+    of distinct texts go through the suffix array.
     """
     group, row, start, size, doc, ends, b = opened(table)
     order, begin, _ = equal_runs(span_hashes(b, ends - size, ends), doc)
@@ -333,13 +334,21 @@ def judged(table: pa.Table) -> pa.Table:
     least = np.repeat(doc[firsts], windows)
     upon = np.concatenate([[0], np.cumsum(own)])
     cuts = np.unique([0, *np.searchsorted(upon, np.arange(CHUNK, upon[-1], CHUNK)), len(own)]).tolist()
-    pieces = np.concatenate([runs_of(texts[upon[a] : upon[z]], own[a:z])[4] for a, z in zip(cuts, cuts[1:], strict=False)])
+    found = [runs_of(texts[upon[a] : upon[z]], own[a:z]) for a, z in zip(cuts, cuts[1:], strict=False)]
+    inside, pieces = np.concatenate([at - first for _, first, _, at, _ in found]), np.concatenate([h for *_, h in found])
     _, piece = np.unique(pieces, return_inverse=True)
     some = np.flatnonzero(np.bincount(piece)[piece] > 1)
     if len(some):
-        of_some = np.empty(int(windows[some].sum()), np.int64)
-        contested(texts[spread(own[some], upon[some])], own[some], doc[firsts[some]], of_some)
-        least[spread(windows[some], (upto - windows)[some])] = of_some
+        joined, long = texts[spread(own[some], upon[some])], own[some]
+        at = np.cumsum(long) - long
+        half, lo, hi, key = halves(joined, at, at + long, at + inside[some])
+        _, key = np.unique(key, return_inverse=True)
+        met = np.flatnonzero(np.bincount(key)[key] > 1)
+        if len(met):
+            half, lo, long = half[met], lo[met], (hi - lo)[met]
+            of_half = np.empty(int((long - LENGTH + 1).sum()), np.int64)
+            contested(joined[spread(long, lo)], long, doc[firsts[some]][half], of_half)
+            least[spread(long - LENGTH + 1, (upto - windows)[some][half] + lo - at[half])] = of_half
     base, out = (upto - windows)[which], []
     for a in range(0, len(row), CHUNK // 4):
         n = (size[a : a + CHUNK // 4] - LENGTH + 1)
