@@ -8,6 +8,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from py4j.protocol import Py4JJavaError
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -55,7 +56,10 @@ class Workspace:
         """
         sc = self.spark.sparkContext
         self.spark.range(0).count()
-        sc._jsc.sc().listenerBus().waitUntilEmpty()
+        try:
+            sc._jsc.sc().listenerBus().waitUntilEmpty(5000)
+        except Py4JJavaError:
+            return  # listeners are behind; the files go behind a later table
         sc._jvm.System.gc()
 
     def drop(self, df: DataFrame) -> None:
