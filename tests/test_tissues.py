@@ -142,3 +142,19 @@ def test_work_aware_beats_uniform_on_a_skewed_tissue(spark, tiny):
     shares = {n: [r.work for r in catalogue.queries()[f"partition_{n}_event"](spark, tiny).collect()] for n in ("uniform", "shares")}
     assert max(shares["shares"]) < 0.4 * max(shares["uniform"])
     assert partitioner.optimal([1, 2, 3], 1) == 6
+
+
+def test_tiles_meet_whatever_the_partitions(spark):
+    rows = [(c, 1, 3 * c, c % 7, c % 5) for c in range(60)]
+    e = elements(spark, rows)
+    brute = {a[0]: sum(1 for b in rows if a is not b and sum((a[k] - b[k]) ** 2 for k in (2, 3, 4)) <= 400) for a in rows}
+    own = {"spark.sql.adaptive.enabled": "false", "spark.sql.shuffle.partitions": "13"}
+    before = {k: spark.conf.get(k) for k in own}
+    try:
+        for k, v in own.items():
+            spark.conf.set(k, v)
+        got = {r.cell_id: r.n_pairs for r in interactions.all_pairs_tiled(e, 20, tile=8).collect()}
+    finally:
+        for k, v in before.items():
+            spark.conf.set(k, v)
+    assert got == brute
