@@ -158,3 +158,13 @@ def test_tiles_meet_whatever_the_partitions(spark):
         for k, v in before.items():
             spark.conf.set(k, v)
     assert got == brute
+
+
+def test_lineage_has_no_row_limit(spark):
+    edges = spark.createDataFrame([(g, p, c) for g in (1, 2, 3) for p in range(2 ** (g - 1), 2**g) for c in (2 * p, 2 * p + 1)], "generation int, parent bigint, child bigint")
+    spark.conf.set("spark.sql.cteRecursionRowLimit", "5")
+    try:
+        got = {tuple(r) for r in mechanics.lineage(edges).select("ancestor", "descendant", "since", "generations").collect()}
+    finally:
+        spark.conf.unset("spark.sql.cteRecursionRowLimit")
+    assert got == {(a, d, a.bit_length(), k) for a in range(1, 8) for k in range(1, 4) for d in range(a << k, (a + 1) << k) if d < 16}
