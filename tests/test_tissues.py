@@ -1,8 +1,11 @@
 """Evaluators, work scores, ghosts and plans on small tissues."""
 
+import math
+
 import duckdb
 import pytest
 from pyspark.sql import functions as F
+from tissuebalance.functions.forces import INTER, INTRA, MEMBRANE, OTHER_TYPE
 from tissuebalance.operators import ghosts, grid, interactions, mechanics, partitioner, runtime, score
 from tissuebalance.plans import catalogue
 from tissuebalance.sources.tissues import TISSUES
@@ -144,6 +147,16 @@ def test_work_aware_beats_uniform_on_a_skewed_tissue(spark, tiny):
     assert partitioner.optimal([1, 2, 3], 1) == 6
 
 
+def test_lineage_has_no_row_limit(spark):
+    edges = spark.createDataFrame([(g, p, c) for g in (1, 2, 3) for p in range(2 ** (g - 1), 2**g) for c in (2 * p, 2 * p + 1)], "generation int, parent bigint, child bigint")
+    spark.conf.set("spark.sql.cteRecursionRowLimit", "5")
+    try:
+        got = {tuple(r) for r in mechanics.lineage(edges).select("ancestor", "descendant", "since", "generations").collect()}
+    finally:
+        spark.conf.unset("spark.sql.cteRecursionRowLimit")
+    assert got == {(a, d, a.bit_length(), k) for a in range(1, 8) for k in range(1, 4) for d in range(a << k, (a + 1) << k) if d < 16}
+
+
 def test_tiles_meet_whatever_the_partitions(spark):
     rows = [(c, 1, 3 * c, c % 7, c % 5) for c in range(60)]
     e = elements(spark, rows)
@@ -160,11 +173,37 @@ def test_tiles_meet_whatever_the_partitions(spark):
     assert got == brute
 
 
-def test_lineage_has_no_row_limit(spark):
-    edges = spark.createDataFrame([(g, p, c) for g in (1, 2, 3) for p in range(2 ** (g - 1), 2**g) for c in (2 * p, 2 * p + 1)], "generation int, parent bigint, child bigint")
-    spark.conf.set("spark.sql.cteRecursionRowLimit", "5")
+def test_elements_that_lie_together_are_tested_once(spark):
+    """Copies of a tissue raise the counts and forces, not the pairs of sites that are made."""
+    rows = [(c, k, 7 * c, 5 * k, c % 3, "ab"[c % 2]) for c in range(12) for k in range(3)]
+    whole = [(100 * i + c, k, x, y, z, t, None) for i in range(5) for c, k, x, y, z, t in rows]
+    e = spark.createDataFrame(whole, SCHEMA)
+    want = {(r.cell_id, r.element_no): r.n_pairs for r in interactions.pair_counts(interactions.binned(e, 20)).collect()}
+    assert {(r.cell_id, r.element_no): r.n_pairs for r in interactions.binned_counts(e, 20).collect()} == want
+    assert {(r.cell_id, r.element_no): r.n_pairs for r in interactions.slab_counts(e, 20, [40.0]).collect()} == want
+    assert interactions.sites(e).count() == len(rows)
+    assert interactions.met_sites(interactions.sites(e), 20).count() == interactions.met_sites(interactions.sites(e.where("cell_id < 100")), 20).count()
+
+    def force(r, a, b):
+        (u, v, near, far) = INTRA if a[0] == b[0] else (INTER[0], INTER[1] * (1 if a[5] == b[5] else OTHER_TYPE), *INTER[2:])
+        return u / near * math.exp(-r / 20 / near) - v / far * math.exp(-r / 20 / far)
+
+    for got in (mechanics.velocity(e, 20), interactions.slab_forces(e, 20, [40.0])):
+        got = {(r.cell_id, r.element_no): (r.vx, r.vy, r.vz) for r in got.collect()}
+        assert len(got) == len(whole)
+        for a in whole[::7]:
+            v = [0.0, 0.0, -MEMBRANE[0] / MEMBRANE[1] * math.exp(-a[4] / (MEMBRANE[1] * 20))]
+            for b in whole:
+                r = math.dist(a[2:5], b[2:5])
+                if 0 < r <= 20:
+                    v = [p + force(r, a, b) / r * (a[2 + i] - b[2 + i]) for i, p in enumerate(v)]
+            assert got[a[0], a[1]] == pytest.approx(tuple(v), abs=1e-9)
+
+
+def test_lines_are_shuffled_once(spark, tiny):
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
     try:
-        got = {tuple(r) for r in mechanics.lineage(edges).select("ancestor", "descendant", "since", "generations").collect()}
+        plan = TISSUES["order"](spark, tiny)._jdf.queryExecution().executedPlan().toString()
     finally:
-        spark.conf.unset("spark.sql.cteRecursionRowLimit")
-    assert got == {(a, d, a.bit_length(), k) for a in range(1, 8) for k in range(1, 4) for d in range(a << k, (a + 1) << k) if d < 16}
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+    assert plan.count("Exchange hashpartitioning(l_orderkey") == 1 and plan.count("Exchange hashpartitioning") == 4
