@@ -10,6 +10,7 @@ MOVED = {
     "policy_table_calm": "events",
     "policy_table_scenarios": "events",
     "policy_table_still": "events",
+    "ablation": "events",
 }
 
 
