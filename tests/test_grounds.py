@@ -2,6 +2,7 @@
 
 import re
 
+import duckdb
 import pytest
 from tissuebalance.plans import catalogue
 
@@ -11,6 +12,7 @@ MOVED = {
     "policy_table_scenarios": "events",
     "policy_table_still": "events",
     "ablation": "events",
+    "combine_step_grid": "lineitem",
 }
 
 
@@ -18,3 +20,13 @@ MOVED = {
 def test_query_reads_its_table(spark, tiny, name):
     plan = catalogue.queries()[name](spark, tiny)._jdf.queryExecution().executedPlan().toString()
     assert re.search(rf"FileScan parquet.*{MOVED[name]}\.parquet", plan)
+
+
+@pytest.mark.parametrize("name", ["combine_step_grid"])
+def test_moved_query_against_sql(spark, tiny, name):
+    con = duckdb.connect()
+    for t in ("events", "lineitem"):
+        con.execute(f"create view {t} as select * from '{tiny}/{t}.parquet'")
+    got = catalogue.queries()[name](spark, tiny).toPandas()
+    want = con.execute(catalogue.oracle_sql()[name]).df()[list(got.columns)]
+    assert len(got) and sorted(map(tuple, got.round(5).to_numpy().tolist())) == sorted(map(tuple, want.round(5).to_numpy().tolist()))
