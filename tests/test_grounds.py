@@ -4,6 +4,7 @@ import re
 
 import duckdb
 import pytest
+from pyspark.sql import functions as F
 from tissuebalance.plans import catalogue
 
 MOVED = {
@@ -13,6 +14,7 @@ MOVED = {
     "policy_table_still": "events",
     "ablation": "events",
     "combine_step_grid": "lineitem",
+    "min_width_repair": "events",
 }
 
 
@@ -22,7 +24,7 @@ def test_query_reads_its_table(spark, tiny, name):
     assert re.search(rf"FileScan parquet.*{MOVED[name]}\.parquet", plan)
 
 
-@pytest.mark.parametrize("name", ["combine_step_grid"])
+@pytest.mark.parametrize("name", ["combine_step_grid", "min_width_repair"])
 def test_moved_query_against_sql(spark, tiny, name):
     con = duckdb.connect()
     for t in ("events", "lineitem"):
@@ -30,3 +32,8 @@ def test_moved_query_against_sql(spark, tiny, name):
     got = catalogue.queries()[name](spark, tiny).toPandas()
     want = con.execute(catalogue.oracle_sql()[name]).df()[list(got.columns)]
     assert len(got) and sorted(map(tuple, got.round(5).to_numpy().tolist())) == sorted(map(tuple, want.round(5).to_numpy().tolist()))
+
+
+def test_bounds_need_repair(spark, tiny):
+    rows = catalogue.queries()["min_width_repair"](spark, tiny).groupBy("case").agg(F.sort_array(F.collect_list("bound")).alias("b")).collect()
+    assert len(rows) == 12 and all(r.b[0] == 0 and r.b[-1] == 40 and min(y - x for x, y in zip(r.b, r.b[1:])) >= 5 for r in rows)
