@@ -15,6 +15,7 @@ MOVED = {
     "ablation": "events",
     "combine_step_grid": "lineitem",
     "min_width_repair": "events",
+    "scenario_loads": "events",
 }
 
 
@@ -24,7 +25,7 @@ def test_query_reads_its_table(spark, tiny, name):
     assert re.search(rf"FileScan parquet.*{MOVED[name]}\.parquet", plan)
 
 
-@pytest.mark.parametrize("name", ["combine_step_grid", "min_width_repair"])
+@pytest.mark.parametrize("name", ["combine_step_grid", "min_width_repair", "scenario_loads"])
 def test_moved_query_against_sql(spark, tiny, name):
     con = duckdb.connect()
     for t in ("events", "lineitem"):
