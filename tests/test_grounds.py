@@ -8,14 +8,8 @@ from pyspark.sql import functions as F
 from tissuebalance.plans import catalogue
 
 MOVED = {
-    "end_to_end_calm": "events",
-    "policy_table_calm": "events",
-    "policy_table_scenarios": "events",
-    "policy_table_still": "events",
-    "ablation": "events",
-    "combine_step_grid": "lineitem",
-    "min_width_repair": "events",
-    "scenario_loads": "events",
+    "ablation": "events", "combine_step_grid": "lineitem", "end_to_end_calm": "events", "min_width_repair": "events", "parity_numpy": "events", "parity_sql": "events",
+    "policy_table_calm": "events", "policy_table_scenarios": "events", "policy_table_still": "events", "scenario_loads": "events",
 }
 
 
@@ -25,7 +19,7 @@ def test_query_reads_its_table(spark, tiny, name):
     assert re.search(rf"FileScan parquet.*{MOVED[name]}\.parquet", plan)
 
 
-@pytest.mark.parametrize("name", ["combine_step_grid", "min_width_repair", "scenario_loads"])
+@pytest.mark.parametrize("name", ["combine_step_grid", "min_width_repair", "parity_numpy", "parity_sql", "scenario_loads"])
 def test_moved_query_against_sql(spark, tiny, name):
     con = duckdb.connect()
     for t in ("events", "lineitem"):
