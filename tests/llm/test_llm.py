@@ -446,6 +446,33 @@ def test_substrings_against_brute_force(spark, heavy):
     assert substrings.without_repeats(documents(spark, [])).count() == 0
 
 
+def test_a_group_is_gathered_once_for_all_shards(monkeypatch):
+    rng = random.Random(8)
+    raw = [" ".join(rng.choice(BASE.split()) + str(rng.randrange(90)) for _ in range(4000)).encode() for _ in range(24)]
+    ids = list(range(len(raw)))
+    docs = substrings.pa.table({"doc": ids, "group": [0] * len(raw), "raw": raw})
+    calls = []
+    monkeypatch.setattr(substrings, "spread", lambda *a: (calls.append(1), suffixes.spread(*a))[1])
+    bodies, counts = [], []
+    for shards in (1, 800):
+        listed = substrings.pa.Table.from_batches(list(substrings.listed(iter(docs.to_batches()), shards)))
+        calls.clear()
+        found = substrings.sent(docs, listed.set_column(2, "hashes", [[bytes([x[k] & 254 if k % 5 == 0 else x[k] for k in range(len(x))]) for x in listed["hashes"].to_pylist()]]), shards, 3).to_pylist()
+        counts.append(len(calls))
+        assert len(found) >= 0.9 * shards
+        runs = []
+        for r in found:
+            at = 0
+            for row, start, size in zip(np.frombuffer(r["row"], "<i4"), np.frombuffer(r["start"], "<u4"), r["size"], strict=True):
+                if r["shard"] >= 0:
+                    assert r["text"][at : at + size] == raw[row][start : start + size]
+                    at += size
+                runs.append((row, start, size))
+        bodies.append(sorted(runs))
+    assert bodies[0] == bodies[1]
+    assert counts[0] == counts[1] <= 2 * len(list(substrings.parts(raw)))
+
+
 def test_licenses(spark):
     texts = [None, "", "nothing here", "Hello.\nReleased under the MIT License.\nBye.", "licensed under the apache license version 2.0", "Licensed under CC BY-NC 4.0.", "Our license is odd."]
     got = {r.doc_id: r for r in licenses.scan_licenses(documents(spark, texts)).collect()}
