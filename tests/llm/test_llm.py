@@ -9,7 +9,7 @@ import zlib
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
-from tissuebalance.llm import bpe, licenses, lines, minhash, packing, pii, pivots, substrings, suffixes, tree
+from tissuebalance.llm import bpe, common, licenses, lines, minhash, packing, pii, pivots, substrings, suffixes, tree
 from tissuebalance.llm.language import UNKNOWN, Settings, identify, train
 from tissuebalance.llm.op2_packing import library_encoder
 from tissuebalance.llm.op10_bpe import encode_decode
@@ -402,6 +402,16 @@ def test_tree_recall_and_ties(spark):
     assert tree.search(few, few.select(F.col("vec_id").alias("query_id"), "embedding"), 10).count() == 6
 
 
+def test_tables_between_steps_have_no_checksum_files(spark, tmp_path, monkeypatch):
+    monkeypatch.setattr(common, "shared_dir", lambda _: f"file://{tmp_path}")
+    space = common.Workspace(spark, "plain")
+    table = space.write(spark.range(0, 1000, 1, 8), "ids")
+    assert table.count() == 1000
+    assert not list(tmp_path.rglob("*.crc"))
+    space.drop(table)
+    assert not list(tmp_path.rglob("*.parquet"))
+
+
 def test_suffix_order():
     rng = random.Random(4)
     for _ in range(100):
