@@ -1,6 +1,7 @@
 """Evaluators, work scores, ghosts and plans on small tissues."""
 
 import math
+import time
 
 import duckdb
 import pytest
@@ -8,6 +9,7 @@ from pyspark.sql import functions as F
 from tissuebalance.functions.forces import INTER, INTRA, MEMBRANE, OTHER_TYPE
 from tissuebalance.operators import ghosts, grid, interactions, mechanics, partitioner, runtime, score
 from tissuebalance.plans import catalogue
+from tissuebalance.sources.scratch import settled
 from tissuebalance.sources.tissues import TISSUES
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
@@ -207,3 +209,30 @@ def test_lines_are_shuffled_once(spark, tiny):
     finally:
         spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
     assert plan.count("Exchange hashpartitioning(l_orderkey") == 1 and plan.count("Exchange hashpartitioning") == 4
+
+
+def shuffle_files(spark):
+    files = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles()
+    return {n for n in (files.apply(i).getName() for i in range(files.size())) if n.startswith("shuffle_")}
+
+
+def test_a_settled_table_leaves_no_shuffle_files_nor_side_files(spark, tiny, tmp_path, monkeypatch):
+    monkeypatch.setattr("tissuebalance.sources.scratch.scratch", lambda _, name: f"file://{tmp_path}/{name}")
+    before = shuffle_files(spark)
+    held = settled(TISSUES["order"](spark, tiny).select("cell_id", "element_no", "x"))
+    until = time.time() + 20
+    while shuffle_files(spark) - before and time.time() < until:
+        time.sleep(0.2)
+    assert not shuffle_files(spark) - before
+    assert held.count() == TISSUES["order"](spark, tiny).count()
+    assert all(p.suffix == ".parquet" for p in tmp_path.rglob("*") if p.is_file())
+
+
+def test_sites_go_to_the_bins_that_their_sphere_reaches(spark):
+    rows = [(c, 1, (37 * c) % 101 - 50, (53 * c) % 97 - 40, (29 * c) % 89 - 30) for c in range(150)] + [(200, 1, 40, 0, 0), (201, 1, 20, 0, 0), (202, 1, -20, 0, 0), (203, 1, 0, 0, 0)]
+    spots = interactions.sites(elements(spark, rows))
+    for cutoff in (20, 7):
+        want = sum(1 for a in rows for b in rows if sum((a[k] - b[k]) ** 2 for k in (2, 3, 4)) <= cutoff**2)
+        assert interactions.met_sites(spots, cutoff).agg(F.sum("n")).first()[0] == want
+        copies = grid.reached(grid.with_bins(spots, 2.0 * cutoff), 2.0 * cutoff, cutoff).count()
+        assert copies < 10 * len(rows)
