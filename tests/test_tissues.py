@@ -4,10 +4,11 @@ import math
 import time
 
 import duckdb
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 from tissuebalance.functions.forces import INTER, INTRA, MEMBRANE, OTHER_TYPE
-from tissuebalance.operators import ghosts, grid, interactions, mechanics, partitioner, runtime, score
+from tissuebalance.operators import ghosts, grid, interactions, kernels, mechanics, partitioner, runtime, score
 from tissuebalance.plans import catalogue
 from tissuebalance.sources.scratch import settled
 from tissuebalance.sources.tissues import TISSUES
@@ -236,3 +237,30 @@ def test_sites_go_to_the_bins_that_their_sphere_reaches(spark):
         assert interactions.met_sites(spots, cutoff).agg(F.sum("n")).first()[0] == want
         copies = grid.reached(grid.with_bins(spots, 2.0 * cutoff), 2.0 * cutoff, cutoff).count()
         assert copies < 10 * len(rows)
+
+
+def test_one_rank_is_swept_by_many_tasks(spark):
+    """Runs of planes, with ghosts between them, give one rank's counts."""
+    rows = [(c, k, 90 * c + k, (31 * c + 7 * k) % 60 - 30, (17 * c) % 50) for c in range(-12, 12) for k in range(3)]
+    rows += [(c, 1, 9 * c, 5, c % 40) for c in range(100, 160)]
+    spots = interactions.sites(elements(spark, rows))
+    found = interactions.slab_sites(spots, 20, [])
+    assert found.select(F.spark_partition_id()).distinct().count() > 1
+    want = {(x, y, z): sum(1 for b in rows if (x - b[2]) ** 2 + (y - b[3]) ** 2 + (z - b[4]) ** 2 <= 400) - 1 for _, _, x, y, z in rows}
+    got = found.collect()
+    assert len(got) == len(want) and {(r.x, r.y, r.z): r.n_pairs for r in got} == want and {r["rank"] for r in got} == {0}
+    ranks = interactions.slab_sites(spots, 20, [-400.0, 5.0, 600.0]).collect()
+    assert {(r.x, r.y, r.z): (r.n_pairs, r.tests) for r in ranks} == {(r.x, r.y, r.z): (r.n_pairs, r.tests) for r in got}
+    bins = {}
+    for r in rows:
+        bins[tuple(p // 20 for p in r[2:])] = bins.get(tuple(p // 20 for p in r[2:]), 0) + 1
+    for r in got:
+        assert r.tests == sum(n for b, n in bins.items() if all(abs(p // 20 - q) <= 1 for p, q in zip((r.x, r.y, r.z), b, strict=True)))
+
+
+def test_pairs_come_in_pieces(monkeypatch):
+    monkeypatch.setattr(kernels, "PAIRS_AT_ONCE", 5)
+    starts, sizes = np.array([4, 0, 9, 2, 2]), np.array([0, 3, 0, 11, 2])
+    got = [(i, j) for a, b in kernels.expanded(starts, sizes) for i, j in zip(a.tolist(), b.tolist(), strict=True)]
+    assert got == [(i, s + k) for i, (s, n) in enumerate(zip(starts.tolist(), sizes.tolist(), strict=True)) for k in range(n)]
+    assert not list(kernels.expanded(starts[:0], sizes[:0])) and not list(kernels.expanded(starts[:1], sizes[:1]))
