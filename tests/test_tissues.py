@@ -264,3 +264,32 @@ def test_pairs_come_in_pieces(monkeypatch):
     got = [(i, j) for a, b in kernels.expanded(starts, sizes) for i, j in zip(a.tolist(), b.tolist(), strict=True)]
     assert got == [(i, s + k) for i, (s, n) in enumerate(zip(starts.tolist(), sizes.tolist(), strict=True)) for k in range(n)]
     assert not list(kernels.expanded(starts[:0], sizes[:0])) and not list(kernels.expanded(starts[:1], sizes[:1]))
+
+
+def test_forces_within_cells_take_one_pass(spark, tiny):
+    """No pairs of elements are made as rows, and a cell may go over several batches."""
+    rows = [(c, k, (7 * c * k) % 23, (5 * k + c) % 19, (3 * k) % 17, "ab"[k % 2]) for c, size in enumerate((1, 9, 3, 4, 25, 2)) for k in range(size)]
+    e = spark.createDataFrame([(*r, None) for r in rows] + [(4, 99, None, 1, 1, "a", None), (None, 1, 0, 0, 0, None, None), (None, 2, 3, 0, 0, None, None)], SCHEMA)
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "4")
+    try:
+        got = {(r.cell_id, r.element_no): (r.ux, r.uy, r.uz) for r in mechanics.own_cell(e, 12).collect()}
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    assert len(got) == len(rows) + 3 and got[4, 99] == (0.0, 0.0, 0.0) and got[None, 1][0] != 0.0
+
+    def more(r, same):
+        one, two = ((u / near * math.exp(-r / 12 / near) - v / far * math.exp(-r / 12 / far)) for u, v, near, far in (INTRA, (INTER[0], INTER[1] * (1 if same else OTHER_TYPE), *INTER[2:])))
+        return one - two
+
+    for a in rows:
+        want = [0.0, 0.0, 0.0]
+        for b in rows:
+            if a[0] == b[0] and 0 < (r := math.dist(a[2:5], b[2:5])) <= 12:
+                want = [w + more(r, a[5] == b[5]) / r * (a[2 + i] - b[2 + i]) for i, w in enumerate(want)]
+        assert got[a[:2]] == pytest.approx(tuple(want), abs=1e-9)
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        plan = mechanics.own_cell(TISSUES["order"](spark, tiny), 5000)._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+    assert "Generate" not in plan and plan.count("Exchange hashpartitioning") == 4
