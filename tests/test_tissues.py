@@ -9,7 +9,7 @@ import pytest
 from pyspark.sql import functions as F
 from tissuebalance.functions.forces import INTER, INTRA, MEMBRANE, OTHER_TYPE
 from tissuebalance.operators import ghosts, grid, interactions, kernels, mechanics, partitioner, runtime, score
-from tissuebalance.plans import catalogue
+from tissuebalance.plans import catalogue, tissue_queries
 from tissuebalance.sources.scratch import settled
 from tissuebalance.sources.tissues import TISSUES
 
@@ -293,3 +293,13 @@ def test_forces_within_cells_take_one_pass(spark, tiny):
     finally:
         spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
     assert "Generate" not in plan and plan.count("Exchange hashpartitioning") == 4
+
+
+def test_growing_parts_are_written_once(spark, tiny, monkeypatch):
+    made = []
+    monkeypatch.setattr(tissue_queries, "settled", lambda df, by=(): made.append(settled(df, by)) or made[-1])
+    got = tissue_queries.evaluator_seconds(spark, tiny, serial=0, quadratic=0).collect()
+    order = TISSUES["order"](spark, tiny)
+    assert made[0].count() == order.count() and made[0].columns == ["cell_id", "element_no", "x", "y", "z", "one_in"]
+    want = {r.one_in: r["count"] for r in tissue_queries.nested_parts(order).groupBy("one_in").count().collect()}
+    assert [(r.evaluator, r.elements) for r in got] == [(e, want[q]) for q in tissue_queries.SIZES for e in ("binned", "slab")]
